@@ -7,11 +7,15 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .bpe import op1_byte_bpe
+from .langid import op5_language_id
 from .substring import OP2_SQL, op2_substring_dedup
+from .toxicity import op4_toxicity
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_byte_bpe": op1_byte_bpe,
     "op2_substring_dedup": op2_substring_dedup,
+    "op4_toxicity": op4_toxicity,
+    "op5_language_id": op5_language_id,
 }
 
 SQL: dict[str, str] = {"op2_substring_dedup": OP2_SQL}
