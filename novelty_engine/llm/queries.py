@@ -7,15 +7,21 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .bpe import op1_byte_bpe
+from .fingerprint import op8_fingerprints
+from .html import op3_html_text
 from .langid import op5_language_id
+from .packing import op9_best_fit_packing
 from .substring import OP2_SQL, op2_substring_dedup
 from .toxicity import op4_toxicity
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_byte_bpe": op1_byte_bpe,
     "op2_substring_dedup": op2_substring_dedup,
+    "op3_html_text": op3_html_text,
     "op4_toxicity": op4_toxicity,
     "op5_language_id": op5_language_id,
+    "op8_fingerprints": op8_fingerprints,
+    "op9_best_fit_packing": op9_best_fit_packing,
 }
 
 SQL: dict[str, str] = {"op2_substring_dedup": OP2_SQL}
