@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from .bpe import op1_byte_bpe
 from .fingerprint import op8_fingerprints
 from .html import op3_html_text
+from .jaccard import op10_ngram_jaccard_join
 from .langid import op5_language_id
 from .media import op6_media_chunks
 from .packing import op9_best_fit_packing
@@ -26,6 +27,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_secret_scan": op7_secret_scan,
     "op8_fingerprints": op8_fingerprints,
     "op9_best_fit_packing": op9_best_fit_packing,
+    "op10_ngram_jaccard_join": op10_ngram_jaccard_join,
 }
 
 SQL: dict[str, str] = {"op2_substring_dedup": OP2_SQL}

@@ -105,11 +105,11 @@ def rendered(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", F.element_at(kinds, s["kind"] + 1), s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
-def redact(df: DataFrame, key: str = "doc_id", text: str = "text", mask: str = "[secret]", **options) -> DataFrame:
-    """(key, text): every found span replaced by `mask`; overlapping spans are replaced together."""
-    spans = scan(df.select(F.col(key), F.col(text).alias(text)), key, text, keep=(text,), **options)
+def redact(df: DataFrame, key: str = "doc_id", text: str = "text", mask: str = "[secret]", keep: tuple[str, ...] = (), **options) -> DataFrame:
+    """(key, text, *keep): every found span replaced by `mask`; overlapping spans are replaced together."""
+    spans = scan(df, key, text, keep=(text, *keep), **options)
     every = F.array_sort(F.concat("base", "added"))
-    rows = spans.select(F.col(key), F.col(text), every.alias("spans"))
+    rows = spans.select(key, text, *keep, every.alias("spans"))
     empty = F.struct(F.lit(1).alias("at"), F.lit("").alias("out"))
 
     def step(acc: Column, s: Column) -> Column:
@@ -119,7 +119,7 @@ def redact(df: DataFrame, key: str = "doc_id", text: str = "text", mask: str = "
         return F.struct(F.greatest(acc["at"], s["end"] + 1).alias("at"), F.when(inside, acc["out"]).otherwise(piece).alias("out"))
 
     done = F.aggregate("spans", empty, step, lambda acc: F.concat(acc["out"], F.substring(F.coalesce(F.col(text), F.lit("")), acc["at"], F.length(F.coalesce(F.col(text), F.lit(""))))))
-    return rows.select(key, F.when(F.size("spans") == 0, F.col(text)).otherwise(done).alias(text))
+    return rows.select(key, F.when(F.size("spans") == 0, F.col(text)).otherwise(done).alias(text), *keep)
 
 
 def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -279,16 +279,19 @@ def removal_digests(df: DataFrame, key: str = "doc_id", text: str = "text", widt
     return out.withColumnRenamed("d", key)
 
 
-def remove_repeats(df: DataFrame, key: str = "doc_id", text: str = "text", width: int = 50) -> DataFrame:
-    """(key, text, n_removed): rows that lose words get their kept words joined by one space; other texts stay as they are."""
+def remove_repeats(df: DataFrame, key: str = "doc_id", text: str = "text", width: int = 50, keep: tuple[str, ...] = ()) -> DataFrame:
+    """(key, text, *keep, n_removed): rows that lose words get their kept words joined by one space; other texts stay as they are."""
+    extra = [f"x{i}" for i in range(len(keep))]
 
     def finish(batch: pa.RecordBatch, kept: list[list[bytes]], totals: list[int]) -> pa.RecordBatch:
         gone = [n - len(words) for n, words in zip(totals, kept)]
         texts = [old if not g else b" ".join(words).decode() for old, g, words in zip(batch.column("t").to_pylist(), gone, kept)]
-        return pa.RecordBatch.from_arrays([batch.column("d"), pa.array(texts, pa.string()), pa.array(gone, pa.int64())], ["d", "t", "n_removed"])
+        return pa.RecordBatch.from_arrays([batch.column("d"), pa.array(texts, pa.string()), *(batch.column(x) for x in extra), pa.array(gone, pa.int64())], ["d", "t", *extra, "n_removed"])
 
-    out = _apply(df.selectExpr(f"cast(`{key}` as bigint) as d", f"`{text}` as t"), width, finish, "d bigint, t string, n_removed bigint", ["d", "t"])
-    return out.withColumnRenamed("d", key).withColumnRenamed("t", text)
+    rows = df.select(F.col(key).cast("bigint").alias("d"), F.col(text).alias("t"), *(F.col(c).alias(x) for c, x in zip(keep, extra)))
+    types = "".join(f", {f.name} {f.dataType.simpleString()}" for f in rows.schema.fields[2:])
+    out = _apply(rows, width, finish, f"d bigint, t string{types}, n_removed bigint", ["d", "t", *extra])
+    return out.withColumnsRenamed({"d": key, "t": text, **dict(zip(extra, keep))})
 
 
 def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
