@@ -11,17 +11,31 @@ from ..session import cut_lineage
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Connected components of `edges(a, b)` as (node, label): the least node reachable from each.
 
-    Each round takes the least label among neighbours and then follows labels once (pointer jumping).
-    All of it stays distributed; the driver sees one count a round.
+    In each round every node hooks to its least neighbour, hooks are followed to their ends by doubling, and the
+    edges are contracted to edges between labels: inner ones vanish and parallel ones fall together, so
+    the edge table at least halves its nodes each round.  All of it stays distributed; the driver sees one test a step.
     """
-    both = cut_lineage(edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a is not null and b is not null").distinct())
-    labels = cut_lineage(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("a")).alias("label")))
+    given = edges.select("a", "b").where("a is not null and b is not null")
+    live = cut_lineage(given.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+    labels = live.select(F.col("a").alias("node")).union(live.select("b")).distinct().select("node", F.col("node").alias("label"))
+    live = live.where("a <> b")
     for _ in range(max_rounds):
-        near = both.join(labels.withColumnRenamed("node", "b"), "b").groupBy(F.col("a").alias("node")).agg(F.min("label").alias("seen"))
-        step = labels.join(near, "node", "left").select("node", F.col("label").alias("was"), F.least("label", F.coalesce("seen", "label")).alias("label"))
-        jump = step.select(F.col("node").alias("label"), F.col("label").alias("further"))
-        new = cut_lineage(step.join(jump, "label", "left").select("node", "was", F.least("label", F.coalesce("further", "label")).alias("label")))
-        labels = new.select("node", "label")
-        if not new.where("label <> was").limit(1).count():
+        if not live.limit(1).count():
             return labels
+        both = live.union(live.select(F.col("b").alias("a"), F.col("a").alias("b")))
+        hooks = cut_lineage(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("to")))
+        jumped = _roots(hooks, max_rounds)
+        labels = cut_lineage(labels.join(jumped, labels["label"] == jumped["a"], "left").select("node", F.coalesce("to", "label").alias("label")))
+        ends = live.join(jumped.select("a", F.col("to").alias("la")), "a").join(jumped.select(F.col("a").alias("b"), F.col("to").alias("lb")), "b")
+        live = cut_lineage(ends.select(F.least("la", "lb").alias("a"), F.greatest("la", "lb").alias("b")).where("a <> b").distinct())
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")
+
+
+def _roots(hooks: DataFrame, max_rounds: int) -> DataFrame:
+    """(a, to) with each hook followed to its end; hooks only lead to smaller nodes, so they form trees."""
+    for _ in range(max_rounds):
+        step = cut_lineage(hooks.join(hooks.select(F.col("a").alias("to"), F.col("to").alias("further")), "to").select("a", F.col("further").alias("to"), (F.col("further") != F.col("to")).alias("moved")))
+        hooks = step.select("a", "to")
+        if not step.where("moved").limit(1).count():
+            return hooks
+    raise RuntimeError(f"hooks did not settle in {max_rounds} steps")

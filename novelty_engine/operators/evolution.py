@@ -148,19 +148,22 @@ def kruskal(edges: Iterable[tuple[float, int, int]]) -> list[int]:
     return out
 
 
-def temporal_forest(edges: DataFrame, engine: str = "boruvka", keys: list[str] | None = None, max_rounds: int = 40) -> DataFrame:
+def temporal_forest(edges: DataFrame, engine: str = "filter", keys: list[str] | None = None, max_rounds: int = 40) -> DataFrame:
     """Maximum spanning forest of edges(src, dst, sigma); ties: smallest distance, source, destination, so it is unique.
 
-    `boruvka`: rounds in which each component takes its best outgoing edge; any size, no grouping.  `kruskal`: one group per
-    axis (`keys`), for axes whose edges fit a task.  `filter`: forests of slices first, then the forest of what is left;
-    an edge rejected in a slice is rejected everywhere.
+    `filter`: forests of slices, merged eightfold until one is left; an edge rejected in a slice is rejected everywhere, so a
+    task holds at most eight forests, whose size is the number of winners and not of edges.  `boruvka`: rounds in which each
+    component takes its best outgoing edge; for axes with too many winners for one task.  `kruskal`: one group per
+    axis (`keys`), for many small axes at once.
     """
     if engine == "boruvka":
         return _boruvka(edges, max_rounds)
     if engine == "filter":
         ship(edges.sparkSession)
-        sliced = edges.withColumn("slice", F.pmod(F.xxhash64("src", "dst"), F.lit(16)))
-        return _boruvka(sliced.groupBy("slice").applyInPandas(_group_kruskal(edges.columns), edges.schema), max_rounds)
+        for slices in (64, 8, 1):
+            slice_ = F.pmod(F.xxhash64("src", "dst"), F.lit(slices))
+            edges = edges.withColumn("slice_", slice_).groupBy("slice_").applyInPandas(_group_kruskal(edges.columns), edges.schema)
+        return edges
     if engine == "kruskal":
         ship(edges.sparkSession)
         grouped = edges.groupBy(*keys) if keys else edges.withColumn("all_", F.lit(1)).groupBy("all_")

@@ -240,7 +240,7 @@ class Axis:
     def graph(self, prune: bool = False) -> DataFrame:
         return evolution.confidence_graph(self.nodes, self.clusters, self.pairs, self.related, prune)
 
-    def forest(self, gamma: float = 1.0, delta: float = 1.0, engine: str = "boruvka", prune: bool = True) -> DataFrame:
+    def forest(self, gamma: float = 1.0, delta: float = 1.0, engine: str = "filter", prune: bool = True) -> DataFrame:
         return evolution.temporal_forest(evolution.scored_edges(self.graph(prune), gamma, delta), engine)
 
 
@@ -713,8 +713,8 @@ def g12_forest_kruskal(spark, sf_dir):
 
 
 @query
-def g12_forest_filter(spark, sf_dir):
-    return Axis(spark, sf_dir).forest(engine="filter", prune=False).select("src", "dst", "conf", "gap", "sigma")
+def g12_forest_unpruned(spark, sf_dir):
+    return Axis(spark, sf_dir).forest(prune=False).select("src", "dst", "conf", "gap", "sigma")
 
 
 @query
