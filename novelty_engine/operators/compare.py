@@ -30,7 +30,10 @@ def verdict(scale: str = "ternary", cut: float = 0.25) -> Column:
 
 def duels(claims: DataFrame, scale: str = "ternary", explain: bool = False) -> DataFrame:
     """claims plus `s` (and `why`): the target plays each related item on each of its axes."""
-    out = claims.withColumn("s", verdict(scale))
+    s = verdict(scale)
+    if "t_unit" in claims.columns and "v_unit" in claims.columns:  # values in different units are not comparable
+        s = F.when(F.col("t_unit") != F.col("v_unit"), F.lit(None)).otherwise(s)
+    out = claims.withColumn("s", s)
     return out.withColumn("why", explanation()) if explain else out
 
 

@@ -52,6 +52,22 @@ def first_appearances(rows: DataFrame, keys: list[str], value: str) -> DataFrame
     return rows.where(F.col(value).isNotNull()).groupBy(*keys, value).agg(F.min("pos").alias("pos"))
 
 
+def bounded_first_appearances(rows: DataFrame, keys: list[str], value: str, bits: int = 16) -> DataFrame:
+    """First appearances with a history of fixed size: a value is known by one of 2**bits hash slots.
+
+    A new value whose slot is taken counts as known, so wins are a subset of the exact ones; `measures.recall_vs_exact`
+    gives the share that is found.
+    """
+    slot = F.pmod(F.xxhash64(value), F.lit(1 << bits)).alias("slot")
+    first = rows.where(F.col(value).isNotNull()).select(*keys, slot, "pos", value).groupBy(*keys, "slot").agg(F.min(F.struct("pos", value)).alias("x"))
+    return first.select(*keys, F.col(f"x.{value}").alias(value), F.col("x.pos").alias("pos"))
+
+
+def target_marker(paced: DataFrame) -> DataFrame:
+    """Where each target stands in its own timeline, with its scores there."""
+    return paced.where("is_target")
+
+
 def fold(values: list[float], tolerance: float, direction: int = 1) -> list[int]:
     """Places of the winners of one series in order."""
     out, state = [], None

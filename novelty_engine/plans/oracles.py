@@ -325,6 +325,7 @@ SELECT w.target_id, 'all' AS view, w.axis, n1 AS n_win, n0 AS n_draw, nm AS n_lo
 step(pos, led) AS (SELECT CAST(1 AS BIGINT), [CAST(1 AS BIGINT)] UNION ALL
   SELECT s.pos + 1, CASE WHEN EXISTS (SELECT 1 FROM rel WHERE rel.b = s.pos + 1 AND list_contains(s.led, rel.a)) THEN s.led ELSE list_append(s.led, s.pos + 1) END FROM step s WHERE s.pos < (SELECT count(*) FROM nodes))""") + " SELECT pos, item_id, value FROM nodes WHERE list_contains((SELECT led FROM step ORDER BY pos DESC LIMIT 1), pos)",
     "t11_dense_curves": study(1, 1) + f",{TIMELINE} SELECT g.target_id, g.axis, g.pos, adv.s, coalesce((SELECT max(nu) FROM adv b WHERE b.axis = g.axis AND b.pos <= g.pos), 0) AS nu FROM (SELECT tl.target_id, pos, axis FROM tl JOIN axes USING (target_id)) g LEFT JOIN adv ON adv.axis = g.axis AND adv.pos = g.pos",
+    "t12_target_marker": study() + f",{TIMELINE},{PACE} SELECT target_id, pos, nu_bar, d_nu_bar FROM paced WHERE is_target",
     "t14_spells": study() + f""",{TIMELINE},{PACE}, mv AS (SELECT target_id, pos, n_won > 0 AS moving, d_nu_bar, pos - row_number() OVER (PARTITION BY target_id, n_won > 0 ORDER BY pos) AS isl FROM paced)
 SELECT target_id, moving, min(pos) AS first_pos, max(pos) AS last_pos, count(*) AS n, round(sum(d_nu_bar), 6) AS gain FROM mv GROUP BY target_id, moving, isl HAVING moving OR count(*) >= 5""",
     "p09_shortlist": study() + ", h AS (SELECT target_id, item_id, count(*) FILTER (s <= 0) AS held, count(*) AS compared FROM duels WHERE axis IN ('n_chars', 'diversity', 'source') AND s IS NOT NULL GROUP BY 1, 2) SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY target_id ORDER BY held DESC, compared DESC, item_id) AS rank FROM h) WHERE rank <= 10",

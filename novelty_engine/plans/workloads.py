@@ -687,6 +687,19 @@ def y14_sketch_counts(spark, sf_dir):
     return measures.sketch_counts(rows, ["series"], "l_suppkey")
 
 
+@query
+def y14_bounded_history(spark, sf_dir):
+    """Share of first appearances that a history of fixed size still finds."""
+    rows = sources.line_series(spark, sf_dir, "p_brand").select("series", "pos", F.col("l_suppkey").cast("string").alias("value"))
+    exact = temporal.first_appearances(rows, ["series"], "value")
+    return measures.recall_vs_exact(temporal.bounded_first_appearances(rows, ["series"], "value", 14), exact, ["series", "value", "pos"])
+
+
+@query
+def t12_target_marker(spark, sf_dir):
+    return temporal.target_marker(documents(spark, sf_dir).pace).select("target_id", "pos", "nu_bar", "d_nu_bar")
+
+
 @query
 def g02_text_vectors(spark, sf_dir):
     """Hashed n-gram vectors of axis values and their nearest earlier value."""

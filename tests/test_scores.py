@@ -199,3 +199,16 @@ def test_empty_inputs(spark):
     assert temporal.tolerant_winners(empty, ["series"], "v", 0.1).count() == 0
     assert evolution.dbscan(empty.select("pos"), spark.createDataFrame([], "a bigint, b bigint"), 3).count() == 0
     assert evolution.temporal_forest(spark.createDataFrame([], EDGES)).count() == 0
+
+
+def test_units_must_agree(spark):
+    schema = "kind string, direction int, tolerance double, t_num double, v_num double, t_txt string, v_txt string, t_unit string, v_unit string"
+    rows = [("numeric", 1, 0.0, 2.0, 1.0, None, None, "ms", "ms"), ("numeric", 1, 0.0, 2.0, 1.0, None, None, "ms", "%")]
+    assert [r.s for r in compare.duels(spark.createDataFrame(rows, schema)).collect()] == [1, None]
+
+
+def test_bounded_history_is_a_subset(spark):
+    rows = series(spark, [f"v{i % 40}" for i in range(80)])
+    exact = {(r.v, r.pos) for r in temporal.first_appearances(rows, ["series"], "v").collect()}
+    bounded = {(r.v, r.pos) for r in temporal.bounded_first_appearances(rows, ["series"], "v", 4).collect()}
+    assert bounded <= exact and 0 < len(bounded) <= 16
