@@ -18,7 +18,19 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import cut_lineage, ship  # noqa: F401  used by the operators
+from .. import session
+from ..operators.components import components  # noqa: F401  used by the operators
+from ..session import cut_lineage  # noqa: F401
+
+#: Rows in one Arrow batch; texts are long, and a batch is held on both sides of the process border.
+BATCH_ROWS = 2000
+
+
+def ship(spark: SparkSession) -> SparkSession:
+    """`session.ship`, and Arrow batches sized for texts unless the session has its own size."""
+    if spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == "10000":
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+    return session.ship(spark)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -102,22 +114,3 @@ def bit_filter(hashes: DataFrame, column: str, bits: int = FILTER_BITS) -> BitFi
 
 def crc_fold(column: str, folds: int) -> Column:
     return F.pmod(F.crc32(F.col(column).cast("string").cast("binary")), F.lit(folds))
-
-
-def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
-    """Connected components of `edges(a, b)` as (node, label): the least node reachable from each.
-
-    Each round takes the least label among neighbours and then follows labels once (pointer jumping).
-    All of it stays distributed; the driver sees one count a round.
-    """
-    both = cut_lineage(edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a is not null and b is not null").distinct())
-    labels = cut_lineage(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("a")).alias("label")))
-    for _ in range(max_rounds):
-        near = both.join(labels.withColumnRenamed("node", "b"), "b").groupBy(F.col("a").alias("node")).agg(F.min("label").alias("seen"))
-        step = labels.join(near, "node", "left").select("node", F.col("label").alias("was"), F.least("label", F.coalesce("seen", "label")).alias("label"))
-        jump = step.select(F.col("node").alias("label"), F.col("label").alias("further"))
-        new = cut_lineage(step.join(jump, "label", "left").select("node", "was", F.least("label", F.coalesce("further", "label")).alias("label")))
-        labels = new.select("node", "label")
-        if not new.where("label <> was").limit(1).count():
-            return labels
-    raise RuntimeError(f"components did not settle in {max_rounds} rounds")

@@ -45,7 +45,7 @@ from .substring import gram_hashes, word_hashes
 COORDINATES = 64
 #: Buckets up to this many sets are compared directly; larger ones split, at most DEPTH times.
 SMALL, DEPTH, STUCK = 256, 5, 0.7
-BLOCK = 1024
+BLOCK = 512
 RECALL = 1 - 1e-6
 
 
@@ -227,7 +227,7 @@ def _verify(members: DataFrame, threshold: float) -> DataFrame:
     """members(tile, i, j, block, cid, copies, values) -> links counted per set and spanning links, as (cid, links, other)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in whole_groups(batches, "tile", "values", 8 << 20):
+        for part in whole_groups(batches, "tile", "values", 4 << 20):
             tiles = part.column("tile").to_numpy()
             begins = np.flatnonzero(np.r_[True, tiles[1:] != tiles[:-1]]).tolist()
             cids, copies, block = part.column("cid").to_numpy(), part.column("copies").to_numpy(), part.column("block").to_numpy()

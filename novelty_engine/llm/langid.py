@@ -81,17 +81,18 @@ class Sizer:
 def identify(df: DataFrame, dictionaries: dict[str, bytes], key: str = "doc_id", text: str = "text", narrow: float = NARROW, keep: tuple[str, ...] = ()) -> DataFrame:
     """(key, *keep, lang_pred, score, rejected) for every row."""
     shared = ship(df.sparkSession).sparkContext.broadcast(dictionaries)
+    at = f"k{1 + keep.index(text)}" if text in keep else "t"
     kept = ", ".join(f"k{i} {df.schema[c].dataType.simpleString()}" for i, c in enumerate((key, *keep)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sizer = Sizer(shared.value)
-        for batch in slices(batches, "t"):
-            found = [sizer.classify(t) for t in batch.column("t").to_pylist()]
+        for batch in slices(batches, at):
+            found = [sizer.classify(t) for t in batch.column(at).to_pylist()]
             scores = [score for _, score in found]
             names = [n for n in batch.schema.names if n != "t"]
             yield pa.RecordBatch.from_arrays([*(batch.column(n) for n in names), pa.array([lang for lang, _ in found], pa.string()), pa.array(scores, pa.float64()), pa.array([lang == "und" or score < narrow for lang, score in found], pa.bool_())], [*names, "lang_pred", "score", "rejected"])
 
-    out = df.select(*(F.col(c).alias(f"k{i}") for i, c in enumerate((key, *keep))), F.col(text).alias("t")).mapInArrow(run, f"{kept}, lang_pred string, score double, rejected boolean")
+    out = df.select(*(F.col(c).alias(f"k{i}") for i, c in enumerate((key, *keep))), *([] if text in keep else [F.col(text).alias("t")])).mapInArrow(run, f"{kept}, lang_pred string, score double, rejected boolean")
     return out.withColumnsRenamed({f"k{i}": c for i, c in enumerate((key, *keep))})
 
 

@@ -151,7 +151,7 @@ def _repeats(doc: np.ndarray, windows: list[bytes]) -> np.ndarray:
 
 def _bucket_spans(packed: DataFrame, width: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for rows in whole_groups(batches, "mini", "packed", 8 << 20):
+        for rows in whole_groups(batches, "mini", "packed", 3 << 20):
             mini, doc = rows.column("mini").to_numpy(), rows.column("doc").to_numpy()
             begins = np.flatnonzero(np.r_[True, mini[1:] != mini[:-1]])
             several = np.minimum.reduceat(doc, begins) < np.maximum.reduceat(doc, begins)
