@@ -84,8 +84,10 @@ def embed_text(value: Column, size: int = 64, gram: int = 3) -> Column:
     """Deterministic text vector: signed hashed character n-grams, counts, unit length."""
     padded = F.concat(F.lit(" "), normalise_value(value), F.lit(" "))
     grams = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.length(padded) - (gram - 1))), lambda i: F.xxhash64(F.substring(padded, i, F.lit(gram))))
-    raw = F.transform(F.sequence(F.lit(0), F.lit(size - 1)), lambda j: F.aggregate(F.filter(grams, lambda h: F.pmod(h, F.lit(size)) == j), F.lit(0.0), lambda s, h: s + F.when(F.shiftright(h, 63) == 0, 1.0).otherwise(-1.0)))
-    return F.transform(raw, lambda x: F.coalesce(F.try_divide(x, F.sqrt(F.aggregate(raw, F.lit(0.0), lambda s, v: s + v * v))), F.lit(0.0)))
+    spread = lambda g: F.transform(F.sequence(F.lit(0), F.lit(size - 1)), lambda j: F.aggregate(F.filter(g, lambda h: F.pmod(h, F.lit(size)) == j), F.lit(0.0), lambda s, h: s + F.when(F.shiftright(h, 63) == 0, 1.0).otherwise(-1.0)))
+    raw = F.transform(F.array(grams), spread)[0]  # hashes are made once
+    with_norm = F.transform(F.array(raw), lambda r: F.struct(r.alias("r"), F.sqrt(F.aggregate(r, F.lit(0.0), lambda s, v: s + v * v)).alias("n")))[0]  # evaluated once
+    return F.transform(F.array(with_norm), lambda w: F.transform(w["r"], lambda x: F.coalesce(F.try_divide(x, w["n"]), F.lit(0.0))))[0]
 
 
 _SQL = {

@@ -36,19 +36,39 @@ def jaccard_pairs(nodes: DataFrame, threshold: float, key: str = "pos", tokens:
     return both.select("a", "b", sim.alias("sim")).where(F.col("sim") >= threshold)
 
 
-def vector_pairs(vectors: DataFrame, threshold: float, key: str = "item_id", vec: str = "vec", metric: str = "cosine", block: int = 2000) -> DataFrame:
-    """(a, b, sim) of all pairs within a threshold, exactly, in blocks: vectors are dealt to blocks, each pair of blocks is a
-    group of at most two blocks.  Work grows with the square of the number of vectors, so it is for axes (winners), not corpora;
+def vector_pairs(vectors: DataFrame, threshold: float, key: str = "item_id", vec: str = "vec", metric: str = "cosine", block: int = 512, most_blocks: int = 64) -> DataFrame:
+    """(a, b, sim) of all pairs within a threshold, exactly: vectors are dealt to blocks, and each pair of blocks is one task-sized
+    matrix product.  Work grows with the square of the number of vectors, so it is for axes (winners), not corpora;
     `lsh_pairs` is the approximate way beyond.  Euclidean distances are passed as negative similarity.
     """
-    blocks = max(1, -(-vectors.count() // block))
+    ship(vectors.sparkSession)
+    blocks = min(most_blocks, max(1, -(-vectors.count() // block)))
     own = F.pmod(F.xxhash64(key), F.lit(blocks)).cast("int")
-    dealt = vectors.select(F.col(key).alias("id"), F.transform(vec, lambda x: x.cast("double")).alias("vec"), own.alias("own")).withColumn("k", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).select("id", "vec", "own", F.least("own", "k").alias("i"), F.greatest("own", "k").alias("j"))
-    left, right = dealt.select("i", "j", F.col("id").alias("a"), F.col("vec").alias("va"), F.col("own").alias("oa")), dealt.select("i", "j", F.col("id").alias("b"), F.col("vec").alias("vb"), F.col("own").alias("ob"))
-    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
-    sim = dot("va", "vb") / F.sqrt(dot("va", "va") * dot("vb", "vb")) if metric == "cosine" else -F.sqrt(F.aggregate(F.zip_with("va", "vb", lambda p, q: (p - q) * (p - q)), F.lit(0.0), lambda s, v: s + v))
-    once = F.when(F.col("i") == F.col("j"), F.lit(True)).otherwise(F.col("oa") != F.col("ob"))
-    return left.join(right, ["i", "j"]).where((F.col("a") < F.col("b")) & once).select("a", "b", F.round(sim, 6).alias("sim")).where(F.col("sim") >= threshold)
+    plain = vectors.select(F.col(key).cast("bigint").alias("id"), F.transform(vec, lambda x: x.cast("double")).alias("vec"), own.alias("own"))
+    dealt = plain.withColumn("k", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).select("id", "vec", "own", F.least("own", "k").alias("i"), F.greatest("own", "k").alias("j"))
+
+    def run(group: pd.DataFrame) -> pd.DataFrame:
+        import numpy as np
+
+        group = group.sort_values("id", kind="stable")
+        i, j = group["i"].iloc[0], group["j"].iloc[0]
+        left, right = (group[group["own"] == k] for k in (i, j))
+        if not len(left) or not len(right):
+            return pd.DataFrame({"a": [], "b": [], "sim": []})
+        x, y = np.stack(left["vec"].to_numpy()), np.stack(right["vec"].to_numpy())
+        nx, ny = np.sqrt((x * x).sum(axis=1)), np.sqrt((y * y).sum(axis=1))
+        if metric == "cosine":
+            with np.errstate(invalid="ignore", divide="ignore"):
+                sim = (x @ y.T) / (nx[:, None] * ny[None, :])
+        else:
+            sim = -np.sqrt(np.maximum(0.0, (nx * nx)[:, None] + (ny * ny)[None, :] - 2 * (x @ y.T)))
+        sim = np.round(sim, 6)
+        p, q = np.nonzero(sim >= threshold)
+        ids = left["id"].to_numpy()[p], right["id"].to_numpy()[q]
+        keep = ids[0] < ids[1] if i == j else ids[0] != ids[1]
+        return pd.DataFrame({"a": np.minimum(*ids)[keep], "b": np.maximum(*ids)[keep], "sim": sim[p, q][keep]})
+
+    return dealt.groupBy("i", "j").applyInPandas(run, "a bigint, b bigint, sim double")
 
 
 def lsh_pairs(vectors: DataFrame, threshold: float, key: str = "item_id", vec: str = "vec", tables: int = 24, bits: int = 8, size: int = 64) -> DataFrame:
@@ -78,7 +98,8 @@ def dbscan(nodes: DataFrame, pairs: DataFrame, min_pts: int, key: str = "pos") -
     A node counts itself among its neighbours; a border node joins the cluster with the least label among its core neighbours.
     """
     ids = nodes.select(F.col(key).alias("node")).distinct()
-    both = cut_lineage(pairs.select("a", "b").union(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))))
+    once = cut_lineage(pairs.select("a", "b"))
+    both = once.union(once.select(F.col("b").alias("a"), F.col("a").alias("b")))
     degree = both.groupBy(F.col("a").alias("node")).agg((F.count("*") + 1).alias("n"))
     core = cut_lineage(ids.join(degree, "node", "left").where(F.coalesce("n", F.lit(1)) >= min_pts).select("node"))
     inner = both.join(core.select(F.col("node").alias("a")), "a", "left_semi").join(core.select(F.col("node").alias("b")), "b", "left_semi")

@@ -31,7 +31,7 @@ class Study:
 
     items: DataFrame
     links_plan: DataFrame
-    features: DataFrame
+    features_of: Callable[[DataFrame | None], DataFrame]
     n_targets: int = TARGETS
     depth: int = 2
     only: list[str] | None = None
@@ -48,13 +48,24 @@ class Study:
     def network(self) -> DataFrame:
         return cut_lineage(network.layered_network(self.links, self.targets, self.depth))
 
+    @cached_property
+    def features(self) -> DataFrame:
+        """Features of the whole corpus."""
+        return self.features_of(None)
+
+    @cached_property
+    def near_features(self) -> DataFrame:
+        """Features of targets and network members only: bodies outside the networks are never parsed."""
+        needed = self.network.select("item_id").union(self.targets.select("target_id")).distinct()
+        return cut_lineage(self.features_of(needed))
+
     @cached_property
     def axes(self) -> DataFrame:
-        return cut_lineage(extract.extract_axes(self.features, self.targets, only=self.only))
+        return cut_lineage(extract.extract_axes(self.near_features, self.targets, only=self.only))
 
     @cached_property
     def claims(self) -> DataFrame:
-        return extract.fill_claims(self.network, self.features, self.axes)
+        return extract.fill_claims(self.network, self.near_features, self.axes)
 
     @cached_property
     def duels(self) -> DataFrame:
@@ -91,12 +102,20 @@ class Study:
 
 def documents(spark: SparkSession, sf_dir: str, **options) -> Study:
     docs = sources.load(spark, sf_dir, "documents")
-    return Study(sources.document_items(docs), sources.document_links(docs), sources.document_features(docs), **options)
+
+    def features(ids: DataFrame | None) -> DataFrame:
+        return sources.document_features(docs if ids is None else docs.join(ids, docs["doc_id"] == ids["item_id"], "left_semi"))
+
+    return Study(sources.document_items(docs), sources.document_links(docs), features, **options)
 
 
 def parts(spark: SparkSession, sf_dir: str, **options) -> Study:
     items = cut_lineage(sources.part_items(spark, sf_dir))
-    return Study(items, sources.part_links(spark, sf_dir, items), sources.long_features(items, sources.PART_NUMERIC, sources.PART_CATEGORICAL), **{"depth": 1, **options})
+
+    def features(ids: DataFrame | None) -> DataFrame:
+        return sources.long_features(items if ids is None else items.join(ids, "item_id", "left_semi"), sources.PART_NUMERIC, sources.PART_CATEGORICAL)
+
+    return Study(items, sources.part_links(spark, sf_dir, items), features, **{"depth": 1, **options})
 
 
 @query
@@ -427,7 +446,7 @@ def w25_caps(spark, sf_dir):
 def w26_curation(spark, sf_dir):
     study = documents(spark, sf_dir)
     edits = spark.createDataFrame([("remove", "n_lines", None, None, None), ("edit", "n_chars", None, None, -1)], "op string, axis string, new_axis string, kind string, direction int")
-    edited = extract.fill_claims(study.network, study.features, extract.curate_axes(study.axes, edits))
+    edited = extract.fill_claims(study.network, study.near_features, extract.curate_axes(study.axes, edits))
     before, after = (overall.overall_score(overall.axis_counts(v)).select("target_id", F.col("omega").alias(n)) for v, n in ((study.duels, "omega_before"), (compare.duels(edited), "omega_after")))
     return before.join(after, "target_id")
 
