@@ -8,6 +8,7 @@ from neighbours in time only (an exact pruning), and the forest from rounds in w
 from __future__ import annotations
 
 from collections.abc import Iterable
+from math import acos, ceil, log, pi
 
 import pandas as pd
 from pyspark.sql import DataFrame, Window
@@ -71,8 +72,15 @@ def vector_pairs(vectors: DataFrame, threshold: float, key: str = "item_id", vec
     return dealt.groupBy("i", "j").applyInPandas(run, "a bigint, b bigint, sim double")
 
 
-def lsh_pairs(vectors: DataFrame, threshold: float, key: str = "item_id", vec: str = "vec", tables: int = 24, bits: int = 8, size: int = 64) -> DataFrame:
-    """Approximate `vector_pairs` by signs of hashed random projections; every candidate is checked exactly."""
+def lsh_pairs(vectors: DataFrame, threshold: float, key: str = "item_id", vec: str = "vec", recall: float = 0.97, bits: int = 5, size: int = 64) -> DataFrame:
+    """Approximate `vector_pairs` by signs of hashed random projections; every candidate is checked exactly.
+
+    Two vectors at the threshold agree in one sign with p = 1 - angle / pi, so 1 - (1 - p**bits)**tables of their pairs are
+    found; the number of tables follows from the recall asked for.  More bits suit higher thresholds.
+    """
+    agree = (1 - acos(max(-1.0, min(1.0, threshold))) / pi) ** bits
+    tables = 1 if agree >= recall else ceil(log(1 - recall) / log(1 - agree))
+
     def bit(t: int, b: int):
         signs = F.array(*(F.lit(1.0 if (hash_bit(t, b, j)) else -1.0) for j in range(size)))
         return F.when(F.aggregate(F.zip_with(vec, signs, lambda x, s: x * s), F.lit(0.0), lambda a, v: a + v) >= 0, F.lit(1 << b)).otherwise(0)

@@ -319,7 +319,7 @@ SELECT conv_id, pos, CAST(n_won AS BIGINT) AS n_won, round(sum(n_won) OVER (PART
 c AS (SELECT item_id, size, count(*) AS n, max(count(*)) OVER (PARTITION BY item_id) AS most FROM v GROUP BY 1, 2) SELECT item_id, CASE WHEN count(*) = 1 THEN min(size) END AS size FROM c WHERE n = most GROUP BY 1""",
     "o10_axis_contributions": study() + f""",{counts()},{omega("counts")},
 lo AS (SELECT x.target_id, x.axis, CASE WHEN sum(y.p1) > 1e-12 THEN sum(y.p1 * y.sc) / sum(y.p1) ELSE avg(y.sc) END AS omega_without FROM scores_p x JOIN scores_p y ON x.target_id = y.target_id AND x.axis <> y.axis GROUP BY 1, 2)
-SELECT w.target_id, 'all' AS view, w.axis, n1 AS n_win, n0 AS n_draw, nm AS n_loss, round(sc, 6) AS axis_score, round(w, 6) AS weight, round(w * sc, 6) AS contribution, round(omega_without, 6) AS omega_without FROM scores_w w LEFT JOIN lo ON lo.target_id = w.target_id AND lo.axis = w.axis""",
+SELECT w.target_id, 'all' AS view, w.axis, n1 AS n_win, n0 AS n_draw, nm AS n_loss, round(sc, 6) AS axis_score, round(w, 6) AS weight, round(w * sc, 6) + 0.0 AS contribution, round(omega_without, 6) AS omega_without FROM scores_w w LEFT JOIN lo ON lo.target_id = w.target_id AND lo.axis = w.axis""",
     "o12_merged_counts": study() + f",{counts()},{omega('counts')} SELECT target_id, omega, n_axes FROM scores",
     "t05_fuzzy_leaders": axis(""",
 step(pos, led) AS (SELECT CAST(1 AS BIGINT), [CAST(1 AS BIGINT)] UNION ALL
