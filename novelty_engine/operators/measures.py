@@ -87,7 +87,8 @@ def rank_agreement(rows: DataFrame, a: str, b: str, key: str, k: int) -> DataFra
 
 def noisy(claims: DataFrame, noise: float, seed: int = 3) -> DataFrame:
     """Values shaken by up to `noise` of their size, the same way every time."""
-    unit = F.pmod(F.xxhash64("target_id", "item_id", "axis", F.lit(seed)), F.lit(2001)) / 1000.0 - 1.0
+    digest = F.substring(F.md5(F.concat_ws("|", "target_id", "item_id", "axis", F.lit(seed))), 1, 8)
+    unit = (F.conv(digest, 16, 10).cast("bigint") % 2001).cast("double") / 1000.0 - 1.0
     return claims.withColumn("v_num", F.col("v_num") * (1 + noise * unit))
 
 

@@ -270,6 +270,10 @@ lin(root, node, depth) USING KEY (root, node) AS (
   SELECT pos, pos, CAST(0 AS BIGINT) FROM nodes WHERE pos NOT IN (SELECT dst FROM forest)
   UNION
   SELECT l.root, f.dst, min(l.depth + 1) FROM lin l JOIN forest f ON f.src = l.node LEFT JOIN recurring.lin k ON k.root = l.root AND k.node = f.dst WHERE k.depth IS NULL OR l.depth + 1 < k.depth GROUP BY 1, 2)""") + " SELECT * FROM lin WHERE root = (SELECT root FROM lin GROUP BY root ORDER BY count(*) DESC, root LIMIT 1)",
+    "w15_sigma_sweep": " UNION ALL ".join(
+        f"SELECT CAST({g} AS DOUBLE) AS gamma, CAST({d} AS DOUBLE) AS delta, count(*) AS n_edges, round(CAST(sum(CAST(sigma AS DECIMAL(18,6))) AS DOUBLE), 6) AS total_sigma FROM (" + axis(forest(g, d)) + " SELECT sigma FROM forest)"
+        for g, d in ((1, 1), (0, 1), (1, 0), (2, 1), (0, 0))
+    ),
     "w16_references_only": "SELECT target_id, omega, omega_refs, round(omega - omega_refs, 6) AS diff FROM (" + study() + report("lang") + ")",
     "w17_extractors": "SELECT engine, count(*) AS cells, 1.0::DOUBLE AS agree_share FROM documents CROSS JOIN (SELECT unnest(['built_in', 'sql', 'pandas', 'map', 'row']) AS engine) GROUP BY engine",
     "w18_stage_calls": study() + ", z AS (SELECT n.target_id, count(*) AS n, any_value(m) AS m FROM net n JOIN (SELECT target_id, count(*) AS m FROM axes GROUP BY 1) USING (target_id) GROUP BY 1) " + " UNION ALL ".join(f"SELECT target_id, '{k}' AS stage, CAST({v} AS BIGINT) AS calls FROM z" for k, v in {"axes": "1", "values": "n", "overall": "n * m", "temporal": "(n + 1) * m", "graph": "n * (n - 1) // 2"}.items()),
@@ -337,6 +341,11 @@ SELECT target_id, moving, min(pos) AS first_pos, max(pos) AS last_pos, count(*)
     "b05_cumulative_ranks": study() + f",{TIMELINE},{PACE} SELECT target_id, item_id, nu_bar, rank() OVER (PARTITION BY target_id ORDER BY nu_bar DESC) AS nu_rank FROM paced",
     "b07_direct_labels": study() + f",{TIMELINE},{PACE} SELECT target_id, CASE WHEN d_nu_bar >= 0.3 THEN 'seminal' WHEN d_nu_bar > 0 THEN 'incremental' ELSE 'none' END AS label, count(*) AS n FROM paced GROUP BY 1, 2",
     "y05_stability": study() + " SELECT count(*) AS cells, 1.0::DOUBLE AS agree_share FROM duels",
+    "y07_flip_rates": study() + f""", noisy AS (SELECT * REPLACE (v_num * (1 + 0.05::DOUBLE * (CAST(CAST('0x' || substr(md5(concat_ws('|', target_id, item_id, axis, 3)), 1, 8) AS BIGINT) % 2001 AS DOUBLE) / 1000.0::DOUBLE - 1.0::DOUBLE)) AS v_num) FROM claims),
+after AS (SELECT *, CAST({VERDICT} AS INTEGER) AS s FROM noisy),
+five0 AS (SELECT target_id, item_id, axis, CAST(s AS DOUBLE) AS t, CAST({FIVE} AS DOUBLE) AS f FROM duels), five1 AS (SELECT target_id, item_id, axis, CAST(s AS DOUBLE) AS t, CAST({FIVE} AS DOUBLE) AS f FROM after),
+j AS (SELECT a.t AS t0, b.t AS t1, a.f AS f0, b.f AS f1 FROM five0 a JOIN five1 b USING (target_id, item_id, axis) WHERE a.t IS NOT NULL)
+SELECT count(*) AS n, round(count(*) FILTER (t0 <> t1) / count(*), 6) AS flips, 'ternary' AS scale FROM j UNION ALL SELECT count(*), round(count(*) FILTER (f0 <> f1) / count(*), 6), 'five' FROM j""",
     "y08_cluster_quality": VECTOR_CLUSTERS + """, j AS (SELECT f.*, vec.label FROM found f JOIN vec ON item_id = vec_id), c AS (SELECT cluster, label, count(*) AS n FROM j WHERE cluster IS NOT NULL GROUP BY 1, 2),
 t AS (SELECT (SELECT sum(n * (n - 1) / 2) FROM c) AS ab, (SELECT sum(n * (n - 1) / 2) FROM (SELECT sum(n) AS n FROM c GROUP BY cluster)) AS a, (SELECT sum(n * (n - 1) / 2) FROM (SELECT sum(n) AS n FROM c GROUP BY label)) AS b, (SELECT sum(n) FROM c) AS total)
 SELECT round((ab - a * b / (total * (total - 1) / 2)) / ((a + b) / 2 - a * b / (total * (total - 1) / 2)), 6) AS ari, round((SELECT sum(n) FROM (SELECT max(n) AS n FROM c GROUP BY cluster)) / total, 6) AS purity, (SELECT round(count(*) FILTER (cluster IS NULL) / count(*), 6) FROM j) AS noise_share FROM t""",
