@@ -166,9 +166,12 @@ def w06_pace_all_targets(spark, sf_dir):
 
 
 def _line_records(spark, sf_dir, key):
-    rows = sources.line_series(spark, sf_dir, key)
-    price = temporal.numeric_advances(rows, ["series"], "unit_price", -1).select("series", F.lit("unit_price").alias("axis"), "pos", "s", "nu")
-    return price.unionByName(temporal.numeric_advances(rows, ["series"], "l_discount").select("series", F.lit("discount").alias("axis"), "pos", "s", "nu"))
+    """Records of two axes at once: one scan, one exchange by series."""
+    rows = sources.line_series(spark, sf_dir, key).select("series", "pos", "unit_price", "l_discount")
+    done = temporal.numeric_advances(rows, ["series"], "unit_price", -1).withColumnsRenamed({"s": "price_s", "nu": "price_nu"})
+    done = temporal.numeric_advances(done, ["series"], "l_discount")
+    axes = F.array(F.struct(F.lit("unit_price").alias("axis"), F.col("price_s").alias("s"), F.col("price_nu").alias("nu")), F.struct(F.lit("discount").alias("axis"), "s", "nu"))
+    return done.select("series", "pos", F.explode(axes).alias("x")).select("series", "x.axis", "pos", "x.s", "x.nu")
 
 
 @query
@@ -375,12 +378,12 @@ def w19_similar_profiles(spark, sf_dir):
 @query
 def w20_associations_parts(spark, sf_dir):
     items = sources.part_items(spark, sf_dir)
-    return applications.associated_values(applications.knowledge_graph(sources.long_features(items, {}, ["brand", "nation"])), "brand", "nation")
+    return applications.associated_values(cut_lineage(applications.knowledge_graph(sources.long_features(items, {}, ["brand", "nation"]))), "brand", "nation")
 
 
 @query
 def w20_associations_documents(spark, sf_dir):
-    graph = applications.knowledge_graph(sources.document_features(sources.load(spark, sf_dir, "documents")))
+    graph = cut_lineage(applications.knowledge_graph(sources.document_features(sources.load(spark, sf_dir, "documents"))).where("axis in ('licence', 'source')"))
     return applications.associated_values(graph, "licence", "source").unionByName(applications.associated_values(graph, "source", "licence"))
 
 

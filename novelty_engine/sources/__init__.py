@@ -115,8 +115,8 @@ def line_series(spark: SparkSession, sf_dir: str, key: str) -> DataFrame:
         lines = lines.join(load(spark, sf_dir, "part").select("p_partkey", "p_brand"), F.col("l_partkey") == F.col("p_partkey"))
     order = ["l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice"]
     price = F.col("l_extendedprice") / F.col("l_quantity")
-    numbered = Window.partitionBy(key).orderBy(*order)
-    return lines.select(F.col(key).cast("string").alias("series"), F.row_number().over(numbered).cast("bigint").alias("pos"), price.alias("unit_price"), "l_discount", "l_quantity", "l_suppkey", "l_returnflag", "l_orderkey")
+    numbered = Window.partitionBy("series").orderBy(*order)
+    return lines.withColumn("series", F.col(key).cast("string")).select("series", F.row_number().over(numbered).cast("bigint").alias("pos"), price.alias("unit_price"), "l_discount", "l_quantity", "l_suppkey", "l_returnflag", "l_orderkey")
 
 
 def page_items(pages: DataFrame) -> DataFrame:
