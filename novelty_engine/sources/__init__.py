@@ -38,12 +38,32 @@ def document_items(docs: DataFrame) -> DataFrame:
     return docs.crossJoin(F.broadcast(n)).select(F.col("doc_id").alias("item_id"), day.alias("pub_date"), F.year(day).alias("year"), "lang", "source", F.col("text").alias("body"))
 
 
-def document_links(docs: DataFrame, least: int = 40, most_documents: int = 50) -> DataFrame:
+def member_pairs(rows: DataFrame, by: list[str], member: str, block: int = 512) -> DataFrame:
+    """(low, high) once for each group of `by` and each pair of its members, from distinct rows(by, member).
+
+    A group of more than `block` members is dealt by hash to blocks, and each pair of blocks is gathered on its own,
+    so no array holds a whole large group.
+    """
+    known = rows.where(F.col(member).isNotNull())
+    sizes = known.groupBy(*by).agg(F.count("*").alias("n")).where("n > 1")
+    blocks = F.ceil(F.col("n") / F.lit(block)).cast("int")
+    own = F.pmod(F.xxhash64(member, F.lit(77)), blocks).cast("int")
+    tiles = F.transform(F.sequence(F.lit(0), blocks - 1), lambda k: F.struct(F.least(own, k).alias("i"), F.greatest(own, k).alias("j")))
+    dealt = known.join(sizes, by).select(*by, F.struct(F.col(member).alias("m"), own.alias("own")).alias("x"), F.explode(tiles).alias("tile"))
+    groups = dealt.groupBy(*by, "tile").agg(F.sort_array(F.collect_list("x")).alias("xs"))
+    ordered = groups.select(F.posexplode("xs").alias("at", "a"), "xs", (F.col("tile.i") != F.col("tile.j")).alias("cross"))
+    pairs = ordered.select("a", "cross", F.explode(F.slice("xs", F.col("at") + 2, F.size("xs"))).alias("b"))
+    return pairs.where("not cross or a.own <> b.own").select(F.col("a.m").alias("low"), F.col("b.m").alias("high"))
+
+
+def document_links(docs: DataFrame, least: int = 40, most_documents: int | None = 50) -> DataFrame:
     """Later documents cite earlier ones when they share a distinct line of `least` characters or more that at most
-    `most_documents` documents have.  Lines travel as two hashes; a line is gathered only after its count is known
-    to be small, so no group is large.
+    `most_documents` documents have (None: any number).  Lines travel as two hashes; a line is gathered only after its
+    count is known to be small, or in blocks, so no group is large.
     """
     lines = docs.select(F.col("doc_id"), F.explode(F.array_distinct(F.filter(F.transform(F.split("text", "\n"), F.trim), lambda x: F.length(x) >= least))).alias("line")).select("doc_id", F.xxhash64("line").alias("h0"), F.xxhash64("line", F.lit(1)).alias("h1"))
+    if most_documents is None:
+        return member_pairs(lines.distinct(), ["h0", "h1"], "doc_id").groupBy(F.col("high").alias("src"), F.col("low").alias("dst")).agg(F.count("*").cast("double").alias("relevance"))
     frequent = lines.groupBy("h0", "h1").agg(F.count("*").alias("n")).where(f"n between 2 and {most_documents}").drop("n")
     groups = lines.join(frequent, ["h0", "h1"]).groupBy("h0", "h1").agg(F.sort_array(F.collect_list("doc_id"), asc=False).alias("ids"))
     later = groups.select(F.posexplode("ids").alias("at", "src"), "ids")

@@ -48,6 +48,20 @@ def test_baseline_triple_is_intransitive(spark):
     assert {("a", "b"), ("b", "c"), ("c", "a")} <= beats
 
 
+def test_links_through_lines_of_any_frequency(spark):
+    common, rare = "c" * 40, "r" * 45
+    docs = spark.createDataFrame([(i, f"{common}\n{rare}" if i % 40 == 0 else common) for i in range(120)], "doc_id bigint, text string")
+    got = {(r.src, r.dst): r.relevance for r in sources.document_links(docs, most_documents=None).collect()}
+    assert got == {(a, b): 2.0 if a % 40 == b % 40 == 0 else 1.0 for a in range(120) for b in range(a)}
+    assert sources.document_links(docs).count() == 3
+
+
+def test_pairs_of_a_group_in_blocks(spark):
+    rows = spark.createDataFrame([("hot", i) for i in range(50)] + [("small", 1), ("small", 2), ("one", 9), ("hot", None)], "value string, item_id bigint")
+    got = sorted((r.low, r.high) for r in sources.member_pairs(rows, ["value"], "item_id", block=7).collect())
+    assert got == sorted([(a, b) for b in range(50) for a in range(b)] + [(1, 2)])
+
+
 def test_stream_orders_and_counts(spark, tmp_path):
     start = datetime(2024, 1, 1)
     rows = [("k", i, start + timedelta(hours=h), v) for i, (h, v) in enumerate([(0, 1.0), (3, 5.0), (1, 3.0), (2, 2.0), (4, None), (5, 5.0), (6, 9.0)])]
