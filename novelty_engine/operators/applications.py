@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..sources import member_pairs
+
 
 def radar(verdicts: DataFrame, target_id: int, items: list[int] | None = None) -> DataFrame:
     """(axis, item_id, s) of one target, for a radar chart."""
@@ -68,14 +70,12 @@ def associated_values(graph: DataFrame, axis_a: str, axis_b: str, least_support:
     return rows.select("value_a", "value_b", "support", F.round(F.col("support") / F.col("na"), 6).alias("confidence"), F.round(F.col("support") * F.col("n") / (F.col("na") * F.col("nb")), 6).alias("lift"))
 
 
-def bridges(values: DataFrame, links: DataFrame, most_items: int = 50) -> DataFrame:
+def bridges(values: DataFrame, links: DataFrame) -> DataFrame:
     """Pairs of items that share values but no link: (item_a, item_b, n_shared), from values(item_id, value).
 
-    A value of more than `most_items` items says nothing about a pair and takes no part (a parameter of the measure).
+    Every value counts, however many items have it; the pairs of a frequent one are made in blocks.
     """
-    rare = values.distinct().groupBy("value").agg(F.count("*").alias("n")).where(f"n between 2 and {most_items}").drop("n")
-    groups = values.distinct().join(rare, "value").groupBy("value").agg(F.sort_array(F.collect_list("item_id")).alias("ids"))
-    pairs = groups.select(F.posexplode("ids").alias("at", "item_a"), "ids").select("item_a", F.explode(F.slice("ids", F.col("at") + 2, F.size("ids"))).alias("item_b")).groupBy("item_a", "item_b").agg(F.count("*").alias("n_shared"))
+    pairs = member_pairs(values.distinct(), ["value"], "item_id").groupBy(F.col("low").alias("item_a"), F.col("high").alias("item_b")).agg(F.count("*").alias("n_shared"))
     linked = links.select(F.least("src", "dst").alias("item_a"), F.greatest("src", "dst").alias("item_b")).distinct()
     return pairs.join(linked, ["item_a", "item_b"], "left_anti")
 

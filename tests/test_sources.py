@@ -56,6 +56,13 @@ def test_links_through_lines_of_any_frequency(spark):
     assert sources.document_links(docs).count() == 3
 
 
+def test_bridges_through_values_of_any_frequency(spark):
+    values = spark.createDataFrame([(i, "mit") for i in range(60)] + [(3, "passage"), (7, "passage")], "item_id bigint, value string")
+    links = spark.createDataFrame([(2, 1), (59, 0)], "src bigint, dst bigint")
+    got = {(r.item_a, r.item_b): r.n_shared for r in applications.bridges(values, links).collect()}
+    assert got == {(a, b): 1 + ((a, b) == (3, 7)) for b in range(60) for a in range(b) if (b, a) not in {(2, 1), (59, 0)}}
+
+
 def test_pairs_of_a_group_in_blocks(spark):
     rows = spark.createDataFrame([("hot", i) for i in range(50)] + [("small", 1), ("small", 2), ("one", 9), ("hot", None)], "value string, item_id bigint")
     got = sorted((r.low, r.high) for r in sources.member_pairs(rows, ["value"], "item_id", block=7).collect())
