@@ -73,7 +73,8 @@ def minhash(values: np.ndarray) -> np.ndarray:
 
 
 def _sketches(docs: DataFrame, words: int) -> DataFrame:
-    """(doc, cid, sig) for every row: cid names the set (0 for the empty one), sig is its minhash."""
+    """(doc, cid, sig) for every row: cid names the set (0 for the empty one), sig is its minhash; columns named keep_* go along."""
+    keep = [c for c in docs.columns if c.startswith("keep_")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "t"):
@@ -87,9 +88,10 @@ def _sketches(docs: DataFrame, words: int) -> DataFrame:
                 cid, sig = known[text]
                 cids.append(cid)
                 sigs.append(sig)
-            yield pa.RecordBatch.from_arrays([batch.column("d"), pa.array(np.array(cids, np.uint64).view(np.int64)), pa.array(sigs, pa.list_(pa.int32()))], ["doc", "cid", "sig"])
+            yield pa.RecordBatch.from_arrays([batch.column("d"), pa.array(np.array(cids, np.uint64).view(np.int64)), pa.array(sigs, pa.list_(pa.int32())), *(batch.column(c) for c in keep)], ["doc", "cid", "sig", *keep])
 
-    return docs.mapInArrow(run, "doc bigint, cid bigint, sig array<int>")
+    kept = "".join(f", {c} {docs.schema[c].dataType.simpleString()}" for c in keep)
+    return docs.mapInArrow(run, f"doc bigint, cid bigint, sig array<int>{kept}")
 
 
 def _runs(threshold: float, recall: float) -> int:
@@ -253,8 +255,19 @@ def _verify(members: DataFrame, threshold: float) -> DataFrame:
 
 def near_classes(df: DataFrame, key: str = "doc_id", text: str = "text", words: int = 5, threshold: float = 0.8, recall: float = RECALL) -> DataFrame:
     """(key, class_id, n_links) for every row."""
+    return _near(df, key, text, words, threshold, recall).select(F.col("doc").alias(key), F.when(F.col("cid") == 0, F.col("doc")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("bigint").alias("n_links"))
+
+
+def near_groups(df: DataFrame, keep: dict[str, Column], text: str = "text", words: int = 5, threshold: float = 0.8, recall: float = RECALL) -> DataFrame:
+    """(near_group, *keep) for every row: the group names the row's class whatever its ids are; null for a text without words."""
+    named = _near(df, None, text, words, threshold, recall, keep)
+    return named.select(F.when(F.col("cid") != 0, F.col("group")).alias("near_group"), *(F.col(f"keep_{i}").alias(c) for i, c in enumerate(keep)))
+
+
+def _near(df: DataFrame, key: str | None, text: str, words: int, threshold: float, recall: float, keep: dict[str, Column] | None = None) -> DataFrame:
+    """(doc, cid, class_id, n_links, group, keep_*) for every row."""
     ship(df.sparkSession)
-    docs = df.select(F.col(key).cast("bigint").alias("d"), F.col(text).alias("t"))
+    docs = df.select((F.col(key).cast("bigint") if key else F.lit(None).cast("bigint")).alias("d"), F.col(text).alias("t"), *(v.alias(f"keep_{i}") for i, v in enumerate((keep or {}).values())))
     sketches = cut_lineage(_sketches(docs, words))
     full = sketches.where("cid <> 0")
     classes = cut_lineage(full.groupBy("cid").agg(F.min("doc").alias("least"), F.count("*").alias("copies"), F.first("sig").alias("sig")))
@@ -284,10 +297,9 @@ def near_classes(df: DataFrame, key: str = "doc_id", text: str = "text", words:
     links = verified.where("links > 0").groupBy("cid").agg(F.sum("links").alias("links"))
     joined = components(verified.where("other is not null").select(F.col("cid").alias("a"), F.col("other").alias("b")))
     named = joined.withColumnRenamed("node", "cid").join(classes.select("cid", "least"), "cid")
-    ids = named.join(named.groupBy("label").agg(F.min("least").alias("class_id")), "label").select("cid", "class_id")
-    known = classes.select("cid", "least", "copies").join(ids, "cid", "left").join(links, "cid", "left").select("cid", F.coalesce("class_id", "least").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
-    out = sketches.select("doc", "cid").join(known, "cid", "left")
-    return out.select(F.col("doc").alias(key), F.when(F.col("cid") == 0, F.col("doc")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("bigint").alias("n_links"))
+    ids = named.join(named.groupBy("label").agg(F.min("least").alias("class_id")), "label").select("cid", "class_id", "label")
+    known = classes.select("cid", "least", "copies").join(ids, "cid", "left").join(links, "cid", "left").select("cid", F.coalesce("label", "cid").alias("group"), F.coalesce("class_id", "least").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
+    return sketches.drop("sig").join(known, "cid", "left")
 
 
 def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

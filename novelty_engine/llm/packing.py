@@ -20,7 +20,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ship, table
+from .common import cut_lineage, ship, table
+from .jaccard import near_groups
 
 CAPACITY, SHARD_ROWS = 2048, 4096
 
@@ -84,7 +85,7 @@ def units(text: str) -> Column:
 def pack(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", length: Column | None = None, cluster: Column | None = None, capacity: int = CAPACITY, shard_rows: int = SHARD_ROWS) -> DataFrame:
     """(key, piece, n_units, shard, bin_no, bin_offset): one row per piece of each document.
 
-    The default cluster is the text itself (exact copies); pass a column to use near-duplicate classes.
+    The default cluster is the text itself (exact copies); `pack_near` uses near-duplicate classes.
     """
     ship(df.sparkSession)
     small = df.select(F.col(key).cast("bigint").alias("id"), (units(text) if length is None else length).alias("length"), F.col(source).cast("string").alias("source"), (F.xxhash64(F.coalesce(F.col(text), F.lit(""))) if cluster is None else cluster).alias("cluster"))
@@ -99,5 +100,12 @@ def pack(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "
     return out.withColumnsRenamed({"id": key, "length": "n_units"})
 
 
+def pack_near(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", **options) -> DataFrame:
+    """`pack` with classes of near copies as clusters; a text without words has its exact copies only."""
+    keep = {key: F.col(key), source: F.col(source), "length": units(text), "exact": F.xxhash64(F.coalesce(F.col(text), F.lit("")))}
+    rows = cut_lineage(near_groups(df, keep, text))
+    return pack(rows, key, text, source, length=F.col("length"), cluster=F.coalesce("near_group", "exact"), **options)
+
+
 def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pack(table(spark, sf_dir, "documents"))
+    return pack_near(table(spark, sf_dir, "documents"))

@@ -223,6 +223,20 @@ def test_packing_places_everything(spark, corpus):
         assert at <= packing.CAPACITY
 
 
+def test_packing_keeps_near_copies_apart(spark, corpus):
+    base = table(spark, corpus)
+    rows = [(*r[:3], f"s{i}", *r[4:]) for i, r in enumerate(base.collect())] + [(None, corpus[46][1], "en", "null id", 1, "k", "t", 0.5, 3)]
+    docs = spark.createDataFrame(rows, SCHEMA)
+    out = packing.pack_near(docs).collect()
+    assert len(out) == packing.pack(docs).count()
+    classes = {d: c for d, (c, _) in brute.near_classes(corpus).items()}
+    classes[None] = classes[corpus[46][0]]
+    assert len({classes[d] for d in range(200, 204)} | {classes[d] for d in range(300, 308)}) == 1
+    seen = [(r.shard, r.bin_no, classes[r.doc_id]) for r in out if r.n_units < packing.CAPACITY]
+    assert len(seen) == len(set(seen))
+    assert len({(r.shard, r.bin_no) for r in out}) < len(out)
+
+
 def test_empty_tables(spark, tmp_path):
     empty = table(spark, [])
     assert substring.removal_digests(empty).count() == jaccard.near_classes(empty).count() == packing.pack(empty).count() == 0
