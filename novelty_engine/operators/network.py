@@ -56,12 +56,12 @@ def require_body(network: DataFrame, items: DataFrame) -> tuple[DataFrame, DataF
 
 
 def semantic_network(vectors: DataFrame, targets: DataFrame, top_k: int = 20, min_sim: float = 0.0, most_targets: int = 10_000) -> DataFrame:
-    """Nearest vectors of each target instead of links.  Targets are a stated query set, checked to be small and broadcast."""
+    """Nearest vectors of each target instead of links.  Up to `most_targets` targets are broadcast; more are dealt to blocks of about that many."""
     chosen = vectors.join(targets, vectors["item_id"] == targets["target_id"]).select("target_id", F.col("vec").alias("t_vec"))
-    if chosen.count() > most_targets:
-        raise ValueError(f"more than {most_targets} targets: run them in blocks")
+    n = chosen.count()
+    blocks = F.broadcast(chosen) if n <= most_targets else chosen.repartition(-(-n // most_targets), "target_id").hint("shuffle_replicate_nl")
     dot = F.aggregate(F.zip_with("t_vec", "vec", lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
-    near = vectors.join(F.broadcast(chosen), F.col("item_id") != F.col("target_id")).select("target_id", "item_id", F.round(dot, 6).alias("relevance")).where(F.col("relevance") >= min_sim)
+    near = vectors.join(blocks, F.col("item_id") != F.col("target_id")).select("target_id", "item_id", F.round(dot, 6).alias("relevance")).where(F.col("relevance") >= min_sim)
     return cap_neighbours(near, ["target_id"], limit=top_k).select("target_id", "item_id", F.lit("similar").alias("relation"), F.lit(1).alias("layer"), "relevance")
 
 

@@ -146,17 +146,22 @@ def page_items(pages: DataFrame) -> DataFrame:
 def contained_passages(docs: DataFrame, passages: DataFrame, most: int = 2000, anchor: int = 5) -> DataFrame:
     """(item_id, passage_id) where a document holds a whole passage.
 
-    Passages are a small given set (checked).  Documents are screened by one hash per word: a passage can only occur where
+    Up to `most` passages are broadcast; more meet the documents by a shuffle on the same hashes.  Documents are screened by one hash per word: a passage can only occur where
     the hash of its second to sixth word occurs; passages too short for that are looked for everywhere.
     """
     n = passages.count()
-    if n > most:
-        raise ValueError(f"{n} passages; at most {most} are broadcast")
     grams = lambda w: F.transform(F.sequence(F.lit(1), F.size(w) - (anchor - 1)), lambda i: F.xxhash64(F.array_join(F.slice(w, i, anchor), " ")))
     own = passages.select(F.col("item_id").alias("passage_id"), F.col("text").alias("passage"), words(F.col("text")).alias("w"))
     anchored = own.withColumn("h", F.when(F.size("w") >= anchor + 2, F.xxhash64(F.array_join(F.slice("w", 2, anchor), " "))))
-    screen = anchored.agg(F.collect_set("h").alias("hs"))
     w = words(F.col("text"))
+    if n > most:
+        texts = docs.select(F.col("doc_id").alias("item_id"), "text")
+        found = docs.select(F.col("doc_id").alias("item_id"), w.alias("w")).where(F.size("w") >= anchor).select("item_id", F.explode(F.array_distinct(grams(F.col("w")))).alias("h"))
+        likely = found.join(anchored.where("h is not null").select("h", "passage_id", "passage"), "h").select(F.col("item_id").alias("at"), "passage_id", "passage").distinct()
+        by_anchor = likely.join(texts, F.col("at").eqNullSafe(F.col("item_id"))).where(F.contains("text", "passage")).select("item_id", "passage_id")
+        blocks = anchored.where("h is null").select("passage_id", "passage").repartition(-(-n // most), "passage_id").hint("shuffle_replicate_nl")
+        return by_anchor.union(texts.join(blocks, F.contains("text", "passage")).select("item_id", "passage_id")).distinct()
+    screen = anchored.agg(F.collect_set("h").alias("hs"))
     seen = docs.select(F.col("doc_id").alias("item_id"), "text", w.alias("w")).crossJoin(F.broadcast(screen)).select("item_id", "text", F.when(F.size("w") >= anchor, F.array_intersect(grams(F.col("w")), F.col("hs"))).otherwise(F.array().cast("array<bigint>")).alias("hit"))
     by_anchor = seen.where(F.size("hit") > 0).select("item_id", "text", F.explode("hit").alias("h")).join(F.broadcast(anchored.where("h is not null").select("h", "passage_id", "passage")), "h").where(F.contains("text", "passage")).select("item_id", "passage_id")
     short = seen.join(F.broadcast(anchored.where("h is null").select("passage_id", "passage")), F.contains("text", "passage")).select("item_id", "passage_id")

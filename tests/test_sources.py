@@ -43,6 +43,21 @@ def test_passages_equal_plain_search(spark, sf):
     assert got == {(d.doc_id, p) for d in docs.collect() for p, t in texts.items() if t in d.text}
 
 
+def test_passages_in_any_number(spark, sf):
+    docs, passages = sources.load(spark, sf, "documents"), sources.load(spark, sf, "benchmark").union(spark.createDataFrame([(9001, "the")], "item_id bigint, text string"))
+    few, many = ({(r.item_id, r.passage_id) for r in sources.contained_passages(docs, passages, most=n).collect()} for n in (2000, 7))
+    assert few == many and {p for _, p in many} > {9001}
+
+
+def test_targets_in_any_number(spark):
+    from novelty_engine.operators import network
+
+    vectors = spark.createDataFrame([(i, [float(i % 7), float(i % 5), 1.0]) for i in range(60)], "item_id bigint, vec array<double>")
+    targets = spark.range(0, 60, 3).withColumnRenamed("id", "target_id")
+    one, blocks = (sorted(map(tuple, network.semantic_network(vectors, targets, 5, most_targets=n).collect())) for n in (100, 6))
+    assert one == blocks and len(blocks) == 100
+
+
 def test_baseline_triple_is_intransitive(spark):
     beats = {(r.winner, r.loser) for r in baselines.intransitive_triple(spark).collect()}
     assert {("a", "b"), ("b", "c"), ("c", "a")} <= beats
