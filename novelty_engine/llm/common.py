@@ -12,15 +12,17 @@ Conventions that every operator of this subpackage keeps:
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .. import session
 from ..operators.components import components  # noqa: F401  used by the operators
-from ..session import cut_lineage  # noqa: F401
+from ..session import cut_lineage, fresh_folder  # noqa: F401
 
 #: Rows in one Arrow batch; texts are long, and a batch is held on both sides of the process border.
 BATCH_ROWS = 2000
@@ -56,6 +58,8 @@ def slices(batches: Iterable[pa.RecordBatch], text: str, limit: int = 16 << 20)
 def _lengths(column: pa.Array) -> np.ndarray:
     import pyarrow.compute as pc
 
+    if pa.types.is_list(column.type):
+        return pc.fill_null(pc.list_value_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64) * 8
     return pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64)
 
 
@@ -82,6 +86,36 @@ def whole_groups(batches: Iterable[pa.RecordBatch], key: str, weight: str | None
         yield pa.Table.from_batches(held).combine_chunks()
 
 
+class Words:
+    """The words of many texts as one flat array of hashes: word k of text i stands at `first[i]` + k."""
+
+    def __init__(self, texts: list[bytes]):
+        self.split = [text.split() for text in texts]
+        self.sizes = np.fromiter(map(len, self.split), np.int64, len(texts))
+        self.end = np.cumsum(self.sizes)
+        self.first = self.end - self.sizes
+        self.hashes = np.fromiter(map(xxhash.xxh3_64_intdigest, chain.from_iterable(self.split)), np.uint64, int(self.sizes.sum()))
+
+    def owner(self) -> np.ndarray:
+        """Text of each word."""
+        return np.repeat(np.arange(len(self.sizes)), self.sizes)
+
+
+_MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB], np.uint64)  # odd multipliers
+
+
+def gram_hashes(hashes: np.ndarray, gram: int) -> np.ndarray:
+    """A well-mixed hash of every `gram` consecutive words."""
+    n = max(0, len(hashes) - gram + 1)
+    out = np.zeros(n, np.uint64)
+    for k in range(gram):
+        out *= np.uint64(0x9E3779B97F4A7C15)
+        out += hashes[k : k + n] ^ _MIX[k % len(_MIX)]
+    out ^= out >> np.uint64(32)
+    out *= np.uint64(0xD6E8FEB86659FD93)
+    return out ^ (out >> np.uint64(29))
+
+
 FILTER_BITS = 27
 
 

@@ -16,9 +16,10 @@ and are represented once.  Then, for representatives:
    the pairs that look similar enough (six standard errors under the threshold), not the pairs.
    Connected components of those give candidate clusters: every pair that any bucket brought
    together and that may reach the threshold lies inside one cluster.
-3. *Verification.*  The shingle sets of cluster members are fetched once, and all pairs of a cluster
-   are compared exactly by a blocked matrix product; clusters over `BLOCK` members are cut into
-   blocks and each pair of blocks is one piece of work, so no task holds a whole large cluster.
+3. *Verification.*  The shingle sets of cluster members are made again, from one text each, and all pairs
+   of a cluster are compared exactly by a blocked matrix product; clusters over `BLOCK` members or
+   `BLOCK_SHINGLES` shingles are cut into blocks and each pair of blocks is one piece of work, so no
+   task holds a whole large cluster.  A set then travels once for each block of its cluster.
    Per set the number of linked documents is counted; pairs are never written out.
 
 The result has one row per document: the class id is the least doc_id of its connected component of links,
@@ -39,59 +40,76 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import binary, bit_filter, components, cut_lineage, ship, slices, table, whole_groups
-from .substring import gram_hashes, word_hashes
+from .common import Words, binary, bit_filter, components, cut_lineage, gram_hashes, ship, slices, table, whole_groups
 
 COORDINATES = 64
 #: Buckets up to this many sets are compared directly; larger ones split, at most DEPTH times.
 SMALL, DEPTH, STUCK = 256, 5, 0.7
-BLOCK = 512
+#: Sets in a block of a large bucket or cluster, and shingles in a block of a cluster.
+BLOCK, BLOCK_SHINGLES = 2048, 2 << 20
 RECALL = 1 - 1e-6
 
 
-def shingles(text: bytes, words: int) -> np.ndarray:
-    """Sorted distinct 64-bit hashes of the word n-grams."""
-    parts = text.split()
-    if not parts:
-        return np.zeros(0, np.uint64)
-    if len(parts) < words:
-        return np.array([xxhash.xxh3_64_intdigest(b" ".join(parts), seed=1)], np.uint64)
-    return np.unique(gram_hashes(word_hashes(parts), words))
+def shingles(texts: list[bytes], words: int) -> list[np.ndarray]:
+    """Sorted distinct 64-bit hashes of each text's word n-grams."""
+    found = Words(texts)
+    grams = gram_hashes(found.hashes, words)
+    return [np.unique(grams[a : a + n - words + 1]) if n >= words else np.array([xxhash.xxh3_64_intdigest(b" ".join(parts), seed=1)] if n else [], np.uint64) for a, n, parts in zip(found.first.tolist(), found.sizes.tolist(), found.split)]
 
 
-_SALT = (np.arange(1, COORDINATES + 1, dtype=np.uint64) * np.uint64(0xD1342543DE82EF95)) | np.uint64(1)
+def set_name(values: np.ndarray) -> int:
+    """64-bit name of a set, 0 for the empty one."""
+    return (xxhash.xxh3_64_intdigest(values.tobytes()) or 1) if len(values) else 0
 
 
-def minhash(values: np.ndarray) -> np.ndarray:
-    """COORDINATES 32-bit minima of independently mixed hashes."""
-    out = np.empty(COORDINATES, np.uint32)
-    for i in range(COORDINATES):
-        mixed = values * _SALT[i]
-        mixed ^= mixed >> np.uint64(31)
-        out[i] = ((mixed * _SALT[-1 - i]) >> np.uint64(32)).min()
+_ODD = np.arange(1, 2 * COORDINATES + 1, dtype=np.uint64) * np.uint64(0xD1342543DE82EF95)
+_SALT = ((_ODD ^ (_ODD >> np.uint64(29))) >> np.uint64(31)).astype(np.uint32) | np.uint32(1)
+
+
+def minhash(sets: list[np.ndarray], chunk: int = 1 << 15) -> np.ndarray:
+    """COORDINATES 32-bit minima of independently mixed hashes for each set (none of them empty)."""
+    out = np.empty((len(sets), COORDINATES), np.uint32)
+    sizes = np.fromiter(map(len, sets), np.int64, len(sets))
+    block = np.cumsum(sizes) // chunk
+    cuts = [0, *(np.flatnonzero(np.diff(block)) + 1).tolist(), len(sets)]
+    for a, b in zip(cuts, cuts[1:]):  # values that stay in the cache
+        if a == b:
+            continue
+        flat = np.concatenate(sets[a:b])
+        flat = (flat ^ (flat >> np.uint64(32))).astype(np.uint32)
+        begins = np.cumsum(sizes[a:b]) - sizes[a:b]
+        mixed, shifted = np.empty_like(flat), np.empty_like(flat)
+        for i in range(COORDINATES):
+            np.multiply(flat, _SALT[i], out=mixed)
+            np.right_shift(mixed, np.uint32(15), out=shifted)
+            np.bitwise_xor(mixed, shifted, out=mixed)
+            np.multiply(mixed, _SALT[COORDINATES + i], out=mixed)
+            out[a:b, i] = np.minimum.reduceat(mixed, begins)
     return out
 
 
 def _sketches(docs: DataFrame, words: int) -> DataFrame:
-    """(doc, cid, sig) for every row: cid names the set (0 for the empty one), sig is its minhash; columns named keep_* go along."""
+    """(doc, cid, size, text_key, sig) for every row: cid names the set (0 for the empty one), sig is its minhash; columns named keep_* go along."""
     keep = [c for c in docs.columns if c.startswith("keep_")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches, "t"):
-            cids, sigs = [], []
-            known: dict[bytes, tuple[int, list | None]] = {}
-            for text in binary(batch.column("t")):
-                text = text or b""
-                if text not in known:
-                    found = shingles(text, words)
-                    known[text] = (xxhash.xxh3_64_intdigest(found.tobytes()) or 1, minhash(found).view(np.int32)) if len(found) else (0, None)
-                cid, sig = known[text]
-                cids.append(cid)
-                sigs.append(sig)
-            yield pa.RecordBatch.from_arrays([batch.column("d"), pa.array(np.array(cids, np.uint64).view(np.int64)), pa.array(sigs, pa.list_(pa.int32())), *(batch.column(c) for c in keep)], ["doc", "cid", "sig", *keep])
+        for batch in slices(batches, "t", 4 << 20):
+            texts = [x or b"" for x in binary(batch.column("t"))]
+            place = {text: i for i, text in enumerate(dict.fromkeys(texts))}
+            sets = shingles(list(place), words)
+            filled = [i for i, values in enumerate(sets) if len(values)]
+            sigs = np.zeros((len(sets), COORDINATES), np.uint32)
+            if filled:
+                sigs[filled] = minhash([sets[i] for i in filled])
+            at = np.array([place[text] for text in texts])
+            sizes = np.array([len(values) for values in sets])[at]
+            cids = np.array([set_name(values) for values in sets], np.uint64)[at]
+            keys = np.array([xxhash.xxh3_64_intdigest(text) for text in place], np.uint64)[at]
+            sig = pa.ListArray.from_arrays(pa.array(np.arange(len(at) + 1, dtype=np.int32) * COORDINATES), pa.array(sigs[at].view(np.int32).ravel()))
+            yield pa.RecordBatch.from_arrays([batch.column("d"), pa.array(cids.view(np.int64)), pa.array(sizes, pa.int64()), pa.array(keys.view(np.int64)), sig, *(batch.column(c) for c in keep)], ["doc", "cid", "size", "text_key", "sig", *keep])
 
     kept = "".join(f", {c} {docs.schema[c].dataType.simpleString()}" for c in keep)
-    return docs.mapInArrow(run, f"doc bigint, cid bigint, sig array<int>{kept}")
+    return docs.mapInArrow(run, f"doc bigint, cid bigint, size bigint, text_key bigint, sig array<int>{kept}")
 
 
 def _runs(threshold: float, recall: float) -> int:
@@ -104,27 +122,22 @@ def _alike(threshold: float) -> int:
 
 
 def _link_alike(sig: np.ndarray, least: int) -> np.ndarray:
-    """Smallest position that each row is joined to through rows with `least` agreeing coordinates."""
-    n = len(sig)
-    root = np.arange(n)
-
-    def find(x: int) -> int:
-        while root[x] != x:
-            root[x] = root[root[x]]
-            x = root[x]
-        return x
-
-    for i in range(n - 1):
-        rest = np.arange(i + 1, n)
-        near = rest[(sig[i + 1 :] == sig[i]).sum(axis=1) >= least]
-        mine = find(i)
-        for j in near.tolist():
-            other = find(j)
-            if other != mine:
-                low, high = min(mine, other), max(mine, other)
-                root[high] = low
-                mine = low
-    return np.array([find(i) for i in range(n)])
+    """First position of each row's component, rows being joined where `least` coordinates agree.
+
+    Rows that hang together already are not compared again, so a group of near copies costs one pass.
+    """
+    label = np.arange(len(sig))
+    for i in range(len(sig) - 1):
+        rest = i + 1 + np.flatnonzero(label[i + 1 :] != label[i])
+        if not len(rest):
+            if (label == label[i]).all():
+                break
+            continue
+        near = rest[(sig[rest] == sig[i]).sum(axis=1) >= least]
+        if len(near):
+            merged = np.unique(np.r_[label[i], label[near]])
+            label[np.isin(label, merged)] = merged[0]
+    return label
 
 
 def _bucket_edges(rows: DataFrame, least: int) -> DataFrame:
@@ -152,9 +165,8 @@ def _bucket_edges(rows: DataFrame, least: int) -> DataFrame:
     return rows.repartition("path").sortWithinPartitions("path").mapInArrow(run, "a bigint, b bigint")
 
 
-def _tiles(n: Column, member: Column) -> Column:
+def _tiles(blocks: Column, member: Column) -> Column:
     """Block pairs (i <= j) that a member's block takes part in, as structs(i, j, block)."""
-    blocks = F.ceil(n / F.lit(BLOCK)).cast("int")
     own = F.pmod(F.xxhash64(member, F.lit(77)), blocks).cast("int")
     return F.transform(F.sequence(F.lit(0), blocks - 1), lambda k: F.struct(F.least(own, k).alias("i"), F.greatest(own, k).alias("j"), own.alias("block")))
 
@@ -177,7 +189,7 @@ def candidate_edges(sets: DataFrame, threshold: float, recall: float) -> DataFra
         kept = cut_lineage(level.join(sizes, "path"))
         stuck = (F.col("n") > SMALL) & ((F.col("n") > STUCK * F.col("parent_n")) & (F.col("parent_n") > 0) if depth + 1 < DEPTH else F.lit(True))
         small = kept.where(F.col("n") <= SMALL).select("path", "cid")
-        blocks = kept.where(stuck).select("path", "cid", F.explode(_tiles(F.col("n"), F.col("cid"))).alias("x")).select(F.xxhash64("path", "x.i", "x.j").alias("path"), "cid")
+        blocks = kept.where(stuck).select("path", "cid", F.explode(_tiles(F.ceil(F.col("n") / F.lit(BLOCK)).cast("int"), F.col("cid"))).alias("x")).select(F.xxhash64("path", "x.i", "x.j").alias("path"), "cid")
         compared = small.union(blocks) if compared is None else compared.union(small).union(blocks)
         split = kept.where((F.col("n") > SMALL) & ~stuck)
         if depth + 1 == DEPTH or not split.limit(1).count():
@@ -187,42 +199,56 @@ def candidate_edges(sets: DataFrame, threshold: float, recall: float) -> DataFra
 
 
 def _exact(values: list[np.ndarray], block: np.ndarray, cross: bool, weight: np.ndarray, threshold: float) -> tuple[np.ndarray, list[tuple[int, int]]]:
-    """(linked weight of each set, spanning links) over all pairs, or over pairs of different blocks."""
+    """(linked weight of each set, spanning links) over all pairs, or over the pairs of two blocks."""
     n = len(values)
+    left = np.flatnonzero(block == block.min()) if cross else np.arange(n)
+    right = np.flatnonzero(block != block.min()) if cross else left
     sizes = np.array([len(v) for v in values])
-    flat = np.concatenate(values)
+    total = np.zeros(n)
+    if not len(left) or not len(right):
+        return total.astype(np.int64), []
     owner = np.repeat(np.arange(n), sizes)
-    _, token, counts = np.unique(flat, return_inverse=True, return_counts=True)
+    _, token, counts = np.unique(np.concatenate(values), return_inverse=True, return_counts=True)
     often = counts[token] > 1
     owner, token = owner[often], np.unique(token[often], return_inverse=True)[1]
-    shared = np.zeros((n, n), np.float32)
     order = np.argsort(token, kind="stable")
     owner, token = owner[order], token[order]
-    width = 4096
+    shared = np.zeros((len(left), len(right)), np.float32)
+    width = 2048
     top = int(token[-1]) + 1 if len(token) else 0
     for start in range(0, top, width):
         a, b = np.searchsorted(token, [start, start + width])
         dense = np.zeros((n, min(width, top - start)), np.float32)
         dense[owner[a:b], token[a:b] - start] = 1
-        shared += dense @ dense.T
-    union = sizes[:, None] + sizes[None, :] - shared
-    linked = shared >= threshold * union - 1e-6 * union
-    np.fill_diagonal(linked, False)
+        shared += dense[left] @ dense[right].T
+    union = (sizes[left][:, None] + sizes[right][None, :]).astype(np.float32) - shared
+    linked = shared >= np.float32(threshold) * union - np.float32(1e-6) * union
     if cross:
-        linked &= block[:, None] != block[None, :]
-    total = linked @ weight.astype(np.float64)
-    pairs, seen = [], np.zeros(n, bool)
-    for root in range(n):  # breadth first: one link to reach each set
+        total[left] += linked @ weight[right].astype(np.float64)
+        total[right] += linked.T @ weight[left].astype(np.float64)
+    else:
+        np.fill_diagonal(linked, False)
+        total += linked @ weight.astype(np.float64)
+    return total.round().astype(np.int64), _spanning(linked, left, right, n)
+
+
+def _spanning(linked: np.ndarray, left: np.ndarray, right: np.ndarray, n: int) -> list[tuple[int, int]]:
+    """Links that reach every set of each component of a (left x right) matrix of links."""
+    at_left, at_right = np.full(n, -1), np.full(n, -1)
+    at_left[left], at_right[right] = np.arange(len(left)), np.arange(len(right))
+    seen, pairs = np.zeros(n, bool), []
+    for root in left[linked.any(axis=1)].tolist():
         if seen[root]:
             continue
         seen[root], front = True, [root]
         while front:
             x = front.pop()
-            for y in np.flatnonzero(linked[x] & ~seen).tolist():
+            near = right[linked[at_left[x]]] if at_left[x] >= 0 else left[linked[:, at_right[x]]]
+            for y in near[~seen[near]].tolist():
                 seen[y] = True
                 pairs.append((x, y))
                 front.append(y)
-    return total.round().astype(np.int64), pairs
+    return pairs
 
 
 def _verify(members: DataFrame, threshold: float) -> DataFrame:
@@ -270,36 +296,29 @@ def _near(df: DataFrame, key: str | None, text: str, words: int, threshold: floa
     docs = df.select((F.col(key).cast("bigint") if key else F.lit(None).cast("bigint")).alias("d"), F.col(text).alias("t"), *(v.alias(f"keep_{i}") for i, v in enumerate((keep or {}).values())))
     sketches = cut_lineage(_sketches(docs, words))
     full = sketches.where("cid <> 0")
-    classes = cut_lineage(full.groupBy("cid").agg(F.min("doc").alias("least"), F.count("*").alias("copies"), F.first("sig").alias("sig")))
+    classes = cut_lineage(full.groupBy("cid").agg(F.min("doc").alias("least"), F.count("*").alias("copies"), F.first("size").alias("size"), F.min("text_key").alias("text_key"), F.first("sig").alias("sig")))
     clusters = components(candidate_edges(classes.select("cid", "sig"), threshold, recall)).withColumnRenamed("node", "cid")
-    sizes = clusters.groupBy("label").agg(F.count("*").alias("n"))
-    active = cut_lineage(clusters.join(sizes, "label").join(classes.select("cid", "copies"), "cid"))
-    wanted = ship(df.sparkSession).sparkContext.broadcast(bit_filter(active, "cid"))
+    labelled = clusters.join(classes.select("cid", "copies", "size", "text_key"), "cid")
+    blocks = F.greatest(F.ceil(F.count("*") / F.lit(BLOCK)), F.ceil(F.sum("size") / F.lit(BLOCK_SHINGLES))).cast("int")
+    active = cut_lineage(labelled.join(labelled.groupBy("label").agg(blocks.alias("blocks")), "label"))
+    wanted = ship(df.sparkSession).sparkContext.broadcast(bit_filter(active, "text_key"))  # one text stands for each set
 
     def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches, "t"):
-            cids, values, once = [], [], set()
-            for raw in binary(batch.column("t")):
-                if raw in once:
-                    continue
-                once.add(raw)
-                found = shingles(raw or b"", words)
-                cid = xxhash.xxh3_64_intdigest(found.tobytes()) or 1
-                if len(found) and wanted.value.hits(np.array([cid], np.uint64))[0] and cid not in once:
-                    once.add(cid)
-                    cids.append(cid)
-                    values.append(found.tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(np.array(cids, np.uint64).view(np.int64)), pa.array(values, pa.binary())], ["cid", "values"])
+        for batch in slices(batches, "t", 4 << 20):
+            once = list(dict.fromkeys(x or b"" for x in binary(batch.column("t"))))
+            keys = np.array([xxhash.xxh3_64_intdigest(x) for x in once], np.uint64)
+            sets = [x for x in shingles([once[i] for i in np.flatnonzero(wanted.value.hits(keys)).tolist()], words) if len(x)]
+            yield pa.RecordBatch.from_arrays([pa.array(np.array([set_name(x) for x in sets], np.uint64).view(np.int64)), pa.array([x.tobytes() for x in sets], pa.binary())], ["cid", "values"])
 
     sets = docs.select("t").mapInArrow(fetch, "cid bigint, values binary").groupBy("cid").agg(F.first("values").alias("values"))
-    members = sets.join(active, "cid").select("cid", "copies", "values", "label", F.explode(_tiles(F.col("n"), F.col("cid"))).alias("x")).select(F.xxhash64("label", "x.i", "x.j").alias("tile"), "x.i", "x.j", "x.block", "cid", "copies", "values")
+    members = sets.join(active, "cid").select("cid", "copies", "values", "label", F.explode(_tiles(F.col("blocks"), F.col("cid"))).alias("x")).select(F.xxhash64("label", "x.i", "x.j").alias("tile"), "x.i", "x.j", "x.block", "cid", "copies", "values")
     verified = cut_lineage(_verify(members, threshold))
     links = verified.where("links > 0").groupBy("cid").agg(F.sum("links").alias("links"))
     joined = components(verified.where("other is not null").select(F.col("cid").alias("a"), F.col("other").alias("b")))
     named = joined.withColumnRenamed("node", "cid").join(classes.select("cid", "least"), "cid")
     ids = named.join(named.groupBy("label").agg(F.min("least").alias("class_id")), "label").select("cid", "class_id", "label")
     known = classes.select("cid", "least", "copies").join(ids, "cid", "left").join(links, "cid", "left").select("cid", F.coalesce("label", "cid").alias("group"), F.coalesce("class_id", "least").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
-    return sketches.drop("sig").join(known, "cid", "left")
+    return sketches.drop("sig", "size", "text_key").join(known, "cid", "left")
 
 
 def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,17 +3,19 @@
 A window is `width` consecutive words.  Its minimiser is the least hash among its word
 `gram`-grams; equal windows have equal minimisers, so all copies of a window meet in one bucket.
 Consecutive windows that share a minimiser travel as one packed string (their words joined by
-single spaces), cut from a document once instead of once per window.  In its bucket a packed
-string is opened again and the windows are sorted; equal neighbours are compared byte by byte,
+single spaces), cut from a document once instead of once per window.  In its bucket the windows of
+the packed strings are sorted where they lie, by digest; equal neighbours are compared byte by byte,
 and a window whose least doc_id is smaller than the document's own covers words to remove.
 
-Two things keep this whole and even at scale:
+Two things keep this whole and even at scale, and neither depends on the size of the data:
 
 * one counting pass over minimisers (pre-aggregated before its shuffle) fills a bitmap of fixed
   size with those that occur in two documents; other windows cannot repeat and do not travel.
   A full bitmap only lets more through.
-* a minimiser with more runs than one bucket should hold goes another exact way: its windows are
-  aggregated by 128-bit digest, with partial sums before the shuffle, and joined back.
+* a minimiser with more than HOT_RUNS runs (a second bitmap) is dealt out by digest instead.  Equal
+  packed strings become one row with their least and greatest doc_id, so a group of copies counts
+  once; of what is left, windows are aggregated by 128-bit digest with partial sums before the
+  shuffle, and joined back.  No task then holds more than HOT_RUNS runs of one minimiser.
 
 Null or empty text has no words.  Rows with a null doc_id, or rows that repeat a doc_id, are
 answered each; a null doc_id neither removes nor loses words, and equal doc_ids do not remove
@@ -31,28 +33,11 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BitFilter, binary, bit_filter, slices, table, whole_groups
+from .common import BitFilter, Words, binary, bit_filter, cut_lineage, gram_hashes, slices, table, whole_groups
 
 GRAM = 4
 RUN_WINDOWS = 64
-#: A minimiser is hot above this many runs, or above this share of all runs, whichever is more.
-HOT_RUNS, HOT_SHARE = 5_000, 2_000_000
-_MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB], np.uint64)  # odd multipliers
-
-
-def word_hashes(words: list[bytes]) -> np.ndarray:
-    return np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, len(words))
-
-
-def gram_hashes(hashes: np.ndarray, gram: int) -> np.ndarray:
-    """A well-mixed hash of every `gram` consecutive words."""
-    n = len(hashes) - gram + 1
-    out = np.zeros(n, np.uint64)
-    for k in range(gram):
-        out = out * np.uint64(0x9E3779B97F4A7C15) + (hashes[k : k + n] ^ _MIX[k % len(_MIX)])
-    out ^= out >> np.uint64(32)
-    out *= np.uint64(0xD6E8FEB86659FD93)
-    return out ^ (out >> np.uint64(29))
+HOT_RUNS = 256
 
 
 def sliding_least(values: np.ndarray, width: int) -> np.ndarray:
@@ -64,92 +49,124 @@ def sliding_least(values: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(values[: len(values) - (width - have)], values[width - have :]) if have < width else values
 
 
-def super_runs(hashes: np.ndarray, width: int, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(minimiser, first window, windows) of each maximal run, cut into at most RUN_WINDOWS windows."""
-    if len(hashes) < width:
+def super_runs(words: Words, width: int, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(text, minimiser, first window, windows) of each maximal run, cut into at most RUN_WINDOWS windows."""
+    total = len(words.hashes)
+    if total < width:
         none = np.zeros(0, np.int64)
-        return none.astype(np.uint64), none, none
-    least = sliding_least(gram_hashes(hashes, gram), width - gram + 1)
-    starts = np.flatnonzero(np.r_[True, least[1:] != least[:-1]])
-    lengths = np.diff(np.r_[starts, len(least)])
+        return none, none.astype(np.uint64), none, none
+    least = sliding_least(gram_hashes(words.hashes, gram), width - gram + 1)
+    owner = words.owner()[: len(least)]
+    inside = np.arange(len(least)) + width <= words.end[owner]  # windows that end in their own text
+    same = (least[1:] == least[:-1]) & inside[1:] & inside[:-1]
+    starts = np.flatnonzero(inside & ~np.r_[False, same])
+    lengths = np.flatnonzero(inside & ~np.r_[same, False]) + 1 - starts
     if (lengths > RUN_WINDOWS).any():
         parts = -(-lengths // RUN_WINDOWS)
         within = np.arange(parts.sum()) - np.repeat(np.cumsum(parts) - parts, parts)
+        stops = np.repeat(starts + lengths, parts)
         starts = np.repeat(starts, parts) + within * RUN_WINDOWS
-        lengths = np.diff(np.r_[starts, len(least)])
-    return least[starts], starts, lengths
+        lengths = np.minimum(stops - starts, RUN_WINDOWS)
+    owner = owner[starts]
+    return owner, least[starts], starts - words.first[owner], lengths
+
 
+def _documents(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, list[bytes]]]:
+    """Ids and texts of the rows that have an id."""
+    for batch in slices(batches, "t", 4 << 20):
+        known = batch.filter(batch.column("d").is_valid())
+        if known.num_rows:
+            yield known.column("d").to_numpy(), [x or b"" for x in binary(known.column("t"))]
 
-def _documents(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, list[bytes]]]:
-    for batch in slices(batches, "t"):
-        yield batch.column("d").to_pylist(), [x or b"" for x in binary(batch.column("t"))]
+
+def _signed(values: np.ndarray) -> pa.Array:
+    return pa.array(np.asarray(values, np.uint64).view(np.int64))
 
 
 def _minimisers(df: DataFrame, width: int) -> DataFrame:
+    """(mini, doc, runs), once for each text and minimiser."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for ids, texts in _documents(batches):
-            mini, docs = [], []
-            for doc, text in zip(ids, texts):
-                if doc is None:
-                    continue
-                found = np.unique(super_runs(word_hashes(text.split()), width)[0])
-                mini.append(found)
-                docs.append(np.full(len(found), doc, np.int64))
-            if mini:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(mini).view(np.int64)), pa.array(np.concatenate(docs))], ["mini", "doc"])
+            owner, mini, _, _ = super_runs(Words(texts), width)
+            order = np.lexsort((mini, owner))
+            owner, mini = owner[order], mini[order]
+            fresh = np.r_[True, (owner[1:] != owner[:-1]) | (mini[1:] != mini[:-1])][: len(mini)]
+            heads = np.flatnonzero(fresh)
+            yield pa.RecordBatch.from_arrays([_signed(mini[heads]), pa.array(ids[owner[heads]]), pa.array(np.diff(np.r_[heads, len(mini)]))], ["mini", "doc", "runs"])
+
+    return df.mapInArrow(run, "mini bigint, doc bigint, runs bigint")
+
 
-    return df.mapInArrow(run, "mini bigint, doc bigint")
+_RUNS = "mini bigint, h0 bigint, h1 bigint, doc bigint, row_key bigint, start int, stop int, packed binary"
 
 
-def _packed(df: DataFrame, width: int, shared: BitFilter, hot: np.ndarray) -> DataFrame:
+def _packed(df: DataFrame, width: int, shared: BitFilter, hot: BitFilter, want_hot: bool) -> DataFrame:
+    """Runs of shared minimisers with their packed strings; hot ones carry a string's digest, and the string once a batch."""
     sent = df.sparkSession.sparkContext.broadcast((shared, hot))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keep, often = sent.value
         for ids, texts in _documents(batches):
-            rows: tuple[list, ...] = ([], [], [], [], [])
-            for doc, text in zip(ids, texts):
-                if doc is None:
-                    continue
-                words = text.split()
-                mini, starts, lengths = super_runs(word_hashes(words), width)
-                chosen = np.flatnonzero(keep.hits(mini) & ~np.isin(mini, often)) if len(mini) else ()
-                if not len(chosen):
-                    continue
-                row_key = xxhash.xxh3_64_intdigest(text)
-                for m, s, n in zip(mini[chosen].view(np.int64).tolist(), starts[chosen].tolist(), lengths[chosen].tolist()):
-                    for column, value in zip(rows, (m, doc, row_key, s, b" ".join(words[s : s + n + width - 1]))):
-                        column.append(value)
-            if rows[0]:
-                mini_, doc_, key_, start_, words_ = rows
-                yield pa.RecordBatch.from_arrays([pa.array(mini_, pa.int64()), pa.array(doc_, pa.int64()), pa.array(np.array(key_, np.uint64).view(np.int64)), pa.array(start_, pa.int32()), pa.array(words_, pa.binary())], ["mini", "doc", "row_key", "start", "packed"])
-
-    return df.mapInArrow(run, "mini bigint, doc bigint, row_key bigint, start int, packed binary")
+            words = Words(texts)
+            owner, mini, starts, lengths = super_runs(words, width)
+            chosen = np.flatnonzero(keep.hits(mini) & (often.hits(mini) == want_hot))
+            if not len(chosen):
+                continue
+            owner, mini, starts, lengths = owner[chosen], mini[chosen], starts[chosen], lengths[chosen]
+            packed = [b" ".join(words.split[t][s : s + n + width - 1]) for t, s, n in zip(owner.tolist(), starts.tolist(), lengths.tolist())]
+            halves = np.zeros((len(packed), 2), np.int64)
+            if want_hot:
+                names = [xxhash.xxh3_128_digest(x) for x in packed]
+                halves = np.frombuffer(b"".join(names), "<i8").reshape(-1, 2)
+                once = dict(zip(reversed(names), range(len(names) - 1, -1, -1)))
+                packed = [x if once[name] == i else None for i, (name, x) in enumerate(zip(names, packed))]
+            keys = {t: xxhash.xxh3_64_intdigest(texts[t]) for t in np.unique(owner).tolist()}
+            yield pa.RecordBatch.from_arrays([
+                _signed(mini), pa.array(halves[:, 0].copy()), pa.array(halves[:, 1].copy()), pa.array(ids[owner]), _signed([keys[t] for t in owner.tolist()]),
+                pa.array(starts.astype(np.int32)), pa.array((starts + lengths + width - 1).astype(np.int32)), pa.array(packed, pa.binary()),
+            ], _RUNS.replace(",", "").split()[::2])
+
+    return df.mapInArrow(run, _RUNS)
 
 
 _SPANS = "doc bigint, row_key bigint, lo int, hi int"
 
 
-def _repeats(doc: np.ndarray, windows: list[bytes]) -> np.ndarray:
-    """Which windows also start in a document with a smaller id: sort, then compare equal neighbours exactly."""
-    digest = np.fromiter(map(xxhash.xxh3_64_intdigest, windows), np.uint64, len(windows))
-    order = np.lexsort((doc, digest))
+def _windows(packed: list[bytes], width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(string, begin, end) of every window as places in its packed string."""
+    row, begin, end = [], [], []
+    for i, text in enumerate(packed):
+        at = np.flatnonzero(np.frombuffer(text, np.uint8) == 32)
+        heads, tails = np.r_[0, at + 1], np.r_[at, len(text)]
+        n = len(heads) - width + 1
+        row.append(np.full(n, i))
+        begin.append(heads[:n])
+        end.append(tails[width - 1 :])
+    return np.concatenate(row), np.concatenate(begin), np.concatenate(end)
+
+
+def _first_docs(doc: np.ndarray, packed: list[bytes], row: np.ndarray, begin: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """Least doc of the strings that hold each window: sort by digest, then let the bytes of equal neighbours decide."""
+    views = [memoryview(text) for text in packed]
+    text = lambda i: views[row[i]][begin[i] : end[i]]
+    digest = np.fromiter((xxhash.xxh3_64_intdigest(views[r][a:b]) for r, a, b in zip(row.tolist(), begin.tolist(), end.tolist())), np.uint64, len(row))
+    order = np.lexsort((doc[row], digest))
     ordered = digest[order]
     fresh = np.r_[True, ordered[1:] != ordered[:-1]]
-    places = order.tolist()
     for i in np.flatnonzero(~fresh).tolist():
-        if windows[places[i]] != windows[places[i - 1]]:  # two sequences under one digest: let the bytes decide
-            order = np.array(sorted(range(len(windows)), key=lambda k: (windows[k], doc[k])))
-            places = order.tolist()
-            fresh = np.array([True] + [windows[a] != windows[b] for a, b in zip(places, places[1:])])
+        if text(order[i]) != text(order[i - 1]):  # two sequences under one digest
+            order = np.array(sorted(range(len(row)), key=lambda k: (bytes(text(k)), doc[row[k]])))
+            fresh = np.array([True] + [text(a) != text(b) for a, b in zip(order, order[1:])])
             break
-    first = doc[order][np.flatnonzero(fresh)][np.cumsum(fresh) - 1]
-    out = np.zeros(len(windows), bool)
-    out[order] = doc[order] > first
-    return out
+    first = np.empty(len(row), np.int64)
+    first[order] = doc[row][order][np.flatnonzero(fresh)][np.cumsum(fresh) - 1]
+    return first
 
 
 def _bucket_spans(packed: DataFrame, width: int) -> DataFrame:
+    """Spans from buckets of at most HOT_RUNS runs a minimiser."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in whole_groups(batches, "mini", "packed", 3 << 20):
             mini, doc = rows.column("mini").to_numpy(), rows.column("doc").to_numpy()
@@ -159,67 +176,60 @@ def _bucket_spans(packed: DataFrame, width: int) -> DataFrame:
             if not len(kept):
                 continue
             rows = rows.take(kept).combine_chunks()
-            windows, counts = [], []
-            for text in rows.column("packed").to_pylist():
-                at = np.flatnonzero(np.frombuffer(text, np.uint8) == 32)
-                begin, end = [0, *(at + 1).tolist()], [*at.tolist(), len(text)]
-                n = len(begin) - width + 1
-                windows += [text[a:b] for a, b in zip(begin, end[width - 1 :])]
-                counts.append(n)
-            counts = np.array(counts)
-            row = np.repeat(np.arange(len(counts)), counts)
-            again = np.flatnonzero(_repeats(rows.column("doc").to_numpy()[row], windows))
+            doc, texts = rows.column("doc").to_numpy(), rows.column("packed").to_pylist()
+            row, begin, end = _windows(texts, width)
+            again = np.flatnonzero(doc[row] > _first_docs(doc, texts, row, begin, end))
             if not len(again):
                 continue
+            counts = np.bincount(row, minlength=len(texts))
             place = rows.column("start").to_numpy()[row] + (np.arange(len(row)) - np.repeat(np.cumsum(counts) - counts, counts))
             cut = np.r_[True, (np.diff(again) > 1) | (np.diff(row[again]) > 0)]
             heads = np.flatnonzero(cut)
             tails = np.r_[heads[1:], len(again)] - 1
             owner = row[again[heads]]
-            yield pa.RecordBatch.from_arrays([pa.array(rows.column("doc").to_numpy()[owner]), pa.array(rows.column("row_key").to_numpy()[owner]), pa.array(place[again[heads]].astype(np.int32)), pa.array((place[again[tails]] + width).astype(np.int32))], ["doc", "row_key", "lo", "hi"])
+            yield pa.RecordBatch.from_arrays([pa.array(doc[owner]), pa.array(rows.column("row_key").to_numpy()[owner]), pa.array(place[again[heads]].astype(np.int32)), pa.array((place[again[tails]] + width).astype(np.int32))], ["doc", "row_key", "lo", "hi"])
 
-    return packed.repartition("mini").sortWithinPartitions("mini").mapInArrow(run, _SPANS)
+    return packed.select("mini", "doc", "row_key", "start", "packed").repartition("mini").sortWithinPartitions("mini").mapInArrow(run, _SPANS)
 
 
-def _hot_spans(df: DataFrame, width: int, hot: np.ndarray) -> DataFrame:
-    """Windows under hot minimisers, by digest: counted with partial aggregation, joined back in one skew-safe join."""
-    sent = df.sparkSession.sparkContext.broadcast(hot)
+def _hot_spans(runs: DataFrame, width: int) -> DataFrame:
+    """Spans under hot minimisers, from the distinct strings.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for ids, texts in _documents(batches):
-            docs, keys, places, digests = [], [], [], []
-            for doc, text in zip(ids, texts):
-                if doc is None:
-                    continue
-                words = text.split()
-                mini, starts, lengths = super_runs(word_hashes(words), width)
-                for i in np.flatnonzero(np.isin(mini, sent.value)).tolist():
-                    for s in range(int(starts[i]), int(starts[i] + lengths[i])):
-                        docs.append(doc)
-                        keys.append(xxhash.xxh3_64_intdigest(text))
-                        places.append(s)
-                        digests.append(xxhash.xxh3_128_digest(b" ".join(words[s : s + width])))
-            if docs:
-                halves = np.frombuffer(b"".join(digests), "<i8").reshape(-1, 2)
-                yield pa.RecordBatch.from_arrays([pa.array(halves[:, 0].copy()), pa.array(halves[:, 1].copy()), pa.array(docs, pa.int64()), pa.array(np.array(keys, np.uint64).view(np.int64)), pa.array(places, pa.int32())], ["h0", "h1", "doc", "row_key", "place"])
-
-    windows = df.mapInArrow(run, "h0 bigint, h1 bigint, doc bigint, row_key bigint, place int")
-    first = windows.groupBy("h0", "h1").agg(F.min("doc").alias("first_doc"), F.max("doc").alias("last_doc")).where("first_doc < last_doc").drop("last_doc")
-    return windows.join(first, ["h0", "h1"]).where("doc > first_doc").select("doc", "row_key", F.col("place").alias("lo"), (F.col("place") + width).alias("hi"))
+    A run whose string an earlier document has loses all its words.  The first document of a string loses the
+    windows that an earlier document has in another string.
+    """
+    name = ["h0", "h1"]
+    runs = cut_lineage(runs)
+    strings = cut_lineage(runs.groupBy(*name).agg(F.min("doc").alias("least"), F.max("doc").alias("most"), F.max("packed").alias("packed")))
+
+    def opened(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches, "packed", 1 << 20):
+            texts = batch.column("packed").to_pylist()
+            row, begin, end = _windows(texts, width)
+            views = [memoryview(text) for text in texts]
+            digests = b"".join([xxhash.xxh3_128_digest(views[r][a:b]) for r, a, b in zip(row.tolist(), begin.tolist(), end.tolist())])
+            halves = np.frombuffer(digests, "<i8").reshape(-1, 2)
+            counts = np.bincount(row, minlength=len(texts))
+            place = np.arange(len(row)) - np.repeat(np.cumsum(counts) - counts, counts)
+            at = pa.array(row)
+            yield pa.RecordBatch.from_arrays([pa.array(halves[:, 0].copy()), pa.array(halves[:, 1].copy()), *(batch.column(c).take(at) for c in (*name, "least")), pa.array(place.astype(np.int32))], ["w0", "w1", *name, "least", "place"])
+
+    windows = strings.select(*name, "least", "packed").mapInArrow(opened, "w0 bigint, w1 bigint, h0 bigint, h1 bigint, least bigint, place int")
+    first = windows.groupBy("w0", "w1").agg(F.min("least").alias("first_doc"), F.max("least").alias("last_doc")).where("first_doc < last_doc").drop("last_doc")
+    earlier = windows.join(first, ["w0", "w1"]).where("least > first_doc").select(*name, F.col("least").alias("doc"), "place")
+    partly = runs.select(*name, "doc", "row_key", "start").join(earlier, [*name, "doc"]).select("doc", "row_key", (F.col("start") + F.col("place")).alias("lo"), (F.col("start") + F.col("place") + width).alias("hi"))
+    whole = runs.join(strings.where("least < most").select(*name, "least"), name).where("doc > least").select("doc", "row_key", F.col("start").alias("lo"), F.col("stop").alias("hi"))
+    return whole.union(partly)
 
 
 def repeated_spans(df: DataFrame, key: str = "doc_id", text: str = "text", width: int = 50) -> DataFrame:
     """(doc, row_key, lo, hi): word ranges covered by windows that start in a document with a smaller id."""
     docs = df.selectExpr(f"cast(`{key}` as bigint) as d", f"`{text}` as t")
-    counted = _minimisers(docs, width).groupBy("mini").agg(F.count("*").alias("runs"), F.min("doc").alias("lo"), F.max("doc").alias("hi"))
-    from .common import cut_lineage
-
+    counted = _minimisers(docs, width).groupBy("mini").agg(F.sum("runs").alias("runs"), F.min("doc").alias("lo"), F.max("doc").alias("hi"))
     twice = cut_lineage(counted.where("lo < hi").select("mini", "runs"))
-    shared = bit_filter(twice, "mini")
-    total = twice.agg(F.sum("runs")).first()[0] or 0
-    often = np.array([r[0] for r in twice.where(F.col("runs") > max(HOT_RUNS, total // HOT_SHARE)).select("mini").toLocalIterator()], np.int64).view(np.uint64)
-    spans = _bucket_spans(_packed(docs, width, shared, often), width)
-    return spans.union(_hot_spans(docs, width, often)) if len(often) else spans
+    shared, hot = bit_filter(twice, "mini"), bit_filter(twice.where(F.col("runs") > HOT_RUNS), "mini")
+    spans = _bucket_spans(_packed(docs, width, shared, hot, False), width)
+    return spans.union(_hot_spans(_packed(docs, width, shared, hot, True), width)) if hot.words.any() else spans
 
 
 def _keep(text: bytes, spans: list[tuple[int, int]]) -> tuple[list[bytes], int]:
@@ -234,8 +244,6 @@ def _keep(text: bytes, spans: list[tuple[int, int]]) -> tuple[list[bytes], int]:
 
 def _apply(df: DataFrame, width: int, finish, schema: str, columns: list[str]) -> DataFrame:
     """Call `finish(batch, kept words, n_words)` on every row of df(d, t, ...), with its spans where it has some."""
-    from .common import cut_lineage
-
     spans = cut_lineage(repeated_spans(df, "d", "t", width).groupBy("doc", "row_key").agg(F.collect_list(F.struct("lo", "hi")).alias("spans")))
     touched = df.sparkSession.sparkContext.broadcast(bit_filter(spans.select(F.col("row_key").alias("h")), "h"))
 

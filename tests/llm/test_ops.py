@@ -75,7 +75,6 @@ def test_substring_dedup_equals_brute_force(spark, corpus):
 
 def test_substring_hot_minimisers_give_the_same(spark, corpus, monkeypatch):
     monkeypatch.setattr(substring, "HOT_RUNS", 2)
-    monkeypatch.setattr(substring, "HOT_SHARE", 10**9)
     got = sorted((r.doc_id, r.n_words, r.n_removed, r.kept_sha256) for r in substring.removal_digests(table(spark, corpus)).collect())
     assert got == sorted(brute.kept_words(corpus))
 
