@@ -27,8 +27,8 @@ from pyspark.sql import DataFrame, SparkSession
 from .common import slices
 
 MAX_VOCABULARY = 1_000_000
-#: Distinct pre-tokens a worker remembers before it starts afresh.
-MEMO_LIMIT = 1_000_000
+#: Bytes of answers a worker remembers before it starts afresh, with the cost of an entry besides its text and ids.
+MEMO_BYTES, ENTRY_BYTES = 128 << 20, 200
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -127,26 +127,27 @@ class TwoTier:
         self.rank_at = [ranks[key].to_bytes(4, "little") for key in self.hash.key_at]
         self.token_of = {rank: token for token, rank in ranks.items()}
         self._memo: dict[str, bytes] = {}
+        self._memo_bytes = 0
         self._find = None
 
     def __getstate__(self):
-        return self.__dict__ | {"_memo": {}, "_find": None}
+        return self.__dict__ | {"_memo": {}, "_memo_bytes": 0, "_find": None}
 
     def _learn(self, pieces: list[str]) -> None:
         raw = [piece.encode() for piece in pieces]
         for piece, key, slot in zip(pieces, raw, self.hash.slots(raw)):
-            if self.hash.key_at[slot] == key:
-                self._memo[piece] = self.rank_at[slot]
-            else:
-                self._memo[piece] = np.array(merge_parts(key, self.ranks), "<u4").tobytes()
+            ids = self.rank_at[slot] if self.hash.key_at[slot] == key else np.array(merge_parts(key, self.ranks), "<u4").tobytes()
+            self._memo[piece] = ids
+            self._memo_bytes += len(key) + len(ids) + ENTRY_BYTES
 
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
         if self._find is None:
             self._find = regex.compile(self.pattern).findall
         pieces = self._find(text)
-        if len(self._memo) > MEMO_LIMIT:
+        if self._memo_bytes > MEMO_BYTES:
             self._memo.clear()
+            self._memo_bytes = 0
         if new := set(pieces).difference(self._memo):
             self._learn(list(new))
         return b"".join(map(self._memo.__getitem__, pieces))
@@ -176,7 +177,7 @@ def decode(df: DataFrame, tokenizer: TwoTier, key: str = "doc_id", ids: str = "i
     shared, kind = df.sparkSession.sparkContext.broadcast(tokenizer), df.schema[key].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches, "i"):
             out = [shared.value.decode(np.array(x or [], "<u4").tobytes()) for x in batch.column("i").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("k"), pa.array(out, pa.binary())], ["k", "text_bytes"])
 

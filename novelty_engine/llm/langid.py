@@ -6,10 +6,12 @@ cannot compress against itself) and its short blocks are compressed once with ev
 dictionary; the smallest total wins.  The score is the relative margin over the runner-up, and
 a margin under `narrow` rejects the decision.
 
-Training reads a bounded sample: at most `per_language` labelled texts of each language, chosen
-by hash, at most `per_text` normalised characters of each and `dictionary_bytes` in all; there
-may be at most `MAX_LANGUAGES`.  Scoring reads whole texts.  A null text, or one without a
-letter, is `und` with score 0 and rejected.  With no labelled rows every text is `und`.
+Training reads a bounded sample: of each language the labelled texts with the least hashes, whole,
+at most `per_language` of them and as long as they fit into `dictionary_bytes` after normalising
+(one that does not fit is passed over).  Both bounds are shared out when there are more than
+`FULL_LANGUAGES` languages, so what is broadcast stays under FULL_LANGUAGES * dictionary_bytes.
+Scoring reads whole texts.  A null text, or one without a letter, is `und` with score 0 and
+rejected.  With no labelled rows every text is `und`; with one language its score is 1.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ from pyspark.sql import functions as F
 
 from .common import crc_fold, ship, slices, table
 
-MAX_LANGUAGES = 256
+FULL_LANGUAGES = 64
 LEVEL, BLOCK = 3, 512
 NARROW = 0.003
 _LETTERS = re.compile(r"[^\W\d_]+")
@@ -35,25 +37,42 @@ def normalise(text: str) -> str:
     return " ".join([word for word, _ in groupby(_LETTERS.findall(text.lower()))])
 
 
-def hash_sample(rows: DataFrame, by: str, per_group: int, seed: int = 7) -> DataFrame:
-    """At most `per_group` rows of each value of `by`: those with the least hash of `id`."""
-    order = Window.partitionBy(by).orderBy(F.xxhash64(F.col("id"), F.lit(seed)), "id")
-    return rows.withColumn("place", F.row_number().over(order)).where(F.col("place") <= per_group)
+def hash_sample(rows: DataFrame, by: str, per_group: int, sizes: dict, seed: int = 7) -> DataFrame:
+    """The `per_group` rows of each value of `by` with the least hash of `id`, plus their `place`; rows are distinct.
 
+    `sizes` has the number of rows of each value.  Hashes are even, so rows beyond a cut that holds `per_group` rows with
+    eight standard errors to spare are left out before the window, which then meets about `per_group` rows of a value.
+    """
+    hashed = rows.withColumn("h_", F.xxhash64(F.col("id"), F.lit(seed)))
+    share = {k: min(1.0, (per_group + 8 * per_group**0.5 + 32) / max(1, n)) for k, n in sizes.items()}
+    cuts = [(k, int(-(2**63) + s * (2**64 - 1))) for k, s in share.items() if s < 1]
+    if cuts:
+        cut = F.create_map(*(F.lit(x) for pair in cuts for x in pair))
+        hashed = hashed.where(F.coalesce(F.col("h_") <= F.try_element_at(cut, F.col(by)), F.lit(True)))
+    order = Window.partitionBy(by).orderBy("h_", "id")
+    return hashed.withColumn("place", F.row_number().over(order)).where(F.col("place") <= per_group).drop("h_")
 
-def train(df: DataFrame, key: str, text: str, lang: str, usable: Column, per_language: int = 900, per_text: int = 400, dictionary_bytes: int = 224 << 10) -> dict[str, bytes]:
+
+def train(df: DataFrame, key: str, text: str, lang: str, usable: Column, per_language: int = 900, dictionary_bytes: int = 448 << 10) -> dict[str, bytes]:
     """Dictionary of each language, most frequent language in the sample first."""
-    labelled = df.where(usable & F.col(lang).isNotNull() & F.col(text).isNotNull())
-    ids = hash_sample(labelled.select(F.col(key).alias("id"), F.col(lang).alias("lang")), "lang", per_language).select("id", "lang", "place")
-    sample = df.select(F.col(key).alias("id"), F.col(lang).alias("lang"), F.substring(F.col(text), 1, 4 * per_text).alias("head")).join(F.broadcast(ids), ["id", "lang"]).orderBy("lang", "place", F.xxhash64("head"))
-    parts: dict[str, list[str]] = {}
-    for row in sample.select("lang", "head").toLocalIterator():
-        if len(parts.setdefault(row.lang, [])) < per_language and (clean := normalise(row.head or "")[:per_text]):
-            parts[row.lang].append(clean)
-        if len(parts) > MAX_LANGUAGES:
-            raise ValueError(f"more than {MAX_LANGUAGES} languages")
+    fits = F.octet_length(F.col(text)) <= dictionary_bytes
+    labelled = df.where(usable & F.col(lang).isNotNull() & F.col(text).isNotNull() & fits)
+    rows = labelled.select(F.col(key).alias("id"), F.col(lang).alias("lang")).distinct()
+    sizes = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).toLocalIterator()}
+    parts_of_all = max(1, -(-len(sizes) // FULL_LANGUAGES))
+    most, room = max(1, per_language // parts_of_all), dictionary_bytes // parts_of_all
+    ids = hash_sample(rows, "lang", most, sizes)
+    sample = labelled.select(F.col(key).alias("id"), F.col(lang).alias("lang"), F.col(text).alias("text")).join(F.broadcast(ids), ["id", "lang"]).orderBy("lang", "place", F.xxhash64("text"), "text")
+    parts: dict[str, list[bytes]] = {}
+    free: dict[str, int] = {}
+    for row in sample.select("lang", "text").toLocalIterator():
+        clean = normalise(row.text).encode()
+        mine = parts.setdefault(row.lang, [])
+        if clean and len(mine) < most and len(clean) < free.setdefault(row.lang, room):
+            mine.append(clean)
+            free[row.lang] -= len(clean) + 1
     order = sorted((k for k in parts if parts[k]), key=lambda k: (-len(parts[k]), k))
-    return {k: "\n".join(parts[k]).encode()[:dictionary_bytes] for k in order}
+    return {k: b"\n".join(parts[k]) for k in order}
 
 
 class Sizer:

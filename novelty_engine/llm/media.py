@@ -18,7 +18,6 @@ from __future__ import annotations
 
 import hashlib
 import struct
-import uuid
 import zlib
 from collections.abc import Callable, Iterator
 
@@ -29,7 +28,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import binary, bit_filter, ship, slices, table
+from .common import binary, bit_filter, fresh_folder, ship, slices, table
 
 MIN_CHUNK, MAX_CHUNK, CUT_BITS = 256, 8192, 10
 RATE = 8000
@@ -165,18 +164,21 @@ def read_store(spark: SparkSession, folder: str, use: Callable[[bytes, int], lis
     """
     ship(spark)
     lists, stored = spark.read.parquet(f"{folder}/lists"), spark.read.parquet(f"{folder}/chunks")
-    parts = lists.where(F.exists("apart", lambda a: a)).select("c0", "c1", F.posexplode(F.arrays_zip("names", "apart")).alias("at", "x")).where("x.apart").select("c0", "c1", "at", F.col("x.names").alias("name")).distinct()
+    shares = F.exists("apart", lambda a: a)
+    content = ["n_bytes", "names", "lengths", "apart", "packed"]
+    alone = lists.where(~shares).select("k", *content, F.lit(None).cast("array<struct<at:int,chunk:binary>>").alias("taken"))
+    # Equal payloads have equal lists: those that name shared chunks are put together once for all their rows.
+    whole = lists.where(shares).groupBy("c0", "c1").agg(F.first(F.struct(*content)).alias("x")).select("c0", "c1", "x.*")
+    parts = lists.where(shares).select("c0", "c1", F.posexplode(F.arrays_zip("names", "apart")).alias("at", "x")).where("x.apart").select("c0", "c1", "at", F.col("x.names").alias("name")).distinct()
     gathered = parts.join(stored, "name").groupBy("c0", "c1").agg(F.collect_list(F.struct("at", "chunk")).alias("taken"))
-    columns = ["k", "n_bytes", "names", "lengths", "apart", "packed"]
-    alone = lists.where(~F.exists("apart", lambda a: a)).select(*columns, F.lit(None).cast("array<struct<at:int,chunk:binary>>").alias("taken"))
-    mixed = lists.where(F.exists("apart", lambda a: a)).join(gathered, ["c0", "c1"], "left").select(*columns, "taken")
+    mixed = whole.join(gathered, ["c0", "c1"], "left").select(F.struct("c0", "c1").alias("k"), *content, "taken")
     types = {f.name: f.type for f in pa.schema([pa.field(n, t) for n, t in _arrow_types(schema)])}
 
     def rebuild(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpack = zstandard.ZstdDecompressor().decompress
-        for batch in batches:
+        for batch in _by_size(batches):
             out: list[list] = [[] for _ in names]
-            for row in batch.to_pylist():
+            for row in batch.select([*content, "taken"]).to_pylist():
                 taken, own, at, parts_ = {x["at"]: x["chunk"] for x in row["taken"] or ()}, unpack(row["packed"]), 0, []
                 for i, (name, length, apart) in enumerate(zip(row["names"], row["lengths"], row["apart"])):
                     chunk = unpack(taken[i]) if apart else own[at : at + length]
@@ -190,8 +192,20 @@ def read_store(spark: SparkSession, folder: str, use: Callable[[bytes, int], lis
             yield pa.RecordBatch.from_arrays([batch.column("k"), *(pa.array(c, types[n]) for n, c in zip(names, out))], ["k", *names])
 
     kind = lists.schema["k"].dataType.simpleString()
-    full = f"k {kind}, {schema}"
-    return alone.mapInArrow(rebuild, full).union(mixed.mapInArrow(rebuild, full))
+    made = mixed.mapInArrow(rebuild, f"k struct<c0:bigint,c1:bigint>, {schema}").select("k.c0", "k.c1", *names)
+    together = lists.where(shares).select("k", "c0", "c1").join(made, ["c0", "c1"]).select("k", *names)
+    return alone.mapInArrow(rebuild, f"k {kind}, {schema}").union(together)
+
+
+def _by_size(batches: Iterator[pa.RecordBatch], limit: int = 16 << 20) -> Iterator[pa.RecordBatch]:
+    """Slices whose payloads have about `limit` bytes, or a single row."""
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        block = np.cumsum(batch.column("n_bytes").to_numpy()) // limit
+        cuts_ = [0, *(np.flatnonzero(np.diff(block)) + 1).tolist(), batch.num_rows]
+        for a, b in zip(cuts_, cuts_[1:]):
+            yield batch.slice(a, b - a)
 
 
 def _arrow_types(schema: str) -> list[tuple[str, pa.DataType]]:
@@ -207,17 +221,7 @@ def describe(wav: bytes, n_bytes: int) -> list:
 REPORT = "n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string"
 
 
-def store_folder(spark: SparkSession) -> str:
-    """A fresh folder under the shared checkpoint folder."""
-    import tempfile
-
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
-    return f"{sc.getCheckpointDir()}/media-{uuid.uuid4().hex}"
-
-
 def op6_media_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    folder = store_folder(spark)
+    folder = fresh_folder(spark, "media")
     write_store(table(spark, sf_dir, "documents"), folder)
     return read_store(spark, folder, describe, [x.split()[0] for x in REPORT.split(", ")], REPORT).withColumnRenamed("k", "doc_id")

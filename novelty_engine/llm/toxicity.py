@@ -5,10 +5,11 @@ one plus their count per thousand characters, so that long texts are not toxic m
 more of everything.  The log ratio of smoothed n-gram counts in the two classes scales each
 feature; logistic regression (with L2 shrinkage) is then fitted on the scaled features.
 
-Training reads a bounded sample: at most `per_class` labelled documents of each class, chosen by
-hash, and fits on the driver with arrays of 2**BITS entries.  Scoring is one pass over all
-documents with the broadcast weights (4 bytes * 2**BITS).  Null and empty texts get the score of
-the intercept; so does every text when no labelled row exists (score 0).
+Training reads a bounded sample: at most `per_class` labelled documents of each class with whole texts
+of at most `most_bytes`, chosen by hash, and fits on the driver with arrays of 2**BITS entries.  Rows
+that repeat an id train with its greatest label.  Scoring is one pass over all documents, however
+long, with the broadcast weights (4 bytes * 2**BITS).  Null and empty texts get the score of the
+intercept; so does every text when no labelled row exists (score 0).
 """
 
 from __future__ import annotations
@@ -91,14 +92,15 @@ def fit(texts: list[str], toxic: np.ndarray, prior: float, rounds: int = 200, sh
     return weights, float(bias)
 
 
-def train(docs: DataFrame, labels: DataFrame, usable: Column, key: str = "doc_id", text: str = "text", label: str = "toxic", per_class: int = 2500) -> tuple[np.ndarray, float] | None:
+def train(docs: DataFrame, labels: DataFrame, usable: Column, key: str = "doc_id", text: str = "text", label: str = "toxic", per_class: int = 2500, most_bytes: int = 256 << 10) -> tuple[np.ndarray, float] | None:
     """Fit on a bounded hash sample; `usable` is a condition on the key column."""
     known = labels.where(usable & F.col(label).isin(0, 1)).groupBy(F.col(key).alias("id")).agg(F.max(label).cast("int").alias("y"))
     sizes = {r["y"]: r["n"] for r in known.groupBy("y").agg(F.count("*").alias("n")).collect()}
     if not sizes:
         return None
-    chosen = hash_sample(known, "y", per_class).select("id", "y")
-    rows = docs.select(F.col(key).alias("id"), F.col(text).alias("t")).join(F.broadcast(chosen), "id").orderBy(F.xxhash64("id"), F.xxhash64("t"))
+    chosen = hash_sample(known, "y", per_class, sizes).select("id", "y")
+    short = F.coalesce(F.octet_length(F.col(text)), F.lit(0)) <= most_bytes
+    rows = docs.where(short).select(F.col(key).alias("id"), F.col(text).alias("t")).join(F.broadcast(chosen), "id").distinct().orderBy(F.xxhash64("id"), F.xxhash64("t"))
     texts, toxic = [], []
     for row in rows.select("t", "y").toLocalIterator():
         texts.append(padded(row.t))

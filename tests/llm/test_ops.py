@@ -103,6 +103,44 @@ def test_html(spark):
     assert got[1] == got[None] == (want, len(want)) and got[5][0] == "plain text only" and got[2] == got[3] == got[4] == got[6] == ("", 0)
 
 
+ARTICLE_WEIGHTS = html.learn(["<html><body><nav><ul><li><a>x</a></li></ul></nav><div class=ad>y</div><article><h1>t</h1><p>a<b>b</b><br><p>c</article><footer>f</footer></body></html>"] * 50)
+
+
+@pytest.mark.parametrize(
+    "inner, want",
+    [
+        ("<p title=it's>Hello you</p><p>there are many more words</p>", "Hello you\n\nthere are many more words"),
+        ("<p title='a>b' x=\"it's\">Hello you</p>", "Hello you"),
+        ("<h1 class='article-header'>Title here</h1><p class=share>share of the market grew</p><p>body words go here</p>", "Title here\n\nshare of the market grew\n\nbody words go here"),
+        ("<p>Word</p><table><tr><td>one</td><td>two</td></tr></table><p>then a longer paragraph of words follows</p>", "Word\n\none two\n\nthen a longer paragraph of words follows"),
+        ("<p>some words before</p><div class='share-buttons'>share this</div><p>words after the buttons are kept</p>", "some words before\n\nwords after the buttons are kept"),
+        ("<p>a &lt;b&gt; &amp;c</p></ x><p>last</p>", "a <b> &c\n\nlast"),
+        ('<p data-x="never closed>Hello</p><p>more words</p>', "Hello\n\nmore words"),
+        ("<ul><li>one</li><li>two three</li></ul><p>text of the article itself</p>", "one\n\ntwo three\n\ntext of the article itself"),
+    ],
+)
+def test_html_cases(inner, want):
+    page = f"<html><body><nav><a href=/>Home</a></nav><article>{inner}</article><footer>the end of the page</footer></body></html>"
+    assert html.main_text(page, ARTICLE_WEIGHTS) == want
+
+
+def test_html_without_marks(spark, sf):
+    """Renaming the marking element leaves the same text, by the weights learned from marked pages."""
+    rows = spark.read.parquet(f"{sf}/pages.parquet").collect()
+    weights = html.learn([r.html for r in rows])
+    for r in rows:
+        assert html.main_text(r.html.replace("<article>", "<div>").replace("</article>", "</div>"), weights) == html.main_text(r.html, weights)
+
+
+def test_html_long_pages_and_tables(spark):
+    long = "<p>" + "word " * 200_000 + "</p>" + "<p title=it's>x</p>" * 20_000
+    assert len(html.main_text(f"<body>{long}</body>", ARTICLE_WEIGHTS)) > 1_000_000
+    empty = spark.createDataFrame([], "page_id bigint, url string, html string, text string")
+    assert html.train(empty) == {} and html.extract(empty, {}, keep=("url",)).count() == 0
+    some = spark.createDataFrame([(i % 3, None, "<article><p>a b c</p></article>", "x") for i in range(9)], empty.schema)
+    assert html.train(some) == html.train(some.orderBy("page_id")) != {} and html.extract(some, {}).count() == 9
+
+
 def test_html_on_pages(spark, sf):
     got = {r.page_id: r.text for r in queries.QUERIES["op3_html_text"](spark, sf).collect()}
     for r in spark.read.parquet(f"{sf}/pages.parquet").collect():
