@@ -7,14 +7,12 @@ stage as Parquet in the shared folder and reads it again.  All but the last retu
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from novelty_engine.llm import jaccard, langid, packing, secrets, substring
-from novelty_engine.llm.common import crc_fold, ship
-from novelty_engine.llm.media import store_folder
+from novelty_engine.llm.common import crc_fold, cut_lineage, fresh_folder, ship
+from novelty_engine.session import remove_folder
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -31,10 +29,22 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the document with the least id of each class; rows without an id stay."""
+    """Keep one row of each class of near copies: the least doc_id, rows without one last, then the least hash of the row.
+
+    Rows are told apart by all their columns, so of rows that repeat an id, or have none, one stays as well; texts without
+    words belong to no class and stay.
+    """
     ship(spark)
-    kept = jaccard.near_classes(docs).where("class_id = doc_id").select("doc_id").distinct()
-    return docs.where("doc_id is null").unionByName(docs.join(kept, "doc_id", "left_semi")).select(*COLUMNS)
+    row = F.xxhash64(*COLUMNS)
+    named = cut_lineage(jaccard.near_groups(docs, {"doc_id": F.col("doc_id"), "row": row}).where("near_group is not null"))
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "row"))
+    kept = cut_lineage(named.groupBy("near_group").agg(first.alias("x")).select("x.row").join(named.groupBy("row").agg(F.count("*").alias("n")), "row"))
+    keyed = docs.select(*COLUMNS, row.alias("row"))
+    wordless = keyed.where(~F.coalesce("text", F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
+    out = wordless.select(*COLUMNS).unionByName(keyed.join(kept.where("n = 1"), "row", "left_semi").select(*COLUMNS))
+    if kept.where("n > 1").limit(1).count():
+        out = out.unionByName(keyed.join(kept.where("n > 1"), "row", "left_semi").dropDuplicates(["row"]).select(*COLUMNS))
+    return out
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,8 +60,8 @@ def secret_spans(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Bins of the cleaned documents."""
-    return packing.pack(docs)
+    """Bins of the cleaned documents; what masking and cutting have made alike is kept apart again."""
+    return packing.pack_near(docs)
 
 
 STAGES = [
@@ -67,9 +77,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    folder = f"{store_folder(spark)}-{uuid.uuid4().hex[:8]}"
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """The last stage's rows.  A stage's folder goes when the next one has been written; the last one's stays, the result reads it."""
+    docs, folder = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for name, stage in STAGES:
-        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
-        docs = spark.read.parquet(f"{folder}/{name}")
+        before, folder = folder, fresh_folder(spark, f"pipeline-{name}")
+        stage(spark, docs, sf_dir).write.parquet(folder)
+        docs = spark.read.parquet(folder)
+        if before:
+            remove_folder(spark, before)
     return docs
