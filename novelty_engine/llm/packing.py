@@ -1,6 +1,6 @@
 """Conflict-constrained best-fit packing of documents into fixed-length bins.
 
-Documents are dealt by hash to shards of about `shard_rows` rows; each shard is packed on its own
+Documents are dealt by row to shards of about `shard_rows` rows, repeated rows and null ids alike; each shard is packed on its own
 with bounded memory, so a bin never crosses shards.  Inside a shard, documents longer than the
 capacity first fill bins of their own; what remains is packed longest first.  Open bins are kept
 by residual space and carry two bitmaps, one of sources and one of duplicate clusters.  A search
@@ -88,9 +88,9 @@ def pack(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "
     The default cluster is the text itself (exact copies); `pack_near` uses near-duplicate classes.
     """
     ship(df.sparkSession)
-    small = df.select(F.col(key).cast("bigint").alias("id"), (units(text) if length is None else length).alias("length"), F.col(source).cast("string").alias("source"), (F.xxhash64(F.coalesce(F.col(text), F.lit(""))) if cluster is None else cluster).alias("cluster"))
-    shards = max(1, -(-df.count() // shard_rows))
-    dealt = small.withColumn("shard", F.pmod(F.xxhash64("id", "cluster"), F.lit(shards)))
+    small = cut_lineage(df.select(F.col(key).cast("bigint").alias("id"), (units(text) if length is None else length).alias("length"), F.col(source).cast("string").alias("source"), (F.xxhash64(F.coalesce(F.col(text), F.lit(""))) if cluster is None else cluster).alias("cluster"), F.monotonically_increasing_id().alias("row")))
+    shards = max(1, -(-small.count() // shard_rows))
+    dealt = small.select("id", "length", "source", "cluster", F.pmod(F.xxhash64("row"), F.lit(shards)).alias("shard"))
 
     def run(group: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         rows["id"] = rows["id"].astype("Int64")
@@ -103,8 +103,7 @@ def pack(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "
 def pack_near(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", **options) -> DataFrame:
     """`pack` with classes of near copies as clusters; a text without words has its exact copies only."""
     keep = {key: F.col(key), source: F.col(source), "length": units(text), "exact": F.xxhash64(F.coalesce(F.col(text), F.lit("")))}
-    rows = cut_lineage(near_groups(df, keep, text))
-    return pack(rows, key, text, source, length=F.col("length"), cluster=F.coalesce("near_group", "exact"), **options)
+    return pack(near_groups(df, keep, text), key, text, source, length=F.col("length"), cluster=F.coalesce("near_group", "exact"), **options)
 
 
 def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
