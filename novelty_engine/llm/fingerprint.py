@@ -6,26 +6,29 @@ of two, so equal multisets have equal sums in any order, and adding or taking aw
 subtracts its vector (`combine`).  The vector has two parts:
 
 * `DENSE` lanes of 60-bit hashes modulo 2**60, which decide equality;
-* 126 counting lanes (three of 21 bits to a long, added as one number modulo 2**62), one for each of
-  63 bits of two hashes.  With the number of units they estimate the cosine of two multisets: the
-  likeness, 0 to 1.
+* 126 counting lanes modulo 2**32, one for each of 63 bits of two hashes.  With the number of units
+  they estimate the cosine of two multisets: the likeness, 0 to 1.
 
-Everything is DataFrame expressions: no Python runs on the executors.  Null and empty texts have no
-unit and the zero fingerprint; two such are alike (1), one such and another are not (0).
+Counting lanes are summed three to a long, which is exact below 2**21 units; a longer text sums each
+lane apart.  Everything is DataFrame expressions: no Python runs on the executors.  Null and empty
+texts have no unit and the zero fingerprint; two such are alike (1), one such and another are not (0).
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators.scan import neighbours
 from .common import cut_lineage, table
 
 DENSE = 4
 UNIT_ENDS = r"[,.;:!?]+\s+|\s*\n+\s*"
 SEEDS, SHIFTS = (101, 102), 21
 _TRIPLE = 1 | 1 << 21 | 1 << 42
-_LOW21, _LOW60, _LOW62 = (1 << 21) - 1, (1 << 60) - 1, (1 << 62) - 1
+_LOW21, _LOW32, _LOW60, _LOW63 = (1 << 21) - 1, (1 << 32) - 1, (1 << 60) - 1, (1 << 63) - 1
+#: From this many units on lanes are summed apart.
+APART = 1 << 21
 
 
 def units_of(text: Column) -> Column:
@@ -33,46 +36,49 @@ def units_of(text: Column) -> Column:
 
 
 def with_lanes(df: DataFrame, **texts: str) -> DataFrame:
-    """Add array<bigint> columns, one for each name=text column: the number of units, DENSE sums, then longs of
-    three counting lanes each.
+    """Add array<bigint> columns, one for each name=text column: the number of units, DENSE sums, then 126 counts.
 
-    Units and their hashes are columns of their own, and each is used by many expressions, so the
-    optimizer keeps them as separate projections and evaluates them once a row.
+    Units, their hashes and the packed sums are columns of their own, and each is used by many expressions, so
+    the optimizer keeps them as separate projections and evaluates them once a row.
     """
 
-    def total(values: str, step) -> Column:
-        return F.aggregate(F.col(values), F.lit(0).cast("bigint"), step)
-
     def dense(name: str, seed: int) -> Column:
-        return total(f"{name}_units", lambda a, u: (a + F.xxhash64(u, F.lit(seed)).bitwiseAND(F.lit(_LOW60))).bitwiseAND(F.lit(_LOW60)))
+        return F.aggregate(f"{name}_units", F.lit(0).cast("bigint"), lambda a, u: (a + F.xxhash64(u, F.lit(seed)).bitwiseAND(F.lit(_LOW60))).bitwiseAND(F.lit(_LOW60)))
+
+    def packed(values: str, at: int) -> Column:
+        return F.aggregate(F.col(values), F.lit(0).cast("bigint"), lambda a, h: (a + F.call_function("shiftrightunsigned", h, F.lit(at)).bitwiseAND(F.lit(_TRIPLE))).bitwiseAND(F.lit(_LOW63)))
+
+    def apart(values: str) -> Column:
+        bit = lambda i: (F.floor(i / 3) + i % 3 * SHIFTS).cast("int")
+        one = lambda i: F.aggregate(F.col(values), F.lit(0).cast("bigint"), lambda a, h: a + F.call_function("shiftrightunsigned", h, bit(i)).bitwiseAND(F.lit(1)))
+        return F.transform(F.sequence(F.lit(0), F.lit(3 * SHIFTS - 1)), one)
 
-    def counting(values: str, bit: int) -> Column:
-        return total(values, lambda a, h: (a + F.call_function("shiftrightunsigned", h, F.lit(bit)).bitwiseAND(F.lit(_TRIPLE))).bitwiseAND(F.lit(_LOW62)))
+    def counts(name: str) -> Column:
+        few = F.flatten(F.transform(f"{name}_packed", lambda x: F.array(*(F.shiftright(x, at).bitwiseAND(F.lit(_LOW21)) for at in (0, 21, 42)))))
+        many = F.concat(*(apart(f"{name}_{seed}") for seed in SEEDS))
+        return F.when(F.size(f"{name}_units") < APART, few).otherwise(F.transform(many, lambda x: x.bitwiseAND(F.lit(_LOW32))))
 
     kept = df.columns
     df = df.select("*", *(units_of(F.col(text)).alias(f"{name}_units") for name, text in texts.items()))
     df = df.select("*", *(F.transform(f"{name}_units", lambda u: F.xxhash64(u, F.lit(seed))).alias(f"{name}_{seed}") for name in texts for seed in SEEDS))
-    return df.select(
-        *kept,
-        *(F.array(F.size(f"{name}_units").cast("bigint"), *(dense(name, k) for k in range(DENSE)), *(counting(f"{name}_{seed}", bit) for seed in SEEDS for bit in range(SHIFTS))).alias(name) for name in texts),
-    )
+    df = df.select("*", *(F.when(F.size(f"{name}_units") < APART, F.array(*(packed(f"{name}_{seed}", at) for seed in SEEDS for at in range(SHIFTS)))).alias(f"{name}_packed") for name in texts))
+    return df.select(*kept, *(F.concat(F.array(F.size(f"{name}_units").cast("bigint"), *(dense(name, k) for k in range(DENSE))), counts(name)).alias(name) for name in texts))
 
 
 def combine(left: Column, right: Column, sign: int = 1) -> Column:
     """Lanes of the union (sign 1) or of the difference (sign -1) of two multisets."""
     pairs = F.zip_with(left, right, lambda a, b: a + sign * b)
-    return F.transform(pairs, lambda x, i: F.when((i > 0) & (i <= DENSE), x.bitwiseAND(F.lit(_LOW60))).otherwise(x.bitwiseAND(F.lit(_LOW62))))
+    return F.transform(pairs, lambda x, i: F.when(i == 0, x).when(i <= DENSE, x.bitwiseAND(F.lit(_LOW60))).otherwise(x.bitwiseAND(F.lit(_LOW32))))
 
 
 def rendered(lanes: Column) -> Column:
-    return F.array_join(F.transform(lanes, lambda x: F.lower(F.lpad(F.hex(x), 16, "0"))), "")
+    """Hexadecimal text: 16 digits for the number of units and each dense lane, 8 for each count."""
+    return F.array_join(F.transform(lanes, lambda x, i: F.lower(F.lpad(F.hex(x), F.when(i <= DENSE, 16).otherwise(8), F.lit("0")))), "")
 
 
 def signed(lanes: Column) -> Column:
     """Counting lanes as sums of +1 and -1."""
-    n = lanes[0]
-    tail = F.slice(lanes, DENSE + 2, len(SEEDS) * SHIFTS)
-    return F.flatten(F.transform(tail, lambda x: F.array(*(2 * F.shiftright(x, at).bitwiseAND(F.lit(_LOW21)) - n for at in (0, 21, 42)))))
+    return F.transform(F.slice(lanes, DENSE + 2, 3 * SHIFTS * len(SEEDS)), lambda x: 2 * x - F.get(lanes, F.lit(0)))
 
 
 def likeness(a: Column, b: Column) -> Column:
@@ -90,20 +96,10 @@ def fingerprints(df: DataFrame, key: str = "doc_id", text: str = "text") -> Data
     return made.select(F.col("k").alias(key), "lanes", rendered(F.col("lanes")).alias("fingerprint"))
 
 
-def following(ids: DataFrame, groups: int = 256) -> DataFrame:
-    """(id, next_id): the next lower id, the highest after the lowest.  Ids are unique and not null.
-
-    Ids are cut into ranges at approximate quantiles; a window runs inside each range, and the ends of
-    the ranges (at most `groups` rows) are joined up.
-    """
-    at = ids.agg(F.percentile_approx("id", [i / groups for i in range(1, groups)], 10_000)).first()[0] or []
-    cuts = F.array(*(F.lit(x).cast("bigint") for x in sorted(set(at)))) if at else F.array().cast("array<bigint>")
-    dealt = cut_lineage(ids.withColumn("part", F.size(F.filter(cuts, lambda c: c < F.col("id")))))
-    inside = dealt.withColumn("below", F.lag("id").over(Window.partitionBy("part").orderBy("id")))
-    ends = dealt.groupBy("part").agg(F.max("id").alias("highest"))
-    chain = ends.withColumn("below_part", F.lag("highest").over(Window.orderBy("part"))).select("part", "below_part")
-    top = dealt.agg(F.max("id").alias("top"))
-    return inside.join(F.broadcast(chain), "part").crossJoin(F.broadcast(top)).select("id", F.coalesce("below", "below_part", "top").alias("next_id"))
+def following(ids: DataFrame) -> DataFrame:
+    """(id, next_id): the next lower id, the highest after the lowest.  Ids are unique and not null."""
+    top = ids.agg(F.max("id").alias("top"))
+    return neighbours(ids, "id", "below").crossJoin(F.broadcast(top)).select("id", F.coalesce("below", "top").alias("next_id"))
 
 
 def op8_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,11 +3,14 @@
 import hashlib
 import random
 import re
+import struct
 import sys
+from collections import Counter
 from pathlib import Path
 
 import numpy as np
 import pytest
+import xxhash
 
 sys.path.insert(0, str(Path(__file__).resolve().parent))
 import brute  # noqa: E402
@@ -256,6 +259,47 @@ def test_fingerprints(spark, corpus):
     assert row["sum"] == row["c"] and row["less"] == row["a"]
 
 
+def unit_counts(text):
+    return Counter(u for u in re.split(r"[,.;:!?]+\s+|\s*\n+\s*", text or "") if u)
+
+
+def test_likeness_equals_brute_force(spark, corpus):
+    """Lanes by plain Python, and the estimate beside the exact cosine of the two multisets."""
+
+    def lanes(units):
+        def spark_hash(u, seed):
+            return xxhash.xxh64_intdigest(struct.pack("<i", seed), seed=xxhash.xxh64_intdigest(u.encode(), seed=42))
+
+        each = [u for u, n in units.items() for _ in range(n)]
+        dense = [sum(spark_hash(u, k) % 2**60 for u in each) % 2**60 for k in range(fingerprint.DENSE)]
+        return [len(each), *dense, *(sum(spark_hash(u, seed) >> at + 21 * k & 1 for u in each) for seed in fingerprint.SEEDS for at in range(21) for k in range(3))]
+
+    rng = random.Random(21)
+    pool = [f"clause number {i}" for i in range(40)]
+    rows = [(i, ". ".join(rng.choice(pool) for _ in range(rng.randrange(1, 40)))) for i in range(30)] + corpus[-8:]
+    made = {r.doc_id: list(r.lanes) for r in fingerprint.fingerprints(table(spark, rows)).collect()}
+    assert made == {d: lanes(unit_counts(t)) for d, t in rows}
+    report, texts, order = {r.doc_id: r for r in fingerprint.edit_report(table(spark, rows)).collect()}, dict(rows), sorted((d for d, _ in rows), reverse=True)
+    errors = []
+    for at, d in enumerate(order):
+        a, b = unit_counts(texts[d]), unit_counts(texts[order[(at + 1) % len(order)]])
+        x, y = np.array(made[d][5:]) * 2.0 - made[d][0], np.array(lanes(b)[5:]) * 2.0 - sum(b.values())
+        size = np.sqrt((x * x).sum() * (y * y).sum())
+        want = 1.0 if a == b else 0.0 if not size else min(1.0, max(0.0, float((x * y).sum() / size)))
+        assert abs(report[d].near_next - want) < 1e-6
+        exact = sum(n * b[u] for u, n in a.items()) / ((sum(n * n for n in a.values()) * sum(n * n for n in b.values())) ** 0.5 or 1)
+        errors.append(abs(report[d].near_next - (1.0 if a == b else exact)))
+    assert max(errors) < 0.4 and sum(errors) / len(errors) < 0.1
+
+
+def test_lanes_do_not_carry(spark, monkeypatch):
+    monkeypatch.setattr(fingerprint, "APART", 3)
+    rows = [(1, "a. b. c. d. a"), (2, "a. b"), (3, None)]
+    apart = {r.doc_id: r.fingerprint for r in fingerprint.fingerprints(table(spark, rows)).collect()}
+    monkeypatch.undo()
+    assert apart == {r.doc_id: r.fingerprint for r in fingerprint.fingerprints(table(spark, rows)).collect()}
+
+
 def test_edit_report(spark, corpus):
     rows = sorted((r for r in corpus), key=lambda r: -r[0])
     got = {r.doc_id: r for r in fingerprint.edit_report(table(spark, corpus)).collect()}
