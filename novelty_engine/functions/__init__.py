@@ -21,9 +21,21 @@ def numeric_score(mine: Column, theirs: Column, direction: Column | int = 1, tol
     )
 
 
-def categorical_score(mine: Column, theirs: Column) -> Column:
+EQUIVALENCES = ("exact", "jaccard", "edit", "cosine")
+
+
+def equivalent(a: Column, b: Column, how: str = "exact", least: float = 0.5) -> Column:
+    """Whether two values mean the same: equal when normalised, or as similar as `least` by tokens, edits or trigram vectors."""
+    a, b = normalise_value(a), normalise_value(b)
+    if how == "exact":
+        return a == b
+    measures = {"jaccard": lambda: overlap(tokens(a), tokens(b)), "edit": lambda: edit_similarity(a, b), "cosine": lambda: cosine(embed_text(a, unit=False), embed_text(b, unit=False))}
+    return F.round(measures[how](), 6) >= least
+
+
+def categorical_score(mine: Column, theirs: Column, how: str = "exact", least: float = 0.5) -> Column:
     """1 for a different value, 0 for an equivalent one, never -1; null when either is missing."""
-    return F.when(mine.isNull() | theirs.isNull(), F.lit(None).cast("int")).when(normalise_value(mine) == normalise_value(theirs), 0).otherwise(1)
+    return F.when(mine.isNull() | theirs.isNull(), F.lit(None).cast("int")).when(equivalent(mine, theirs, how, least), 0).otherwise(1)
 
 
 def normalise_value(value: Column) -> Column:
@@ -77,17 +89,36 @@ def axis_score(wins: Column, draws: Column, losses: Column, alpha: float | Colum
 
 def cosine(a: Column, b: Column) -> Column:
     dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
-    return F.try_divide(dot(a, b), F.sqrt(dot(a, a)) * F.sqrt(dot(b, b)))
+    return F.try_divide(dot(a, b), F.sqrt(dot(a, a) * dot(b, b)))
+
+
+#: Multipliers of the three characters of a trigram, and the modulus.
+TRIGRAM, TRIGRAM_MODULUS = (7919, 104729, 1299709), 1000003
+
+
+def embed_text(value: Column, size: int = 64, unit: bool = True) -> Column:
+    """Deterministic text vector: signed hashed character trigrams of the normalised value, counts, unit length unless told.
+
+    The hash is arithmetic on code points, so any SQL engine gives the same vector.
+    """
+    codes = F.transform(F.filter(F.split(F.concat(F.lit("  "), normalise_value(value), F.lit(" ")), ""), lambda c: c != ""), lambda c: F.ascii(c).cast("bigint"))
+
+    def grams(at: Column) -> Column:
+        n = F.size(at) - 2
+        times = lambda f: lambda c: c * f
+        parts = [F.transform(F.slice(at, k + 1, n), times(f)) for k, f in enumerate(TRIGRAM)]
+        return F.zip_with(F.zip_with(parts[0], parts[1], lambda x, y: x + y), parts[2], lambda x, y: (x + y) % TRIGRAM_MODULUS)
 
+    def counted(hashes: Column) -> Column:
+        sign = lambda h: F.when(F.floor(h / F.lit(size)) % 2 == 0, 1.0).otherwise(-1.0)
+        return F.transform(F.sequence(F.lit(0), F.lit(size - 1)), lambda j: F.aggregate(hashes, F.lit(0.0), lambda s, h: s + F.when(h % size == j, sign(h)).otherwise(0.0)))
 
-def embed_text(value: Column, size: int = 64, gram: int = 3) -> Column:
-    """Deterministic text vector: signed hashed character n-grams, counts, unit length."""
-    padded = F.concat(F.lit(" "), normalise_value(value), F.lit(" "))
-    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.length(padded) - (gram - 1))), lambda i: F.xxhash64(F.substring(padded, i, F.lit(gram))))
-    spread = lambda g: F.transform(F.sequence(F.lit(0), F.lit(size - 1)), lambda j: F.aggregate(F.filter(g, lambda h: F.pmod(h, F.lit(size)) == j), F.lit(0.0), lambda s, h: s + F.when(F.shiftright(h, 63) == 0, 1.0).otherwise(-1.0)))
-    raw = F.transform(F.array(grams), spread)[0]  # hashes are made once
-    with_norm = F.transform(F.array(raw), lambda r: F.struct(r.alias("r"), F.sqrt(F.aggregate(r, F.lit(0.0), lambda s, v: s + v * v)).alias("n")))[0]  # evaluated once
-    return F.transform(F.array(with_norm), lambda w: F.transform(w["r"], lambda x: F.coalesce(F.try_divide(x, w["n"]), F.lit(0.0))))[0]
+    once = lambda v, then: F.element_at(F.transform(F.array(v), then), 1)
+    raw = once(once(codes, grams), counted)
+    if not unit:
+        return raw
+    length = lambda r: F.sqrt(F.aggregate(r, F.lit(0.0), lambda s, v: s + v * v))
+    return once(raw, lambda r: once(length(r), lambda n: F.transform(r, lambda x: F.coalesce(F.try_divide(x, n), F.lit(0.0)))))
 
 
 _SQL = {

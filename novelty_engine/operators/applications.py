@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..sources import member_pairs
+from .scan import ranks
 
 
 def radar(verdicts: DataFrame, target_id: int, items: list[int] | None = None) -> DataFrame:
@@ -14,21 +14,47 @@ def radar(verdicts: DataFrame, target_id: int, items: list[int] | None = None) -
     return (rows.where(F.col("item_id").isin(items)) if items else rows).select("axis", "item_id", "s")
 
 
+def profile_classes(verdicts: DataFrame) -> DataFrame:
+    """(target_id, item_id, profile, n_members): items of a target whose verdicts are all alike; the profile is named by its least item.
+
+    A profile is three bitmaps, of axes won, level and lost (60 axes to a long), as `won`, `level` and `lost`.
+    """
+    places = verdicts.select("target_id", "axis").distinct().withColumn("at", F.row_number().over(Window.partitionBy("target_id").orderBy("axis")) - 1)
+    words = F.lit(0).cast("bigint")
+    known = verdicts.where("s is not null").join(places, ["target_id", "axis"])
+    bit = F.expr("shiftleft(1L, at % 60)")
+    parts = known.groupBy("target_id", "item_id", F.floor(F.col("at") / 60).alias("word")).agg(*(F.coalesce(F.bit_or(F.when(F.col("s") == v, bit)), words).alias(c) for c, v in (("won", 1), ("level", 0), ("lost", -1))))
+    whole = parts.groupBy("target_id", "item_id").agg(F.sort_array(F.collect_list(F.struct("word", "won", "level", "lost"))).alias("bits"))
+    kinds = whole.groupBy("target_id", "bits").agg(F.min("item_id").alias("profile"), F.count("*").alias("n_members"))
+    return whole.join(kinds, ["target_id", "bits"]).select("target_id", "item_id", "profile", "n_members", "bits")
+
+
 def similar_profiles(verdicts: DataFrame, top_k: int = 5) -> DataFrame:
-    """Targets' related items whose verdicts agree most: (target_id, a, b, shared, similarity).
+    """The `top_k` pairs of each target's related items whose verdicts agree most: (target_id, a, b, shared, similarity).
 
-    Items are first grouped by their whole profile, so equal profiles are compared once, and profiles are
-    compared as strings of at most one entry an axis.
+    Only classes of equal profiles are compared, by counting bits.  A pair of items ranks no better than the best pair of its two
+    classes, so the best `top_k` pairs of classes, a class of several items being a pair with itself, hold all that is asked
+    for, and of each class the first `top_k` + 1 items.
     """
-    profiles = verdicts.where("s is not null").groupBy("target_id", "item_id").agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct("axis", "s")))).alias("p"))
-    keyed = profiles.withColumn("k", F.to_json("p"))
-    kinds = keyed.groupBy("target_id", "k").agg(F.first("p").alias("p"), F.sort_array(F.collect_list("item_id")).alias("items"))
-    a, b = kinds.select("target_id", F.col("k").alias("ka"), F.col("p").alias("pa"), F.col("items")[0].alias("a")), kinds.select("target_id", F.col("k").alias("kb"), F.col("p").alias("pb"), F.col("items")[0].alias("b"))
-    shared = F.array_intersect(F.map_keys("pa"), F.map_keys("pb"))
-    agree = F.size(F.filter(shared, lambda x: F.element_at("pa", x) == F.element_at("pb", x)))
-    pairs = a.join(b, "target_id").where("a < b").select("target_id", "a", "b", F.size(shared).cast("bigint").alias("shared"), F.round(F.try_divide(agree, F.size(shared)), 6).alias("similarity")).where("similarity is not null")
+    classes = profile_classes(verdicts)
+    kinds = classes.groupBy("target_id", "profile", "n_members").agg(F.first("bits").alias("bits"))
+    first = classes.withColumn("place", F.row_number().over(Window.partitionBy("target_id", "profile").orderBy("item_id"))).where(F.col("place") <= top_k + 1).groupBy("target_id", "profile").agg(F.sort_array(F.collect_list("item_id")).alias("items"))
+    a, b = (kinds.select("target_id", F.col("profile").alias(f"p{n}"), F.col("bits").alias(f"bits_{n}"), F.col("n_members").alias(f"n_{n}")) for n in "ab")
+    total = lambda x: F.aggregate(x, F.lit(0), lambda s, v: s + v)
+    match = lambda test: F.flatten(F.transform("bits_a", lambda x: F.transform(F.filter("bits_b", lambda y: y["word"] == x["word"]), lambda y: test(x, y))))
+    seen = lambda x: x["won"].bitwiseOR(x["level"]).bitwiseOR(x["lost"])
+    shared = total(match(lambda x, y: F.bit_count(seen(x).bitwiseAND(seen(y)))))
+    agree = total(match(lambda x, y: F.bit_count(x["won"].bitwiseAND(y["won"])) + F.bit_count(x["level"].bitwiseAND(y["level"])) + F.bit_count(x["lost"].bitwiseAND(y["lost"]))))
+    pairs = a.join(b, "target_id").where("pa < pb or pa = pb and n_a > 1").select("target_id", "pa", "pb", shared.cast("bigint").alias("shared"), agree.alias("agree")).where("shared > 0")
+    scored = pairs.withColumn("similarity", F.round(F.col("agree") / F.col("shared"), 6)).drop("agree")
+    held = scored.join(first.select("target_id", F.col("profile").alias("pa"), F.col("items").alias("xs")), ["target_id", "pa"]).join(first.select("target_id", F.col("profile").alias("pb"), F.col("items").alias("ys")), ["target_id", "pb"])
+    second = F.when(F.col("pa") == F.col("pb"), F.element_at("xs", 2)).otherwise(F.col("pb"))
+    by_class = Window.partitionBy("target_id").orderBy(F.desc("similarity"), F.desc("shared"), "pa", second)
+    best = held.withColumn("rank", F.row_number().over(by_class)).where(F.col("rank") <= top_k)
+    opened = best.select("target_id", "shared", "similarity", F.explode("xs").alias("x"), "ys", (F.col("pa") == F.col("pb")).alias("same")).select("target_id", "shared", "similarity", "x", F.explode("ys").alias("y"), "same").where("not same and x <> y or x < y")
+    ordered = opened.select("target_id", F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "shared", "similarity")
     rank = F.row_number().over(Window.partitionBy("target_id").orderBy(F.desc("similarity"), F.desc("shared"), "a", "b"))
-    return pairs.withColumn("rank", rank).where(F.col("rank") <= top_k).drop("rank")
+    return ordered.withColumn("rank", rank).where(F.col("rank") <= top_k).drop("rank")
 
 
 def stalled_ideas(nodes: DataFrame, forest: DataFrame, min_age: int, now: int | None = None, key: str = "pos") -> DataFrame:
@@ -41,7 +67,7 @@ def stalled_ideas(nodes: DataFrame, forest: DataFrame, min_age: int, now: int |
 def influence_by_novelty(paced: DataFrame) -> DataFrame:
     """Items by their largest marginal gain: (item_id, gain, novelty_rank)."""
     gains = paced.groupBy("item_id").agg(F.max("d_nu_bar").alias("gain"))
-    return gains.withColumn("novelty_rank", F.rank().over(Window.orderBy(F.desc("gain"))))
+    return ranks(gains, "gain", "novelty_rank")
 
 
 def portfolio(paced: DataFrame, items: DataFrame, dimensions: list[str]) -> DataFrame:
@@ -71,13 +97,28 @@ def associated_values(graph: DataFrame, axis_a: str, axis_b: str, least_support:
 
 
 def bridges(values: DataFrame, links: DataFrame) -> DataFrame:
-    """Pairs of items that share values but no link: (item_a, item_b, n_shared), from values(item_id, value).
+    """(value, item_id, n_members, n_linked, n_bridges): for every item and value, how many of the others that have the value it is
+    linked to and how many it is not, from values(item_id, value).
 
-    Every value counts, however many items have it; the pairs of a frequent one are made in blocks.
+    Items of a value that are not linked are all its pairs less the links inside it, so the result is as long as `values`
+    however frequent a value is; `bridge_partners` names the partners of chosen items.
     """
-    pairs = member_pairs(values.distinct(), ["value"], "item_id").groupBy(F.col("low").alias("item_a"), F.col("high").alias("item_b")).agg(F.count("*").alias("n_shared"))
-    linked = links.select(F.least("src", "dst").alias("item_a"), F.greatest("src", "dst").alias("item_b")).distinct()
-    return pairs.join(linked, ["item_a", "item_b"], "left_anti")
+    known = values.where("value is not null").distinct()
+    linked = links.select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b")).where("a <> b").distinct()
+    ends = known.select(F.col("item_id").alias("a"), "value").join(linked, "a").join(known.select(F.col("item_id").alias("b"), "value"), ["b", "value"])
+    inside = ends.select("value", F.explode(F.array("a", "b")).alias("item_id")).groupBy("value", "item_id").agg(F.count("*").alias("n_linked"))
+    sizes = known.groupBy("value").agg(F.count("*").alias("n_members"))
+    rows = known.join(sizes, "value").join(inside, ["value", "item_id"], "left").withColumn("n_linked", F.coalesce("n_linked", F.lit(0)))
+    return rows.select("value", "item_id", "n_members", "n_linked", (F.col("n_members") - 1 - F.col("n_linked")).alias("n_bridges"))
+
+
+def bridge_partners(values: DataFrame, links: DataFrame, items: DataFrame) -> DataFrame:
+    """(item_a, item_b, n_shared): all items that share values with the given items(item_id) but no link."""
+    known = values.where("value is not null").distinct()
+    asked = known.join(items.select("item_id").distinct(), "item_id").select(F.col("item_id").alias("item_a"), "value")
+    pairs = asked.join(known.select(F.col("item_id").alias("item_b"), "value"), "value").where("item_a <> item_b").groupBy("item_a", "item_b").agg(F.count("*").alias("n_shared"))
+    both = links.select(F.col("src").alias("item_a"), F.col("dst").alias("item_b")).union(links.select("dst", "src"))
+    return pairs.join(both, ["item_a", "item_b"], "left_anti")
 
 
 def shortlist(verdicts: DataFrame, axes: list[str], top_k: int = 10) -> DataFrame:

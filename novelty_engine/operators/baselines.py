@@ -10,11 +10,12 @@ from pyspark.sql import functions as F
 
 from ..functions import words
 from ..session import ship
+from .scan import ranks
 
 
 def rank_by_citations(links: DataFrame) -> DataFrame:
     counts = links.groupBy(F.col("dst").alias("item_id")).agg(F.count("*").alias("cites"))
-    return counts.withColumn("cite_rank", F.rank().over(Window.orderBy(F.desc("cites"))).cast("bigint"))
+    return ranks(counts, "cites", "cite_rank")
 
 
 def h_index(links: DataFrame, items: DataFrame, by: str) -> DataFrame:
@@ -44,9 +45,23 @@ def newest_first_network(links: DataFrame, items: DataFrame, targets: DataFrame,
     return cap_neighbours(cites, ["target_id"], by="date", limit=limit)
 
 
-def intransitive_triple(spark) -> DataFrame:
-    """Three items compared on axes chosen per pair: a beats b, b beats c, c beats a.  A fixed axis set cannot do that."""
-    return spark.createDataFrame([("a", "b", "speed", 2.0, 1.0), ("b", "c", "size", 2.0, 1.0), ("c", "a", "cost", 2.0, 1.0)], "winner string, loser string, axis string, w double, l double")
+def pairwise_winners(items: DataFrame, axes: dict[str, int], key: str = "item_id", fixed: str | None = None) -> DataFrame:
+    """(winner, loser) of every pair of a few items, each pair on an axis of its own: the one with the largest relative lead (ties by
+    name), or on the `fixed` axis for all.  Pairs grow with the square of the items, so it is for sets of targets."""
+    wide = items.select(F.col(key).alias("id"), *(F.col(a).cast("double").alias(a) for a in axes))
+    a, b = wide.select([F.col(c).alias(f"a_{c}") for c in wide.columns]), wide.select([F.col(c).alias(f"b_{c}") for c in wide.columns])
+    pairs = a.join(b, F.col("a_id") < F.col("b_id"))
+    lead = lambda x: F.coalesce(F.try_divide((F.col(f"a_{x}") - F.col(f"b_{x}")) * axes[x], F.greatest(F.abs(F.col(f"a_{x}")), F.abs(F.col(f"b_{x}")))), F.lit(0.0))
+    used = [fixed] if fixed else sorted(axes)
+    best = F.array_sort(F.array(*(F.struct((-F.abs(lead(x))).alias("size"), F.lit(x).alias("axis"), lead(x).alias("lead")) for x in used)))[0]
+    played = pairs.select("a_id", "b_id", best.alias("x")).where("x.lead <> 0")
+    return played.select(F.when(F.col("x.lead") > 0, F.col("a_id")).otherwise(F.col("b_id")).alias("winner"), F.when(F.col("x.lead") > 0, F.col("b_id")).otherwise(F.col("a_id")).alias("loser"), F.col("x.axis").alias("axis"))
+
+
+def intransitive_triples(wins: DataFrame) -> DataFrame:
+    """One row: the number of triples in which a beats b, b beats c and c beats a.  No fixed numeric axis has one."""
+    w = lambda x, y: wins.select(F.col("winner").alias(x), F.col("loser").alias(y))
+    return w("a", "b").join(w("b", "c"), "b").join(w("c", "a"), ["c", "a"]).where("a < b and a < c").agg(F.count("*").alias("n_cycles"))
 
 
 def _python_words(text: str | None) -> int:

@@ -10,14 +10,15 @@ from ..functions import categorical_score, numeric_score
 SCALES = ("ternary", "ternary_strict", "five", "binary")
 
 
-def verdict(scale: str = "ternary", cut: float = 0.25) -> Column:
+def verdict(scale: str = "ternary", cut: float = 0.25, how: str = "exact", least: float = 0.5) -> Column:
     """Verdict on a claims row, positive when the target is ahead.
 
     ternary: +1, 0, -1, categorical axes never -1; ternary_strict: a different categorical value counts -1 when it sorts after
     the target's; five: half steps where a numeric lead is under `cut` of the larger value; binary: win or no win.
+    `how` and `least` say which categorical values are equivalent.
     """
     numeric = numeric_score(F.col("t_num"), F.col("v_num"), F.col("direction"), F.col("tolerance"))
-    categorical = categorical_score(F.col("t_txt"), F.col("v_txt"))
+    categorical = categorical_score(F.col("t_txt"), F.col("v_txt"), how, least)
     if scale == "five":
         size = F.abs(F.col("t_num") - F.col("v_num")) / F.greatest(F.abs("t_num"), F.abs("v_num"))
         numeric = F.when((numeric == 0) | (size >= cut), numeric.cast("double")).otherwise(numeric * 0.5)
@@ -28,9 +29,9 @@ def verdict(scale: str = "ternary", cut: float = 0.25) -> Column:
     return F.when(out.isNull(), out).when(out == 1, 1).otherwise(0) if scale == "binary" else out
 
 
-def duels(claims: DataFrame, scale: str = "ternary", explain: bool = False) -> DataFrame:
+def duels(claims: DataFrame, scale: str = "ternary", explain: bool = False, how: str = "exact", least: float = 0.5) -> DataFrame:
     """claims plus `s` (and `why`): the target plays each related item on each of its axes."""
-    s = verdict(scale)
+    s = verdict(scale, how=how, least=least)
     if "t_unit" in claims.columns and "v_unit" in claims.columns:  # values in different units are not comparable
         s = F.when(F.col("t_unit") != F.col("v_unit"), F.lit(None)).otherwise(s)
     out = claims.withColumn("s", s)

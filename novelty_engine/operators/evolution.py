@@ -7,11 +7,11 @@ from neighbours in time only (an exact pruning), and the forest from rounds in w
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+from collections.abc import Callable, Iterable
 from math import acos, ceil, log, pi
 
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import confidence, edge_score
@@ -37,16 +37,18 @@ def jaccard_pairs(nodes: DataFrame, threshold: float, key: str = "pos", tokens:
     return both.select("a", "b", sim.alias("sim")).where(F.col("sim") >= threshold)
 
 
-def vector_pairs(vectors: DataFrame, threshold: float, key: str = "item_id", vec: str = "vec", metric: str = "cosine", block: int = 512, most_blocks: int = 64) -> DataFrame:
-    """(a, b, sim) of all pairs within a threshold, exactly: vectors are dealt to blocks, and each pair of blocks is one task-sized
-    matrix product.  Work grows with the square of the number of vectors, so it is for axes (winners), not corpora;
-    `lsh_pairs` is the approximate way beyond.  Euclidean distances are passed as negative similarity.
+def vector_pairs(vectors: DataFrame, threshold: float, key: str = "item_id", vec: str = "vec", metric: str = "cosine", block: int = 2048, within: str | None = None) -> DataFrame:
+    """(a, b, sim) of all pairs within a threshold, exactly: vectors are dealt to blocks of about `block`, and each pair of blocks is one
+    matrix product.  With `within` only pairs of one group are compared, every group in blocks of its own.
+
+    Work grows with the square of a group, so it is for axes (winners), not corpora; `lsh_pairs` is the approximate way
+    beyond.  Euclidean distances are passed as negative similarity.
     """
     ship(vectors.sparkSession)
-    blocks = min(most_blocks, max(1, -(-vectors.count() // block)))
-    own = F.pmod(F.xxhash64(key), F.lit(blocks)).cast("int")
-    plain = vectors.select(F.col(key).cast("bigint").alias("id"), F.transform(vec, lambda x: x.cast("double")).alias("vec"), own.alias("own"))
-    dealt = plain.withColumn("k", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).select("id", "vec", "own", F.least("own", "k").alias("i"), F.greatest("own", "k").alias("j"))
+    plain = vectors.select(F.col(key).cast("bigint").alias("id"), F.transform(vec, lambda x: x.cast("double")).alias("vec"), (F.col(within) if within else F.lit(0)).alias("g"))
+    sizes = plain.groupBy("g").agg(F.ceil(F.count("*") / F.lit(block)).cast("int").alias("blocks"))
+    placed = plain.join(sizes, "g").withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    dealt = placed.withColumn("k", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("g", "id", "vec", "own", F.least("own", "k").alias("i"), F.greatest("own", "k").alias("j"))
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
         import numpy as np
@@ -57,19 +59,33 @@ def vector_pairs(vectors: DataFrame, threshold: float, key: str = "item_id", vec
         if not len(left) or not len(right):
             return pd.DataFrame({"a": [], "b": [], "sim": []})
         x, y = np.stack(left["vec"].to_numpy()), np.stack(right["vec"].to_numpy())
-        nx, ny = np.sqrt((x * x).sum(axis=1)), np.sqrt((y * y).sum(axis=1))
+        square_x, square_y = (x * x).sum(axis=1), (y * y).sum(axis=1)
         if metric == "cosine":
             with np.errstate(invalid="ignore", divide="ignore"):
-                sim = (x @ y.T) / (nx[:, None] * ny[None, :])
+                sim = (x @ y.T) / np.sqrt(square_x[:, None] * square_y[None, :])
         else:
-            sim = -np.sqrt(np.maximum(0.0, (nx * nx)[:, None] + (ny * ny)[None, :] - 2 * (x @ y.T)))
+            sim = -np.sqrt(np.maximum(0.0, square_x[:, None] + square_y[None, :] - 2 * (x @ y.T)))
         sim = np.round(sim, 6)
         p, q = np.nonzero(sim >= threshold)
         ids = left["id"].to_numpy()[p], right["id"].to_numpy()[q]
         keep = ids[0] < ids[1] if i == j else ids[0] != ids[1]
         return pd.DataFrame({"a": np.minimum(*ids)[keep], "b": np.maximum(*ids)[keep], "sim": sim[p, q][keep]})
 
-    return dealt.groupBy("i", "j").applyInPandas(run, "a bigint, b bigint, sim double")
+    return dealt.groupBy("g", "i", "j").applyInPandas(run, "a bigint, b bigint, sim double")
+
+
+Relater = Callable[[DataFrame, DataFrame], DataFrame]
+
+
+def judged_pairs(judge: Callable[[Column, Column], Column], key: str = "pos", value: str = "value") -> Relater:
+    """A relater: of candidate pairs(a, b) those whose two values `judge` calls related.  Any symmetric column expression will do,
+    a pandas function over a model included."""
+
+    def run(nodes: DataFrame, candidates: DataFrame) -> DataFrame:
+        left, right = (nodes.select(F.col(key).alias(k), F.col(value).alias(f"{k}_value")) for k in "ab")
+        return candidates.select("a", "b").join(left, "a").join(right, "b").where(judge(F.col("a_value"), F.col("b_value"))).select("a", "b")
+
+    return run
 
 
 def lsh_pairs(vectors: DataFrame, threshold: float, key: str = "item_id", vec: str = "vec", recall: float = 0.97, bits: int = 5, size: int = 64) -> DataFrame:
@@ -177,27 +193,30 @@ def kruskal(edges: Iterable[tuple[float, int, int]]) -> list[int]:
     return out
 
 
-def temporal_forest(edges: DataFrame, engine: str = "filter", keys: list[str] | None = None, max_rounds: int = 40) -> DataFrame:
+def temporal_forest(edges: DataFrame, engine: str = "auto", keys: list[str] | None = None, max_rounds: int = 40, most_edges: int = 4_000_000) -> DataFrame:
     """Maximum spanning forest of edges(src, dst, sigma); ties: smallest distance, source, destination, so it is unique.
 
-    `filter`: forests of slices, merged eightfold until one is left; an edge rejected in a slice is rejected everywhere, so a
+    `auto`: `filter` up to `most_edges` edges, `boruvka` above.  `filter`: forests of slices, merged eightfold until one is left; an edge rejected in a slice is rejected everywhere, so a
     task holds at most eight forests, whose size is the number of winners and not of edges.  `boruvka`: rounds in which each
-    component takes its best outgoing edge; for axes with too many winners for one task.  `kruskal`: one group per
-    axis (`keys`), for many small axes at once.
+    component takes its best outgoing edge; for axes with too many winners for one task.  `kruskal`: one group.  With `keys`
+    the last two make a forest for each value of the keys; nodes that are numbered apart need none.
     """
+    if engine == "auto":
+        edges = cut_lineage(edges)
+        engine = "filter" if edges.count() <= most_edges else "boruvka"
     if engine == "boruvka":
         return _boruvka(edges, max_rounds)
     if engine == "filter":
         ship(edges.sparkSession)
         for slices in (64, 8, 1):
             slice_ = F.pmod(F.xxhash64("src", "dst"), F.lit(slices))
-            edges = edges.withColumn("slice_", slice_).groupBy("slice_").applyInPandas(_group_kruskal(edges.columns), edges.schema)
+            edges = edges.withColumn("slice_", slice_).groupBy(*(keys or []), "slice_").applyInPandas(_group_kruskal(edges.columns), edges.schema)
         return edges
     if engine == "kruskal":
         ship(edges.sparkSession)
         grouped = edges.groupBy(*keys) if keys else edges.withColumn("all_", F.lit(1)).groupBy("all_")
         return grouped.applyInPandas(_group_kruskal(edges.columns), edges.schema)
-    raise ValueError("engine is boruvka, kruskal or filter")
+    raise ValueError("engine is auto, boruvka, kruskal or filter")
 
 
 def _group_kruskal(columns: list[str]):
@@ -263,11 +282,36 @@ def forest_events(nodes: DataFrame, forest: DataFrame, key: str = "pos") -> Data
     return rows.withColumn("emergence", F.col("n_in") == 0).withColumn("divergence", F.col("n_out") >= 2).withColumn("convergence", F.col("n_in") >= 2)
 
 
+def level_counts(nodes: DataFrame, clusters: DataFrame, overlapping: DataFrame, related: DataFrame) -> DataFrame:
+    """(conf, n): edges of the full confidence graph by level, without its pairs: those of level 4 are the pairs inside clusters
+    less those of level 5."""
+    listed = confidence_graph(nodes, clusters, overlapping, related, prune=True).where("conf <> 4").groupBy("conf").agg(F.count("*").alias("n"))
+    inside = clusters.where("cluster is not null").groupBy("cluster").agg(F.count("*").alias("k")).agg(F.coalesce(F.sum(F.expr("k * (k - 1) div 2")), F.lit(0)).alias("pairs"))
+    fives = listed.agg(F.coalesce(F.sum(F.when(F.col("conf") == 5, F.col("n"))), F.lit(0)).alias("fives"))
+    four = inside.crossJoin(fives).select(F.lit(4).alias("conf"), (F.col("pairs") - F.col("fives")).alias("n")).where("n > 0")
+    return listed.unionByName(four)
+
+
 def forest_stats(nodes: DataFrame, forest: DataFrame, key: str = "pos") -> DataFrame:
-    """One row: n_nodes, n_edges, n_components, n_roots, total_sigma."""
-    n, roots = nodes.select(key).distinct().agg(F.count("*").alias("n_nodes")), forest_roots(nodes, forest, key).agg(F.count("*").alias("n_roots"))
+    """One row: n_nodes, n_edges, n_components, n_roots, depth (most steps from the nearest root), total_sigma."""
+    roots = cut_lineage(forest_roots(nodes, forest, key))
+    n = nodes.select(key).distinct().agg(F.count("*").alias("n_nodes"))
     e = forest.agg(F.count("*").alias("n_edges"), F.round(F.coalesce(F.sum(F.col("sigma").cast("decimal(18,6)")).cast("double"), F.lit(0.0)), 6).alias("total_sigma"))
-    return n.crossJoin(e).crossJoin(roots).select("n_nodes", "n_edges", (F.col("n_nodes") - F.col("n_edges")).alias("n_components"), "n_roots", "total_sigma")
+    depth = depths(forest, roots.select(F.col(key).alias("node"))).agg(F.coalesce(F.max("depth"), F.lit(0)).cast("bigint").alias("depth"))
+    return n.crossJoin(e).crossJoin(roots.agg(F.count("*").alias("n_roots"))).crossJoin(depth).select("n_nodes", "n_edges", (F.col("n_nodes") - F.col("n_edges")).alias("n_components"), "n_roots", "depth", "total_sigma")
+
+
+def depths(forest: DataFrame, roots: DataFrame, max_depth: int = 1000) -> DataFrame:
+    """(node, depth): steps of each node from its nearest root."""
+    front = cut_lineage(roots.select("node", F.lit(0).alias("depth")))
+    seen = front
+    for depth in range(1, max_depth + 1):
+        step = front.join(forest.select("src", "dst"), F.col("node") == F.col("src")).select(F.col("dst").alias("node"), F.lit(depth).alias("depth")).distinct()
+        front = cut_lineage(step.join(seen.select("node"), "node", "left_anti"))
+        if not front.limit(1).count():
+            return seen
+        seen = cut_lineage(seen.unionByName(front))
+    raise RuntimeError("the forest is deeper than the limit")
 
 
 def cluster_terms(nodes: DataFrame, clusters: DataFrame, tokens: str = "tokens", top: int = 3, key: str = "pos") -> DataFrame:

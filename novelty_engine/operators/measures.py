@@ -3,11 +3,14 @@
 from __future__ import annotations
 
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterable
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..session import cut_lineage
+from .scan import ranks, running
+
 
 def time_extractors(items: DataFrame, engines: dict[str, Callable[[DataFrame], DataFrame]]) -> dict[str, float]:
     """Mean seconds per body of each engine, measured around a write to nowhere."""
@@ -23,16 +26,19 @@ class StageTimer:
     """Seconds by stage; `rows` is appended to the call log."""
 
     def __init__(self):
-        self.rows: list[tuple[str, float]] = []
+        self.rows: list[tuple[str, int, int, float]] = []
 
-    def run(self, stage: str, df: DataFrame) -> DataFrame:
+    def run(self, stage: str, df: DataFrame | Callable[[], DataFrame], calls: Callable[[int], int] = lambda rows: rows) -> DataFrame:
+        """Work a stage out, hold its rows for the next one, and note rows, calls (from the rows) and seconds."""
         start = time.perf_counter()
-        df.write.format("noop").mode("overwrite").save()
-        self.rows.append((stage, time.perf_counter() - start))
-        return df
+        held = cut_lineage(df() if callable(df) else df)
+        seconds = time.perf_counter() - start
+        rows = held.count()
+        self.rows.append((stage, int(calls(rows)), rows, seconds))
+        return held
 
     def log(self, spark: SparkSession) -> DataFrame:
-        return spark.createDataFrame(self.rows or [("", 0.0)], "stage string, seconds double").where("stage <> ''")
+        return spark.createDataFrame(self.rows or [("", 0, 0, 0.0)], "stage string, calls bigint, rows bigint, seconds double").where("stage <> ''")
 
 
 def call_model(sizes: DataFrame) -> DataFrame:
@@ -56,8 +62,8 @@ def stability(a: DataFrame, b: DataFrame, keys: list[str], values: list[str]) ->
 def auc(rows: DataFrame, score: str, label: str) -> DataFrame:
     """Area under the ROC curve from rank sums; ties count half.  Ranks come from counts of distinct scores."""
     counts = rows.where(F.col(score).isNotNull() & F.col(label).isNotNull()).groupBy(score).agg(F.count_if(F.col(label) == 1).alias("p"), F.count_if(F.col(label) == 0).alias("n"))
-    below = F.coalesce(F.sum("n").over(Window.orderBy(score).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    won = counts.select("p", "n", (F.col("p") * (2 * below + F.col("n"))).alias("twice"))
+    placed = running(counts, score, "n", "below")
+    won = placed.select("p", "n", (F.col("p") * (2 * F.col("below") + F.col("n"))).alias("twice"))
     return won.agg(F.round(F.try_divide(F.sum("twice"), 2 * F.sum("p") * F.sum("n")), 6).alias("auc"))
 
 
@@ -68,9 +74,7 @@ def precision_at_k(rows: DataFrame, score: str, label: str, key: str, k: int) ->
 
 def average_ranks(rows: DataFrame, value: str, name: str) -> DataFrame:
     """Adds the average rank of a value, ties shared: from counts of distinct values, as a double."""
-    counts = rows.groupBy(value).agg(F.count("*").alias("c_"))
-    below = F.coalesce(F.sum("c_").over(Window.orderBy(value).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    return rows.join(F.broadcast(counts.select(F.col(value).alias("v_"), (below + (F.col("c_") + 1) / 2).alias(name))), F.col(value) == F.col("v_")).drop("v_")
+    return ranks(rows, value, name, descending=False, average=True)
 
 
 def spearman(rows: DataFrame, a: str, b: str) -> DataFrame:
@@ -85,6 +89,13 @@ def rank_agreement(rows: DataFrame, a: str, b: str, key: str, k: int) -> DataFra
     return spearman(rows, a, b).crossJoin(both)
 
 
+def uncertain(rows: DataFrame, key: str, value: str, errs: int, calls: Iterable[int]) -> DataFrame:
+    """An extractor's answers over several calls: `errs` in a hundred are wrong, chosen by a digest of the row's key and the call."""
+    at = lambda call: F.conv(F.substring(F.md5(F.concat_ws("|", F.col(key).cast("string"), F.lit(str(call)))), 1, 8), 16, 10).cast("bigint")
+    answer = lambda call: F.when(at(call) % 100 < errs, F.concat(F.lit("wrong "), (at(call) % 7).cast("string"))).otherwise(F.col(value))
+    return rows.select(key, F.explode(F.array(*(answer(c) for c in calls))).alias(value))
+
+
 def noisy(claims: DataFrame, noise: float, seed: int = 3) -> DataFrame:
     """Values shaken by up to `noise` of their size, the same way every time."""
     digest = F.substring(F.md5(F.concat_ws("|", "target_id", "item_id", "axis", F.lit(seed))), 1, 8)
@@ -92,11 +103,12 @@ def noisy(claims: DataFrame, noise: float, seed: int = 3) -> DataFrame:
     return claims.withColumn("v_num", F.col("v_num") * (1 + noise * unit))
 
 
-def flip_rate(before: DataFrame, after: DataFrame) -> DataFrame:
-    """Share of verdicts that change between two runs."""
+def flip_rate(before: DataFrame, after: DataFrame, by: list[str] | None = None) -> DataFrame:
+    """Share of verdicts that change between two runs, overall or for each `by`."""
     keys = ["target_id", "item_id", "axis"]
     joined = before.select(*keys, F.col("s").alias("s0")).join(after.select(*keys, F.col("s").alias("s1")), keys).where("s0 is not null")
-    return joined.agg(F.count("*").alias("n"), F.round(F.avg(F.when(F.col("s0") != F.col("s1"), 1.0).otherwise(0.0)), 6).alias("flips"))
+    grouped = joined.groupBy(*by) if by else joined
+    return grouped.agg(F.count("*").alias("n"), F.round(F.avg(F.when(F.col("s0") != F.col("s1"), 1.0).otherwise(0.0)), 6).alias("flips"))
 
 
 def cluster_quality(labelled: DataFrame, cluster: str = "cluster", label: str = "label") -> DataFrame:
@@ -142,3 +154,17 @@ def plan_shape(df: DataFrame) -> dict[str, int]:
     """Counts of the physical operators that matter at scale."""
     text = df._jdf.queryExecution().executedPlan().toString()
     return {name: text.count(name) for name in ("Exchange", "BroadcastExchange", "CartesianProduct", "BroadcastNestedLoopJoin", "SortMergeJoin", "BatchEvalPython", "ArrowEvalPython", "MapInPandas", "FlatMapGroupsInPandas")}
+
+
+def run_costs(spark: SparkSession, make: Callable[[], DataFrame]) -> DataFrame:
+    """(measure, value): operators of a query's plan, and the jobs, stages, shuffled rows, shuffled and spilled bytes of its run."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+    stages = lambda: {(s.stageId(), s.attemptId()): s for s in (lambda seq: [seq.apply(i) for i in range(seq.size())])(store.stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), None))}
+    before = set(stages())
+    df = make()
+    df.write.format("noop").mode("overwrite").save()
+    spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
+    ran = [s for k, s in stages().items() if k not in before]
+    total = lambda name: sum(getattr(s, name)() for s in ran)
+    rows = {"stages": len(ran), "shuffle_rows": total("shuffleWriteRecords"), "shuffle_bytes": total("shuffleWriteBytes"), "spilled_bytes": total("diskBytesSpilled")} | {f"plan {k}": v for k, v in plan_shape(df).items()}
+    return spark.createDataFrame(list(rows.items()), "measure string, value bigint")

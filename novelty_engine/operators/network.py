@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..session import ship
+
 
 def cap_neighbours(edges: DataFrame, parent: list[str], item: str = "item_id", by: str = "relevance", limit: int | None = 50) -> DataFrame:
     """At most `limit` neighbours of each parent: by relevance, newest first (`date`), or at random (`hash`); ties by id.
@@ -55,13 +58,32 @@ def require_body(network: DataFrame, items: DataFrame) -> tuple[DataFrame, DataF
     return network.join(bodied, "item_id", "left_semi"), network.join(bodied, "item_id", "left_anti")
 
 
-def semantic_network(vectors: DataFrame, targets: DataFrame, top_k: int = 20, min_sim: float = 0.0, most_targets: int = 10_000) -> DataFrame:
-    """Nearest vectors of each target instead of links.  Up to `most_targets` targets are broadcast; more are dealt to blocks of about that many."""
-    chosen = vectors.join(targets, vectors["item_id"] == targets["target_id"]).select("target_id", F.col("vec").alias("t_vec"))
-    n = chosen.count()
-    blocks = F.broadcast(chosen) if n <= most_targets else chosen.repartition(-(-n // most_targets), "target_id").hint("shuffle_replicate_nl")
-    dot = F.aggregate(F.zip_with("t_vec", "vec", lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
-    near = vectors.join(blocks, F.col("item_id") != F.col("target_id")).select("target_id", "item_id", F.round(dot, 6).alias("relevance")).where(F.col("relevance") >= min_sim)
+def semantic_network(vectors: DataFrame, targets: DataFrame, top_k: int = 20, min_sim: float = 0.0, block: int = 2048) -> DataFrame:
+    """Nearest vectors of each target instead of links: targets and vectors are dealt to blocks, each pair of blocks is one matrix
+    product that keeps the `top_k` of each target (ties by id), and these meet in one small window a target."""
+    ship(vectors.sparkSession)
+    rows = vectors.select(F.col("item_id").cast("bigint").alias("id"), F.transform("vec", lambda x: x.cast("double")).alias("vec"))
+    chosen = rows.join(targets.select(F.col("target_id").alias("id")).distinct(), "id")
+    n_rows, n_targets = (max(1, -(-df.count() // block)) for df in (rows, chosen))
+    own = lambda n: F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    dealt = rows.select("id", "vec", F.lit(False).alias("asks"), every(n_targets).alias("i"), own(n_rows).alias("j")).unionByName(chosen.select("id", "vec", F.lit(True).alias("asks"), own(n_targets).alias("i"), every(n_rows).alias("j")))
+
+    def run(group: pd.DataFrame) -> pd.DataFrame:
+        import numpy as np
+
+        group = group.sort_values("id", kind="stable")
+        asks, has = group[group["asks"]], group[~group["asks"]]
+        if not len(asks) or not len(has):
+            return pd.DataFrame({"target_id": [], "item_id": [], "relevance": []})
+        sim = np.round(np.stack(asks["vec"].to_numpy()) @ np.stack(has["vec"].to_numpy()).T, 6)
+        ids, askers = has["id"].to_numpy(), asks["id"].to_numpy()
+        sim[askers[:, None] == ids[None, :]] = -np.inf
+        best = np.argsort(-sim, axis=1, kind="stable")[:, :top_k]
+        out = pd.DataFrame({"target_id": np.repeat(askers, best.shape[1]), "item_id": ids[best].ravel(), "relevance": np.take_along_axis(sim, best, axis=1).ravel()})
+        return out[out["relevance"] >= min_sim]
+
+    near = dealt.groupBy("i", "j").applyInPandas(run, "target_id bigint, item_id bigint, relevance double")
     return cap_neighbours(near, ["target_id"], limit=top_k).select("target_id", "item_id", F.lit("similar").alias("relation"), F.lit(1).alias("layer"), "relevance")
 
 

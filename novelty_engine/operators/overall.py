@@ -63,6 +63,28 @@ def overall_score(counts: DataFrame, alpha: float | Column = 0.5, weighting: str
     return rows.groupBy(*by).agg(F.round(omega, 6).alias("omega"), F.count("*").alias("n_axes"))
 
 
+def scaled_score(verdicts: DataFrame, alpha: float = 0.5, by: list[str] | None = None) -> DataFrame:
+    """(target_id, omega, n) for verdicts on any scale: what is won less what is lost, draws at `alpha`, weighted by what is won.
+
+    With verdicts -1, 0 and 1 this is `overall_score`.
+    """
+    by, s = by or ["target_id"], F.col("s").cast("double")
+    axes = verdicts.groupBy(*by, "axis").agg(F.sum(F.greatest(s, F.lit(0.0))).alias("won"), F.sum(F.greatest(-s, F.lit(0.0))).alias("lost"), F.count_if(s == 0).alias("level"), F.count("s").alias("n"))
+    rows = axes.select(*by, "n", F.coalesce(F.try_divide("won", "n"), F.lit(0.0)).alias("raw"), F.coalesce(F.try_divide(F.col("won") + alpha * F.col("level") - F.col("lost"), "n"), F.lit(0.0)).alias("score"))
+    total = F.sum("raw")
+    omega = F.when(total > 0, F.sum(F.col("raw") * F.col("score")) / total).otherwise(F.sum("score") / F.count("*"))
+    return rows.groupBy(*by).agg(F.round(omega, 6).alias("omega"), F.sum("n").alias("n"))
+
+
+def without_items(verdicts: DataFrame, alpha: float = 0.5) -> DataFrame:
+    """(target_id, item_id, omega_without): the score when one related item is left out, from counts less that item's verdicts."""
+    counts = axis_counts(verdicts).drop("view")
+    items = verdicts.select("target_id", "item_id").distinct().join(counts, "target_id")
+    own = verdicts.where("s is not null").select("target_id", "item_id", "axis", "s")
+    left = items.join(own, ["target_id", "item_id", "axis"], "left").select("target_id", "item_id", "axis", *((F.col(c) - F.coalesce((F.col("s") == v).cast("bigint"), F.lit(0))).alias(c) for c, v in (("n_win", 1), ("n_draw", 0), ("n_loss", -1))))
+    return overall_score(left, alpha, by=["target_id", "item_id"]).select("target_id", "item_id", F.col("omega").alias("omega_without"))
+
+
 def axis_table(counts: DataFrame, alpha: float = 0.5) -> DataFrame:
     """Score, weight and contribution of each axis, with the score left when the axis is taken out."""
     from pyspark.sql import Window

@@ -29,11 +29,16 @@ def timeline(network: DataFrame, items: DataFrame, targets: DataFrame) -> DataFr
     return dated.withColumn("pos", F.row_number().over(Window.partitionBy("target_id").orderBy("pub_date", "item_id")).cast("bigint"))
 
 
+def present(value: Column) -> Column:
+    """The value, null for NaN: what is not a number is missing and never becomes the best."""
+    return F.nanvl(value.cast("double"), F.lit(None).cast("double"))
+
+
 def numeric_advances(rows: DataFrame, keys: list[str], value: str, direction: Column | int = 1) -> DataFrame:
     """rows plus `s` and `nu`, tolerance 0: a strict record wins, the first value wins."""
     before = Window.partitionBy(*keys).orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
     upto = Window.partitionBy(*keys).orderBy("pos").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    v = F.col(value) * direction
+    v = present(F.col(value)) * direction
     best = F.max(v).over(before)
     s = F.when(v.isNull(), F.lit(None).cast("int")).when(best.isNull() | (v > best), 1).when(v == best, 0).otherwise(-1)
     return rows.withColumn("s", s).withColumn("nu", F.count_if(F.col("s") == 1).over(upto))
@@ -86,12 +91,12 @@ def tolerant_winners(rows: DataFrame, keys: list[str], value: str, tolerance: fl
     Exact for values of one sign; a series whose values differ in sign is folded whole.
     """
     ship(rows.sparkSession)
-    present = rows.where(F.col(value).isNotNull()).select(*keys, "pos", F.col(value).cast("double").alias("v"))
+    known = rows.select(*keys, "pos", present(F.col(value)).alias("v")).where("v is not null")
     before = Window.partitionBy(*keys).orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
     signs = Window.partitionBy(*keys)
     mixed = (F.min("v").over(signs) < 0) & (F.max("v").over(signs) > 0)
     best = F.max(F.col("v") * direction).over(before)
-    records = present.withColumn("mixed", mixed).withColumn("best", best).where("mixed or best is null" + f" or v * {direction} > best").select(*keys, "pos", "v")
+    records = known.withColumn("mixed", mixed).withColumn("best", best).where("mixed or best is null" + f" or v * {direction} > best").select(*keys, "pos", "v")
     schema = ", ".join(f"`{k}` {records.schema[k].dataType.simpleString()}" for k in keys)
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
@@ -108,7 +113,7 @@ def with_state(rows: DataFrame, winners: DataFrame, keys: list[str], value: str,
     upto = Window.partitionBy(*keys).orderBy("pos").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     state = F.last("won", ignorenulls=True).over(before)
     s = F.when(F.col("won").isNotNull(), 1).otherwise(F.least(F.lit(0), numeric_score(F.col(value), F.col("state"), direction, tolerance)))
-    return marked.withColumn("state", state).withColumn("s", F.when(F.col(value).isNull(), F.lit(None).cast("int")).otherwise(s)).withColumn("nu", F.count("won").over(upto)).drop("won")
+    return marked.withColumn("state", state).withColumn("s", F.when(present(F.col(value)).isNull(), F.lit(None).cast("int")).otherwise(s)).withColumn("nu", F.count("won").over(upto)).drop("won")
 
 
 def leaders(pairs: DataFrame, nodes: DataFrame, max_rounds: int = 100) -> DataFrame:
@@ -132,26 +137,45 @@ def leaders(pairs: DataFrame, nodes: DataFrame, max_rounds: int = 100) -> DataFr
     raise RuntimeError("leaders did not settle")
 
 
-def best_so_far_scan(rows: DataFrame, value: str, partitions: int = 32, keys: list[str] | None = None) -> DataFrame:
-    """Strict records of very long series in two phases: the range of positions is cut, each cut knows the best of the
-    cuts before it (a small table), and windows run inside cuts only.  Same `s` as `numeric_advances`."""
+def best_so_far_scan(rows: DataFrame, value: str, cut_rows: int = 1_000_000, keys: list[str] | None = None) -> DataFrame:
+    """Strict records of very long series in two phases: positions are cut into ranges of `cut_rows`, each cut knows the best of
+    the cuts before it (a row a series and cut), and windows run inside cuts only.  Same `s` as `numeric_advances`."""
     keys = keys or []
-    bounds = rows.agg(F.min("pos").alias("lo"), F.max("pos").alias("hi"))
-    cut = rows.crossJoin(F.broadcast(bounds)).withColumn("cut", F.floor((F.col("pos") - F.col("lo")) * partitions / (F.col("hi") - F.col("lo") + 1)).cast("int")).drop("lo", "hi")
-    tops = cut.groupBy(*keys, "cut").agg(F.max(value).alias("top"))
-    earlier = Window.partitionBy(*keys).orderBy("cut").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = tops.select(*keys, "cut", F.max("top").over(earlier).alias("offset"))
-    inside = Window.partitionBy(*keys, "cut").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
-    best = F.greatest(F.max(value).over(inside), F.col("offset"))
-    joined = cut.join(F.broadcast(offsets), [*keys, "cut"])
-    v = F.col(value)
-    return joined.withColumn("best", best).withColumn("s", F.when(v.isNull(), F.lit(None).cast("int")).when(F.col("best").isNull() | (v > F.col("best")), 1).when(v == F.col("best"), 0).otherwise(-1)).drop("best", "offset", "cut")
-
-
-def target_advances(line: DataFrame, claims: DataFrame, axes: DataFrame) -> DataFrame:
+    cut = rows.withColumn("v_", present(F.col(value))).withColumn("cut_", F.floor(F.col("pos") / F.lit(cut_rows)).cast("bigint"))
+    tops = cut.groupBy(*keys, "cut_").agg(F.max("v_").alias("top_"))
+    earlier = Window.partitionBy(*keys).orderBy("cut_").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = tops.select(*keys, "cut_", F.max("top_").over(earlier).alias("offset_"))
+    inside = Window.partitionBy(*keys, "cut_").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
+    joined = cut.withColumn("own_", F.max("v_").over(inside)).join(offsets, [*keys, "cut_"]).withColumn("best_", F.greatest("own_", "offset_"))
+    s = F.when(F.col("v_").isNull(), F.lit(None).cast("int")).when(F.col("best_").isNull() | (F.col("v_") > F.col("best_")), 1).when(F.col("v_") == F.col("best_"), 0).otherwise(-1)
+    return joined.select(*rows.columns, s.alias("s"))
+
+
+def temporal_state(rows: DataFrame, keys: list[str], value: str) -> DataFrame:
+    """Mergeable state of numeric series: (keys, best, nu, last_pos).  It is all that later rows need, so it may be stored."""
+    done = numeric_advances(rows, keys, value)
+    return done.groupBy(*keys).agg(F.max(present(F.col(value))).alias("best"), F.count_if(F.col("s") == 1).alias("nu"), F.max("pos").alias("last_pos"))
+
+
+def continue_advances(state: DataFrame, rows: DataFrame, keys: list[str], value: str) -> DataFrame:
+    """rows that come after a stored state plus `s` and `nu`, as if the series had been read whole."""
+    before = Window.partitionBy(*keys).orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
+    upto = Window.partitionBy(*keys).orderBy("pos").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    joined = rows.withColumn("v_", present(F.col(value))).join(state.select(*keys, F.col("best").alias("best_"), F.col("nu").alias("nu_")), keys, "left")
+    best = F.greatest(F.max("v_").over(before), F.col("best_"))
+    s = F.when(F.col("v_").isNull(), F.lit(None).cast("int")).when(best.isNull() | (F.col("v_") > best), 1).when(F.col("v_") == best, 0).otherwise(-1)
+    return joined.withColumn("s", s).withColumn("nu", F.count_if(F.col("s") == 1).over(upto) + F.coalesce("nu_", F.lit(0))).select(*rows.columns, "s", "nu")
+
+
+def merge_states(old: DataFrame, new: DataFrame, keys: list[str]) -> DataFrame:
+    """State after the rows of `new`, whose counts continue those of `old` (from `continue_advances`)."""
+    return old.unionByName(new).groupBy(*keys).agg(F.max("best").alias("best"), F.max("nu").alias("nu"), F.max("last_pos").alias("last_pos"))
+
+
+def target_advances(line: DataFrame, claims: DataFrame, axes: DataFrame, values_too: bool = False) -> DataFrame:
     """(target_id, axis, pos, item_id, s, nu) for all rows of each target's timeline that have a value.
 
-    `claims` holds the related items' values; the target's own come from `axes`.
+    `claims` holds the related items' values; the target's own come from `axes`.  `values_too` keeps the values.
     """
     own = axes.select("target_id", F.col("target_id").alias("item_id"), "axis", "kind", "direction", F.col("t_num").alias("v_num"), F.col("t_txt").alias("v_txt"))
     values = claims.select("target_id", "item_id", "axis", "kind", "direction", "v_num", "v_txt").unionByName(own).where("v_num is not null or v_txt is not null")
@@ -159,7 +183,13 @@ def target_advances(line: DataFrame, claims: DataFrame, axes: DataFrame) -> Data
     keys = ["target_id", "axis"]
     numeric = numeric_advances(placed.where("kind = 'numeric'"), keys, "v_num", F.col("direction"))
     categorical = categorical_advances(placed.where("kind = 'categorical'"), keys, "v_txt")
-    return numeric.unionByName(categorical).select("target_id", "axis", "pos", "item_id", "kind", "s", "nu")
+    return numeric.unionByName(categorical).select("target_id", "axis", "pos", "item_id", "kind", "s", "nu", *(["v_num", "v_txt"] if values_too else []))
+
+
+def winners(advances: DataFrame, items: DataFrame) -> DataFrame:
+    """(target_id, axis, pos, item_id, year, value): the advancing items of each axis with their values as text, from advances with values."""
+    value = F.coalesce("v_txt", F.col("v_num").cast("decimal(20,6)").cast("string"))
+    return advances.where("s = 1").select("target_id", "axis", "pos", "item_id", value.alias("value")).join(items.select("item_id", "year"), "item_id").select("target_id", "axis", "pos", "item_id", "year", "value")
 
 
 def pace(line: DataFrame, advances: DataFrame, axes: DataFrame) -> DataFrame:
@@ -167,7 +197,7 @@ def pace(line: DataFrame, advances: DataFrame, axes: DataFrame) -> DataFrame:
     m = axes.groupBy("target_id").agg(F.count("*").alias("m"))
     wins = advances.where("s = 1").groupBy("target_id", "pos").agg(F.count("*").alias("won"))
     upto = Window.partitionBy("target_id").orderBy("pos").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    rows = line.join(wins, ["target_id", "pos"], "left").join(F.broadcast(m), "target_id").withColumn("n_won", F.coalesce("won", F.lit(0)).cast("bigint")).withColumn("total", F.sum("n_won").over(upto))
+    rows = line.join(wins, ["target_id", "pos"], "left").join(m, "target_id").withColumn("n_won", F.coalesce("won", F.lit(0)).cast("bigint")).withColumn("total", F.sum("n_won").over(upto))
     return rows.select(*line.columns, "n_won", F.round(F.col("total") / F.col("m"), 6).alias("nu_bar"), F.round(F.col("n_won") / F.col("m"), 6).alias("d_nu_bar"), F.round(F.log1p(F.col("total") / F.col("m")), 6).alias("log_nu"))
 
 
@@ -181,7 +211,7 @@ def spells(paced: DataFrame, flat: int = 5) -> DataFrame:
 
 def densify(line: DataFrame, advances: DataFrame, axes: DataFrame) -> DataFrame:
     """Full (target, axis, pos) grid with nu carried forward, for plots only."""
-    grid = line.select("target_id", "pos").join(F.broadcast(axes.select("target_id", "axis")), "target_id")
+    grid = line.select("target_id", "pos").join(axes.select("target_id", "axis"), "target_id")
     upto = Window.partitionBy("target_id", "axis").orderBy("pos").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     joined = grid.join(advances.select("target_id", "axis", "pos", "s", F.col("nu").alias("here")), ["target_id", "axis", "pos"], "left")
     return joined.select("target_id", "axis", "pos", "s", F.coalesce(F.last("here", ignorenulls=True).over(upto), F.lit(0)).cast("bigint").alias("nu"))
@@ -190,16 +220,17 @@ def densify(line: DataFrame, advances: DataFrame, axes: DataFrame) -> DataFrame:
 def annotated_advances(rows: DataFrame, keys: list[str], value: str) -> DataFrame:
     """numeric_advances with the state before each row and a sentence."""
     before = Window.partitionBy(*keys).orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
-    state = F.max(value).over(before)
-    done = numeric_advances(rows, keys, value).withColumn("state", state)
-    return done.withColumn("note", F.format_string("%s after %s: %s", F.col(value).cast("string"), F.coalesce(F.col("state").cast("string"), F.lit("nothing")), F.when(F.col("s") == 1, "advance").when(F.col("s") == 0, "level").otherwise("behind")))
+    done = numeric_advances(rows, keys, value).withColumn("state", F.max(present(F.col(value))).over(before))
+    shown = lambda c: F.coalesce(F.col(c).cast("decimal(20,6)").cast("string"), F.lit("nothing"))
+    word = F.when(F.col("s") == 1, "advance").when(F.col("s") == 0, "level").when(F.col("s") == -1, "behind").otherwise("no verdict")
+    return done.withColumn("note", F.concat(shown(value), F.lit(" after "), shown("state"), F.lit(": "), word))
 
 
 def iterate(values: Iterator[float], tolerance: float = 0.0) -> Iterator[int]:
     """Verdicts of one series in order; the plain form that windows and streams are tested against."""
     state = None
     for v in values:
-        if v is None:
+        if v is None or v != v:
             yield None
         elif state is None or v - state > tolerance * max(abs(v), abs(state)):
             state = v

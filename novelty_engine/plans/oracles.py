@@ -16,9 +16,8 @@ items AS (SELECT doc_id AS item_id, CAST(DATE '1990-01-01' + CAST(doc_id * 12775
 
 LINKS = """
 lines AS (SELECT DISTINCT doc_id, trim(x) AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS x FROM documents) WHERE length(trim(x)) >= 40),
-good AS (SELECT line FROM lines GROUP BY line HAVING count(*) BETWEEN 2 AND 50),
-gl AS (SELECT doc_id, line FROM lines JOIN good USING (line)),
-links AS (SELECT a.doc_id AS src, b.doc_id AS dst, CAST(count(*) AS DOUBLE) AS relevance FROM gl a JOIN gl b ON a.line = b.line AND a.doc_id > b.doc_id GROUP BY 1, 2)"""
+held AS (SELECT doc_id, line, lag(doc_id) OVER w AS prev, first_value(doc_id) OVER w AS head FROM lines WINDOW w AS (PARTITION BY line ORDER BY doc_id)),
+links AS (SELECT doc_id AS src, dst, CAST(count(*) AS DOUBLE) AS relevance FROM (SELECT line, doc_id, prev AS dst FROM held WHERE prev IS NOT NULL UNION SELECT line, doc_id, head FROM held WHERE head < doc_id) GROUP BY 1, 2)"""
 
 FEATURES_WIDE = rf"""
 raw AS (
@@ -94,7 +93,8 @@ items AS (SELECT p_partkey AS item_id, pub_date, p_retailprice AS price, p_size
 
 PART_LINKS = """
 op AS (SELECT DISTINCT l_orderkey, l_partkey, pub_date FROM lineitem JOIN items ON item_id = l_partkey),
-links AS (SELECT a.l_partkey AS src, b.l_partkey AS dst, CAST(count(*) AS DOUBLE) AS relevance FROM op a JOIN op b ON a.l_orderkey = b.l_orderkey AND (a.pub_date, a.l_partkey) > (b.pub_date, b.l_partkey) GROUP BY 1, 2)"""
+oph AS (SELECT l_orderkey, l_partkey, lag(l_partkey) OVER w AS prev, first_value(l_partkey) OVER w AS head FROM op WINDOW w AS (PARTITION BY l_orderkey ORDER BY pub_date, l_partkey)),
+links AS (SELECT l_partkey AS src, dst, CAST(count(*) AS DOUBLE) AS relevance FROM (SELECT l_orderkey, l_partkey, prev AS dst FROM oph WHERE prev IS NOT NULL UNION SELECT l_orderkey, l_partkey, head FROM oph WHERE prev IS NOT NULL) GROUP BY 1, 2)"""
 
 PARTS = "WITH " + ",".join([PARTS_WIDE, PART_LINKS, long(PART_NUMERIC, PART_CATEGORICAL, "items"), targets(), net(1), AXES, CLAIMS, DUELS])
 
@@ -172,6 +172,34 @@ bott(a, b, r) USING KEY (a, b) AS (
 forest AS MATERIALIZED (SELECT src, dst, conf, gap, sigma FROM ranked JOIN bott ON bott.a = src AND bott.b = dst AND bott.r = rk)"""
 
 
+def embedded(value: str) -> str:
+    """Vector of hashed character trigrams of a value, as list expressions."""
+    text = f"('  ' || {norm(value)} || ' ')"
+    hashes = f"list_transform(range(1, length({text}) - 1), lambda i: (unicode(substr({text}, i, 1)) * 7919::BIGINT + unicode(substr({text}, i + 1, 1)) * 104729::BIGINT + unicode(substr({text}, i + 2, 1)) * 1299709::BIGINT) % 1000003)"
+    return f"list_transform(range(0, 64), lambda j: coalesce(list_sum(list_transform(list_filter({hashes}, lambda h: h % 64 = j), lambda h: CASE WHEN (h // 64) % 2 = 0 THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END)), 0.0::DOUBLE))"
+
+
+def ascii_only(value: str) -> str:
+    """Letters beyond ASCII as capitals, which normalised values lack: the engine's edit distance counts bytes."""
+    return f"translate({value}, 'äöüßéèêëàâçîïôûùñáíóúœæÿ', 'ABCDEFGHIJKLMNOPQRSTUVWX')"
+
+
+def edit_similarity(a: str, b: str) -> str:
+    return f"round(1 - levenshtein({ascii_only(a)}, {ascii_only(b)}) / greatest(length({a}), length({b})), 6)"
+
+
+def cosine(a: str, b: str) -> str:
+    return f"round(list_dot_product({a}, {b}) / nullif(sqrt(list_dot_product({a}, {a}) * list_dot_product({b}, {b})), 0), 6)"
+
+
+def jaccard(a: str, b: str) -> str:
+    return f"round(len(list_intersect({a}, {b})) / len(list_distinct(list_concat({a}, {b}))), 6)"
+
+
+def token_list(value: str) -> str:
+    return f"list_distinct(list_filter(string_split({value}, ' '), lambda x: x <> ''))"
+
+
 VECTORS = "vec AS MATERIALIZED (SELECT vec_id AS item_id, CAST(embedding AS DOUBLE[]) AS v, label FROM embeddings)"
 VECTOR_SIM = "round(list_dot_product(x.v, y.v) / sqrt(list_dot_product(x.v, x.v) * list_dot_product(y.v, y.v)), 6)"
 VECTOR_CLUSTERS = f"""WITH RECURSIVE {VECTORS},
@@ -183,6 +211,25 @@ lab AS MATERIALIZED (SELECT a AS pos, min(b) AS label FROM reach GROUP BY 1),
 found AS (SELECT item_id AS vec_id, l.pos IS NOT NULL AS is_core, coalesce(l.label, (SELECT min(k.label) FROM near JOIN lab k ON k.pos = near.b WHERE near.a = item_id)) AS cluster FROM vec LEFT JOIN lab l ON l.pos = item_id)"""
 
 
+CHAIN = study().replace("WITH ", "WITH RECURSIVE ", 1) + f""",{TIMELINE},
+win AS MATERIALIZED (SELECT a.target_id, a.axis, a.pos, a.item_id, CAST(year(i.pub_date) AS INTEGER) AS year, coalesce(p.v_txt, CAST(CAST(p.v_num AS DECIMAL(20,6)) AS VARCHAR)) AS value FROM adv a JOIN placed p USING (target_id, axis, pos) JOIN items i ON i.item_id = a.item_id WHERE a.s = 1),
+node AS MATERIALIZED (SELECT row_number() OVER (ORDER BY target_id, axis, pos) AS n, *, {norm("value")} AS nv, {embedded("value")} AS v, {token_list(norm("value"))} AS tk FROM win),
+near AS MATERIALIZED (SELECT x.n AS a, y.n AS b, {cosine("x.v", "y.v")} AS sim, {jaccard("x.tk", "y.tk")} AS lex, {edit_similarity("x.nv", "y.nv")} AS ed FROM node x JOIN node y ON x.target_id = y.target_id AND x.axis = y.axis AND x.n < y.n),
+close AS MATERIALIZED (SELECT a, b FROM near WHERE sim >= 0.5 UNION ALL SELECT b, a FROM near WHERE sim >= 0.5),
+reach(a, b) AS (SELECT DISTINCT a, a FROM close UNION SELECT r.a, c.b FROM reach r JOIN close c ON c.a = r.b),
+lab AS MATERIALIZED (SELECT a AS n, min(b) AS label FROM reach GROUP BY 1),
+cl AS MATERIALIZED (SELECT node.*, label FROM node LEFT JOIN lab USING (n)),
+edge AS MATERIALIZED (SELECT * FROM (SELECT near.a AS src, near.b AS dst, y.year - x.year AS gap, CASE WHEN x.label = y.label AND lex >= 0.5 THEN 5 WHEN x.label = y.label THEN 4 WHEN NOT (ed >= 0.5 AND sim >= 0.2) THEN 0
+    WHEN x.label IS NOT NULL AND y.label IS NOT NULL THEN 3 WHEN x.label IS NOT NULL OR y.label IS NOT NULL THEN 2 ELSE 1 END AS conf FROM near JOIN cl x ON x.n = near.a JOIN cl y ON y.n = near.b) WHERE conf > 0),
+ranked AS MATERIALIZED (SELECT *, row_number() OVER (ORDER BY sigma DESC, dst - src, src, dst) AS rk FROM (SELECT *, round(conf / (gap + 1), 6) AS sigma FROM edge)),
+und AS MATERIALIZED (SELECT src AS a, dst AS b, rk FROM ranked UNION ALL SELECT dst, src, rk FROM ranked),
+bott(a, b, r) USING KEY (a, b) AS (
+  SELECT a, b, rk FROM und
+  UNION
+  SELECT x.a, e.b, min(greatest(x.r, e.rk)) FROM bott x JOIN und e ON e.a = x.b LEFT JOIN recurring.bott k ON k.a = x.a AND k.b = e.b
+  WHERE x.a <> e.b AND (k.r IS NULL OR greatest(x.r, e.rk) < k.r) GROUP BY 1, 2),
+trees AS MATERIALIZED (SELECT src, dst, conf, gap, sigma FROM ranked JOIN bott ON bott.a = src AND bott.b = dst AND bott.r = rk)"""
+
 def semantic(where: str, k: int) -> str:
     return f"""WITH {VECTORS}, targets AS (SELECT item_id AS target_id FROM vec WHERE {where}),
 net AS (SELECT * FROM (SELECT x.item_id AS target_id, y.item_id, 'similar' AS relation, 1 AS layer, round(list_dot_product(x.v, y.v), 6) AS relevance, row_number() OVER (PARTITION BY x.item_id ORDER BY round(list_dot_product(x.v, y.v), 6) DESC, y.item_id) AS k
@@ -227,13 +274,46 @@ WHY = """concat_ws(' ', axis, coalesce(CAST(CAST(t_num AS DECIMAL(20,6)) AS VARC
 CORPUS = "WITH " + ",".join([LINKS, FEATURES]) + f""",
 played AS (SELECT target_id, axis, CAST({VERDICT} AS INTEGER) AS s FROM (SELECT src AS target_id, m.axis, m.kind, m.direction, m.v_num AS t_num, m.v_txt AS t_txt, o.v_num, o.v_txt FROM links JOIN features m ON m.item_id = src JOIN features o ON o.item_id = dst AND o.axis = m.axis)),{counts(source="played")},{omega("counts")}"""
 
+LIN = """,
+lin(root, node, depth) USING KEY (root, node) AS (
+  SELECT pos, pos, CAST(0 AS BIGINT) FROM nodes WHERE pos NOT IN (SELECT dst FROM forest)
+  UNION
+  SELECT l.root, f.dst, min(l.depth + 1) FROM lin l JOIN forest f ON f.src = l.node LEFT JOIN recurring.lin k ON k.root = l.root AND k.node = f.dst WHERE k.depth IS NULL OR l.depth + 1 < k.depth GROUP BY 1, 2)"""
+PROFILES = ", pf AS MATERIALIZED (SELECT target_id, item_id, list(axis || '=' || s ORDER BY axis) AS p, list(axis ORDER BY axis) AS ax FROM duels WHERE s IS NOT NULL GROUP BY 1, 2)"
+SHARED = """, vs AS MATERIALIZED (SELECT DISTINCT d.doc_id AS item_id, 'passage ' || b.item_id AS value FROM documents d JOIN benchmark b ON contains(d.text, b.text) UNION SELECT item_id, v_txt FROM features WHERE axis = 'licence')"""
+SIGNS = "CASE WHEN kind = 'numeric' THEN sign((t_num - v_num) * direction) WHEN t_txt IS NULL OR v_txt IS NULL THEN NULL ELSE abs(sign(CASE WHEN t_txt < v_txt THEN -1 WHEN t_txt > v_txt THEN 1 ELSE 0 END)) END"
+
+
+def scaled(verdict: str, source: str, name: str) -> str:
+    """Score on any scale: won, lost and level parts of each axis, weighted by what is won."""
+    return f"""
+{name}_a AS (SELECT target_id, sum(greatest(f, 0)) / count(f) AS w, (sum(greatest(f, 0)) + 0.5 * count(*) FILTER (f = 0) - sum(greatest(-f, 0))) / count(f) AS sc, count(f) AS n FROM (SELECT target_id, axis, CAST({verdict} AS DOUBLE) AS f FROM {source}) GROUP BY target_id, axis),
+{name} AS (SELECT target_id, round(CASE WHEN sum(w) > 0 THEN sum(coalesce(w, 0) * coalesce(sc, 0)) / sum(w) ELSE sum(coalesce(sc, 0)) / count(*) END, 6) AS omega, CAST(sum(n) AS BIGINT) AS n FROM {name}_a GROUP BY 1)"""
+
+
+NOISY = f""", noisy AS (SELECT * REPLACE (v_num * (1 + 0.05::DOUBLE * (CAST(CAST('0x' || substr(md5(concat_ws('|', target_id, item_id, axis, 3)), 1, 8) AS BIGINT) % 2001 AS DOUBLE) / 1000.0::DOUBLE - 1.0::DOUBLE)) AS v_num) FROM claims),
+after AS (SELECT *, CAST({VERDICT} AS INTEGER) AS s FROM noisy)"""
+
+
+def uncertain(errs: int, votes: int) -> str:
+    """Two runs of an extractor that errs, by majority, and the share of equal answers."""
+    def run(r: int) -> str:
+        calls = " UNION ALL ".join(f"SELECT doc_id, lang, {r * 100 + k} AS call FROM documents" for k in range(votes))
+        answer = f"CASE WHEN d % 100 < {errs} THEN 'wrong ' || (d % 7) ELSE lang END"
+        return f"(SELECT doc_id, CASE WHEN count(*) = 1 THEN min(v) END AS v FROM (SELECT *, max(n) OVER (PARTITION BY doc_id) AS most FROM (SELECT doc_id, {answer} AS v, count(*) AS n FROM (SELECT doc_id, lang, CAST('0x' || substr(md5(doc_id || '|' || call), 1, 8) AS BIGINT) AS d FROM ({calls})) GROUP BY 1, 2)) WHERE n = most GROUP BY 1)"
+    return f"SELECT {errs} AS errs, {votes} AS votes, count(*) AS cells, round(avg(CASE WHEN a.v IS NOT DISTINCT FROM b.v THEN 1.0 ELSE 0.0 END), 6) AS agree_share FROM {run(0)} a JOIN {run(1)} b USING (doc_id)"
+
+
 SWEEP_ROWS = " UNION ALL ".join(f"SELECT {a} AS alpha" for a in (0.0, 0.25, 0.5, 1.0))
 RAW_WEIGHTS = {
     "win_rate": "p1", "uniform": "1.0",
     "entropy": "CASE WHEN p1 > 0 THEN -p1 * ln(p1) ELSE 0 END + CASE WHEN p0 > 0 THEN -p0 * ln(p0) ELSE 0 END + CASE WHEN pm > 0 THEN -pm * ln(pm) ELSE 0 END",
 }
 FIVE = """CASE WHEN kind = 'numeric' THEN CASE WHEN s = 0 OR abs(t_num - v_num) / greatest(abs(t_num), abs(v_num)) >= 0.25 THEN s ELSE s * 0.5 END ELSE s END"""
-SCALES = {"ternary": "CAST(s AS DOUBLE)", "ternary_strict": "CASE WHEN kind = 'categorical' AND s = 1 AND v_txt > t_txt THEN -1.0 ELSE s END", "five": FIVE, "binary": "CASE WHEN s = 1 THEN 1.0 ELSE 0.0 END"}
+SCALES = {"ternary": "CAST(s AS DOUBLE)", "ternary_strict": "CASE WHEN kind = 'categorical' AND s = 1 AND v_txt > t_txt THEN -1.0 ELSE s END", "five": FIVE, "binary": "CASE WHEN s IS NULL THEN NULL WHEN s = 1 THEN 1.0 ELSE 0.0 END"}
+
+QUANTITIES = rf"""WITH qs AS (SELECT doc_id AS item_id, CAST(n_chars AS VARCHAR) || CASE WHEN doc_id % 3 = 0 THEN 'k' WHEN doc_id % 3 = 1 THEN ' chars' ELSE '%' END || ' of ' || coalesce(string_split(text, chr(10))[1], '') AS t FROM documents),
+qt AS (SELECT item_id, CAST(regexp_extract(t, '^([0-9]+)', 1) AS DOUBLE) * CASE WHEN item_id % 3 = 0 THEN 1000 ELSE 1 END AS value, CASE WHEN item_id % 3 = 2 THEN '%' WHEN item_id % 3 = 1 THEN 'chars' ELSE 'of' END AS unit FROM qs)"""
 
 SQL: dict[str, str] = {
     "w01_report_documents": study() + report("lang"),
@@ -258,35 +338,34 @@ SELECT series, pos, event_id, CAST(CASE WHEN won THEN 1 WHEN abs(value - state)
     "w10_value_clusters": axis() + " SELECT pos, item_id, year, value, is_core, cluster FROM nodes JOIN clus USING (pos)",
     "w10_cluster_terms": axis() + ", tk AS (SELECT cluster, token, count(*) AS n, row_number() OVER (PARTITION BY cluster ORDER BY count(*) DESC, token) AS rank FROM (SELECT cluster, unnest(tokens) AS token FROM nodes JOIN clus USING (pos) WHERE cluster IS NOT NULL) GROUP BY 1, 2) SELECT * FROM tk WHERE rank <= 3",
     "w11_vector_clusters": VECTOR_CLUSTERS + " SELECT * FROM found",
-    "w12_confidence_graph": axis() + " SELECT src, dst, conf, gap FROM conf",
+    "w12_confidence_graph": axis(", nxt AS (SELECT pos, lead(pos) OVER (PARTITION BY cluster ORDER BY pos) AS after FROM clus WHERE cluster IS NOT NULL)") + " SELECT src, dst, conf, gap FROM conf LEFT JOIN nxt ON nxt.pos = src LEFT JOIN rel ON rel.a = src AND rel.b = dst WHERE conf <> 4 OR after = dst OR sim IS NOT NULL",
+    "w12_level_counts": axis() + " SELECT conf, count(*) AS n FROM conf GROUP BY 1",
     "w13_forest": axis(forest()) + " SELECT * FROM forest",
     "g12_forest_kruskal": axis(forest()) + " SELECT * FROM forest",
-    "g12_forest_unpruned": axis(forest()) + " SELECT * FROM forest",
     "w13_roots": axis(forest()) + " SELECT pos, item_id, year, value FROM nodes WHERE pos NOT IN (SELECT dst FROM forest)",
-    "w13_forest_stats": axis(forest()) + " SELECT (SELECT count(*) FROM nodes) AS n_nodes, count(*) AS n_edges, (SELECT count(*) FROM nodes) - count(*) AS n_components, (SELECT count(*) FROM nodes WHERE pos NOT IN (SELECT dst FROM forest)) AS n_roots, round(CAST(sum(CAST(sigma AS DECIMAL(18,6))) AS DOUBLE), 6) AS total_sigma FROM forest",
+    "w13_forest_stats": axis(forest() + LIN) + " SELECT (SELECT count(*) FROM nodes) AS n_nodes, count(*) AS n_edges, (SELECT count(*) FROM nodes) - count(*) AS n_components, (SELECT count(*) FROM nodes WHERE pos NOT IN (SELECT dst FROM forest)) AS n_roots, (SELECT max(d) FROM (SELECT min(depth) AS d FROM lin GROUP BY node)) AS depth, round(CAST(sum(CAST(sigma AS DECIMAL(18,6))) AS DOUBLE), 6) AS total_sigma FROM forest",
     "w13_forest_events": axis(forest()) + ", d AS (SELECT pos, (SELECT count(*) FROM forest WHERE dst = pos) AS n_in, (SELECT count(*) FROM forest WHERE src = pos) AS n_out FROM nodes) SELECT *, n_in = 0 AS emergence, n_out >= 2 AS divergence, n_in >= 2 AS convergence FROM d",
-    "w14_lineage": axis(forest() + """,
-lin(root, node, depth) USING KEY (root, node) AS (
-  SELECT pos, pos, CAST(0 AS BIGINT) FROM nodes WHERE pos NOT IN (SELECT dst FROM forest)
-  UNION
-  SELECT l.root, f.dst, min(l.depth + 1) FROM lin l JOIN forest f ON f.src = l.node LEFT JOIN recurring.lin k ON k.root = l.root AND k.node = f.dst WHERE k.depth IS NULL OR l.depth + 1 < k.depth GROUP BY 1, 2)""") + " SELECT * FROM lin WHERE root = (SELECT root FROM lin GROUP BY root ORDER BY count(*) DESC, root LIMIT 1)",
+    "w14_lineage": axis(forest() + LIN) + " SELECT * FROM lin WHERE root = (SELECT root FROM lin GROUP BY root ORDER BY count(*) DESC, root LIMIT 1)",
     "w15_sigma_sweep": " UNION ALL ".join(
         f"SELECT CAST({g} AS DOUBLE) AS gamma, CAST({d} AS DOUBLE) AS delta, count(*) AS n_edges, round(CAST(sum(CAST(sigma AS DECIMAL(18,6))) AS DOUBLE), 6) AS total_sigma FROM (" + axis(forest(g, d)) + " SELECT sigma FROM forest)"
         for g, d in ((1, 1), (0, 1), (1, 0), (2, 1), (0, 0))
     ),
     "w16_references_only": "SELECT target_id, omega, omega_refs, round(omega - omega_refs, 6) AS diff FROM (" + study() + report("lang") + ")",
-    "w17_extractors": "SELECT engine, count(*) AS cells, 1.0::DOUBLE AS agree_share FROM documents CROSS JOIN (SELECT unnest(['built_in', 'sql', 'pandas', 'map', 'row']) AS engine) GROUP BY engine",
+    "w17_extractors": f"""WITH c AS (SELECT len(list_filter(regexp_split_to_array(text, '{WS}'), lambda x: x <> '')) AS w0, len(regexp_extract_all(text, '[^ \\t\\n\\r\\f]+')) AS w1, len(string_split(text, chr(10))) AS l0, length(text) - length(replace(text, chr(10), '')) + 1 AS l1 FROM documents)
+SELECT engine, count(*) AS cells, round(avg(CASE WHEN w0 = w1 AND l0 = l1 THEN 1.0 ELSE 0.0 END), 6) AS agree_share, CAST(sum(w1) AS BIGINT) AS n_words, CAST(sum(l1) AS BIGINT) AS n_lines FROM c CROSS JOIN (SELECT unnest(['built_in', 'sql', 'pandas', 'map', 'row']) AS engine) GROUP BY engine""",
     "w18_stage_calls": study() + ", z AS (SELECT n.target_id, count(*) AS n, any_value(m) AS m FROM net n JOIN (SELECT target_id, count(*) AS m FROM axes GROUP BY 1) USING (target_id) GROUP BY 1) " + " UNION ALL ".join(f"SELECT target_id, '{k}' AS stage, CAST({v} AS BIGINT) AS calls FROM z" for k, v in {"axes": "1", "values": "n", "overall": "n * m", "temporal": "(n + 1) * m", "graph": "n * (n - 1) // 2"}.items()),
     "w19_radar": study(1) + " SELECT axis, item_id, s FROM duels",
-    "w19_similar_profiles": study() + """, pf AS (SELECT target_id, item_id, list(axis || '=' || s ORDER BY axis) AS p, list(axis ORDER BY axis) AS ax FROM duels WHERE s IS NOT NULL GROUP BY 1, 2),
-kinds AS (SELECT target_id, p, any_value(ax) AS ax, min(item_id) AS item FROM pf GROUP BY 1, 2),
-pr AS (SELECT x.target_id, x.item AS a, y.item AS b, CAST(len(list_intersect(x.ax, y.ax)) AS BIGINT) AS shared, round(len(list_intersect(x.p, y.p)) / nullif(len(list_intersect(x.ax, y.ax)), 0), 6) AS similarity FROM kinds x JOIN kinds y ON x.target_id = y.target_id AND x.item < y.item)
+    "w19_profile_classes": study() + PROFILES + " SELECT target_id, item_id, min(item_id) OVER (PARTITION BY target_id, p) AS profile, count(*) OVER (PARTITION BY target_id, p) AS n_members FROM pf",
+    "w19_similar_profiles": study() + PROFILES + """,
+pr AS (SELECT x.target_id, x.item_id AS a, y.item_id AS b, CAST(len(list_intersect(x.ax, y.ax)) AS BIGINT) AS shared, round(len(list_intersect(x.p, y.p)) / nullif(len(list_intersect(x.ax, y.ax)), 0), 6) AS similarity FROM pf x JOIN pf y ON x.target_id = y.target_id AND x.item_id < y.item_id)
 SELECT target_id, a, b, shared, similarity FROM (SELECT *, row_number() OVER (PARTITION BY target_id ORDER BY similarity DESC, shared DESC, a, b) AS k FROM pr WHERE similarity IS NOT NULL) WHERE k <= 5""",
     "w20_associations_parts": "WITH " + PARTS_WIDE + "," + long({}, ["brand", "nation"], "items") + ", graph AS (SELECT item_id, axis, v_txt AS value FROM features) " + associated("brand", "nation"),
     "w20_associations_documents": "WITH " + FEATURES + ", graph AS MATERIALIZED (SELECT item_id, axis, v_txt AS value FROM features WHERE v_txt IS NOT NULL) " + associated("licence", "source") + " UNION ALL " + associated("source", "licence"),
-    "w21_bridges": "WITH " + LINKS + "," + FEATURES + """, vs AS MATERIALIZED (SELECT DISTINCT d.doc_id AS item_id, 'passage ' || b.item_id AS value FROM documents d JOIN benchmark b ON contains(d.text, b.text) UNION SELECT item_id, v_txt FROM features WHERE axis = 'licence'),
-ok AS (SELECT value FROM vs GROUP BY 1 HAVING count(*) BETWEEN 2 AND 50)
-SELECT a.item_id AS item_a, b.item_id AS item_b, count(*) AS n_shared FROM vs a JOIN ok USING (value) JOIN vs b ON a.value = b.value AND a.item_id < b.item_id WHERE NOT EXISTS (SELECT 1 FROM links WHERE src = b.item_id AND dst = a.item_id) GROUP BY 1, 2""",
+    "w21_bridges": "WITH " + LINKS + "," + FEATURES + SHARED + """
+SELECT a.value, a.item_id, (SELECT count(*) FROM vs WHERE vs.value = a.value) AS n_members, count(*) FILTER (b.item_id IS NOT NULL AND l.src IS NOT NULL) AS n_linked, count(*) FILTER (b.item_id IS NOT NULL AND l.src IS NULL) AS n_bridges
+FROM vs a LEFT JOIN vs b ON a.value = b.value AND a.item_id <> b.item_id LEFT JOIN links l ON l.src = greatest(a.item_id, b.item_id) AND l.dst = least(a.item_id, b.item_id) GROUP BY a.value, a.item_id""",
+    "w21_bridge_partners": "WITH " + LINKS + "," + FEATURES + SHARED + """, ask AS (SELECT item_id FROM vs GROUP BY 1 ORDER BY count(*) DESC, item_id LIMIT 20)
+SELECT a.item_id AS item_a, b.item_id AS item_b, count(*) AS n_shared FROM vs a JOIN vs b ON a.value = b.value AND a.item_id <> b.item_id WHERE a.item_id IN (SELECT item_id FROM ask) AND NOT EXISTS (SELECT 1 FROM links WHERE src = greatest(a.item_id, b.item_id) AND dst = least(a.item_id, b.item_id)) GROUP BY 1, 2""",
     "w22_stalled_ideas": axis(forest()) + " SELECT pos, item_id, value, CAST((SELECT max(period) FROM nodes) - period AS INTEGER) AS idle FROM nodes WHERE pos NOT IN (SELECT src FROM forest) AND (SELECT max(period) FROM nodes) - period >= 3",
     "w23_novelty_and_citations": study() + f",{TIMELINE},{PACE}, g AS (SELECT item_id, max(d_nu_bar) AS gain, (SELECT count(*) FROM links WHERE dst = item_id) AS cites FROM paced GROUP BY 1) SELECT *, rank() OVER (ORDER BY gain DESC) AS novelty_rank, rank() OVER (ORDER BY cites DESC) AS cite_rank FROM g",
     "w23_h_index": "WITH " + LINKS + ", c AS (SELECT doc_id, source, (SELECT count(*) FROM links WHERE dst = doc_id) AS n FROM documents), r AS (SELECT *, row_number() OVER (PARTITION BY source ORDER BY n DESC, doc_id) AS k FROM c) SELECT source, coalesce(max(k) FILTER (n >= k), 0) AS h FROM r GROUP BY 1",
@@ -313,12 +392,15 @@ SELECT conv_id, pos, CAST(n_won AS BIGINT) AS n_won, round(sum(n_won) OVER (PART
     "w31_portfolio": study() + f",{TIMELINE},{PACE} SELECT i.lang, i.source, CAST(year(i.pub_date) AS INTEGER) AS year, count(*) AS n, round(sum(n_won) / count(*), 6) AS mean_won, grouping_id(i.lang, i.source, year(i.pub_date)) AS level FROM paced p JOIN items i USING (item_id) GROUP BY CUBE (i.lang, i.source, year(i.pub_date))",
     "w32_pages": f"WITH {PAGES}, f AS (SELECT host, item_id AS page_id, title_norm, CAST(CASE WHEN title_norm IS NULL THEN NULL WHEN row_number() OVER (PARTITION BY host, title_norm ORDER BY item_id) = 1 THEN 1 ELSE 0 END AS INTEGER) AS s FROM pg) SELECT *, count(*) FILTER (s = 1) OVER (PARTITION BY host ORDER BY page_id) AS nu FROM f",
     "w33_weighting_ablation": study() + f",{counts()}, p AS (SELECT target_id, axis, alpha, coalesce(n1 / nullif(n1 + n0 + nm, 0), 0) AS p1, coalesce(n0 / nullif(n1 + n0 + nm, 0), 0) AS p0, coalesce(nm / nullif(n1 + n0 + nm, 0), 0) AS pm FROM counts CROSS JOIN ({SWEEP_ROWS})), r AS (" + " UNION ALL ".join(f"SELECT target_id, alpha, '{k}' AS weighting, {v} AS w, p1 + alpha * p0 - pm AS sc FROM p" for k, v in RAW_WEIGHTS.items()) + ") SELECT target_id, CAST(alpha AS DOUBLE) AS alpha, weighting, round(CASE WHEN sum(w) > 0 THEN sum(w * sc) / sum(w) ELSE avg(sc) END, 6) AS omega FROM r GROUP BY 1, 2, 3",
-    "w34_scales": study() + " " + " UNION ALL ".join(f"SELECT target_id, count(*) AS n, round(CAST(sum({v}) AS DOUBLE) / count(*), 6) AS mean_s, '{k}' AS scale FROM duels WHERE s IS NOT NULL GROUP BY 1" for k, v in SCALES.items()),
+    "w34_scales": study() + NOISY + "," + ",".join(scaled(v, "duels", f"sc_{k}") for k, v in SCALES.items()) + " " + " UNION ALL ".join(
+        f"SELECT target_id, '{k}' AS scale, n, omega, (SELECT round(avg(CASE WHEN x.f <> y.f THEN 1.0 ELSE 0.0 END), 6) FROM (SELECT *, CAST({v} AS DOUBLE) AS f FROM duels) x JOIN (SELECT *, CAST({v} AS DOUBLE) AS f FROM after) y USING (target_id, item_id, axis) WHERE x.f IS NOT NULL AND x.target_id = z.target_id) AS flip_rate FROM sc_{k} z"
+        for k, v in SCALES.items()
+    ),
     "n01_one_hop": study() + " SELECT target_id, item_id, 'reference' AS relation, 1 AS layer, relevance FROM r1 UNION ALL SELECT target_id, item_id, 'citation', 1, relevance FROM c1",
     "n02_two_layers": study() + " SELECT * FROM net",
     "n06_without_body": study() + " SELECT target_id, count(*) FILTER (trim(coalesce(text, '')) <> '') AS kept, count(*) FILTER (trim(coalesce(text, '')) = '') AS dropped FROM net JOIN documents ON doc_id = item_id GROUP BY 1",
     "n08_network_profile": study() + " SELECT target_id, relation, layer, CAST(year(pub_date) AS INTEGER) AS year, count(*) AS n FROM net JOIN items USING (item_id) GROUP BY 1, 2, 3, 4",
-    "x04_axis_types": "SELECT 'n_chars' AS axis, 'numeric' AS kind UNION ALL SELECT 'lang', 'categorical'",
+    "x04_axis_types": "SELECT axis, CASE WHEN avg(CASE WHEN TRY_CAST(value AS DOUBLE) IS NOT NULL THEN 1.0 ELSE 0.0 END) >= 0.8 THEN 'numeric' ELSE 'categorical' END AS kind FROM (SELECT 'n_chars' AS axis, CAST(n_chars AS VARCHAR) AS value FROM documents UNION ALL SELECT 'lang', lang FROM documents) WHERE value IS NOT NULL GROUP BY 1",
     "x11_votes": """WITH v AS (SELECT doc_id AS item_id, unnest([CASE WHEN n_chars > 1000 THEN 'long' ELSE 'short' END, CASE WHEN len(string_split(text, chr(10))) > 4 THEN 'long' ELSE 'short' END, CASE WHEN doc_id % 3 = 0 THEN 'other' ELSE 'long' END]) AS size FROM documents),
 c AS (SELECT item_id, size, count(*) AS n, max(count(*)) OVER (PARTITION BY item_id) AS most FROM v GROUP BY 1, 2) SELECT item_id, CASE WHEN count(*) = 1 THEN min(size) END AS size FROM c WHERE n = most GROUP BY 1""",
     "o10_axis_contributions": study() + f""",{counts()},{omega("counts")},
@@ -340,7 +422,8 @@ SELECT target_id, moving, min(pos) AS first_pos, max(pos) AS last_pos, count(*)
     "b04_fixed_axes": study().replace("ON item_id = target_id)", "ON item_id = target_id WHERE axis IN ('n_chars', 'lang'))", 1) + report("lang"),
     "b05_cumulative_ranks": study() + f",{TIMELINE},{PACE} SELECT target_id, item_id, nu_bar, rank() OVER (PARTITION BY target_id ORDER BY nu_bar DESC) AS nu_rank FROM paced",
     "b07_direct_labels": study() + f",{TIMELINE},{PACE} SELECT target_id, CASE WHEN d_nu_bar >= 0.3 THEN 'seminal' WHEN d_nu_bar > 0 THEN 'incremental' ELSE 'none' END AS label, count(*) AS n FROM paced GROUP BY 1, 2",
-    "y05_stability": study() + " SELECT count(*) AS cells, 1.0::DOUBLE AS agree_share FROM duels",
+    "y05_stability": study() + f" SELECT count(*) AS cells, round(avg(CASE WHEN s IS NOT DISTINCT FROM CAST({SIGNS} AS INTEGER) THEN 1.0 ELSE 0.0 END), 6) AS agree_share, count(*) FILTER (s = 1) AS n_win, count(*) FILTER (s = 0) AS n_draw, count(*) FILTER (s = -1) AS n_loss FROM duels",
+    "y05_repeated_answers": " UNION ALL ".join(uncertain(e, v) for e in (0, 10, 30) for v in (1, 3, 5)),
     "y07_flip_rates": study() + f""", noisy AS (SELECT * REPLACE (v_num * (1 + 0.05::DOUBLE * (CAST(CAST('0x' || substr(md5(concat_ws('|', target_id, item_id, axis, 3)), 1, 8) AS BIGINT) % 2001 AS DOUBLE) / 1000.0::DOUBLE - 1.0::DOUBLE)) AS v_num) FROM claims),
 after AS (SELECT *, CAST({VERDICT} AS INTEGER) AS s FROM noisy),
 five0 AS (SELECT target_id, item_id, axis, CAST(s AS DOUBLE) AS t, CAST({FIVE} AS DOUBLE) AS f FROM duels), five1 AS (SELECT target_id, item_id, axis, CAST(s AS DOUBLE) AS t, CAST({FIVE} AS DOUBLE) AS f FROM after),
@@ -354,5 +437,37 @@ SELECT round((ab - a * b / (total * (total - 1) / 2)) / ((a + b) / 2 - a * b / (
     "g05_alternative_clusters": axis(""",
 span(a, b) AS (SELECT pos, pos FROM nodes UNION SELECT s.a, n.b FROM span s JOIN near n ON n.a = s.b)""") + " SELECT a AS pos, min(b) AS cluster FROM span GROUP BY 1",
     "g12_arborescence": axis() + " SELECT src, dst, sigma FROM (SELECT *, row_number() OVER (PARTITION BY dst ORDER BY sigma DESC, dst - src, src) AS k FROM (SELECT *, round(conf / (gap + 1), 6) AS sigma FROM conf)) WHERE k = 1",
+    "e01_winners": CHAIN + " SELECT target_id, axis, pos, item_id, year, value FROM win",
+    "e02_clusters": CHAIN + " SELECT target_id, axis, pos, label IS NOT NULL AS is_core, (SELECT k.pos FROM node k WHERE k.n = label) AS cluster FROM cl",
+    "e03_forest": CHAIN + " SELECT x.target_id, x.axis, x.pos AS src, y.pos AS dst, CAST(conf AS INTEGER) AS conf, CAST(gap AS INTEGER) AS gap, sigma FROM trees JOIN node x ON x.n = src JOIN node y ON y.n = dst",
+    "e04_roots": CHAIN + " SELECT target_id, axis, pos, item_id, year, value FROM win ANTI JOIN (SELECT target_id, axis, pos FROM node JOIN trees ON dst = n) USING (target_id, axis, pos)",
+    "e05_axis_stats": CHAIN + " SELECT target_id, axis, count(*) AS n_winners, count(DISTINCT label) AS n_clusters, count(*) FILTER (label IS NULL) AS n_noise, (SELECT count(*) FROM trees t JOIN node x ON x.n = t.dst WHERE x.target_id = cl.target_id AND x.axis = cl.axis) AS n_edges, count(*) FILTER (n NOT IN (SELECT dst FROM trees)) AS n_roots FROM cl GROUP BY target_id, axis",
+    "g02_text_vectors": axis(f", em AS MATERIALIZED (SELECT pos, {embedded('value')} AS v FROM nodes)") + f" SELECT a, b, sim FROM (SELECT x.pos AS a, y.pos AS b, {cosine('x.v', 'y.v')} AS sim FROM em x JOIN em y ON x.pos < y.pos) WHERE sim >= 0.7",
+    "g04_euclidean_clusters": VECTOR_CLUSTERS.replace(f"{VECTOR_SIM} >= 0.33", "round(-sqrt(greatest(0, list_dot_product(x.v, x.v) + list_dot_product(y.v, y.v) - 2 * list_dot_product(x.v, y.v))), 6) >= -1.157") + " SELECT * FROM found",
+    "g16_ancestry": axis(forest() + """,
+anc(node, depth) USING KEY (node) AS (
+  SELECT max(pos), CAST(0 AS BIGINT) FROM nodes
+  UNION
+  SELECT f.src, min(a.depth + 1) FROM anc a JOIN forest f ON f.dst = a.node LEFT JOIN recurring.anc k ON k.node = f.src WHERE k.depth IS NULL OR a.depth + 1 < k.depth GROUP BY 1)""") + " SELECT node, depth FROM anc",
+    "c03_fuzzy_duels": study() + f""", vals AS MATERIALIZED (SELECT v, {norm("v")} AS nv, {embedded("v")} AS e, {token_list(norm("v"))} AS tk FROM (SELECT t_txt AS v FROM claims WHERE kind = 'categorical' AND t_txt IS NOT NULL UNION SELECT v_txt FROM claims WHERE kind = 'categorical' AND v_txt IS NOT NULL)),
+prs AS MATERIALIZED (SELECT p.a, p.b, x.nv = y.nv AS exact, {jaccard("x.tk", "y.tk")} >= 0.5 AS jaccard, {edit_similarity("x.nv", "y.nv")} >= 0.5 AS edit, {cosine("x.e", "y.e")} >= 0.5 AS cosine FROM (SELECT DISTINCT t_txt AS a, v_txt AS b FROM claims WHERE kind = 'categorical' AND t_txt IS NOT NULL AND v_txt IS NOT NULL) p JOIN vals x ON x.v = p.a JOIN vals y ON y.v = p.b)
+""" + " UNION ALL ".join(f"SELECT axis, count(*) FILTER (NOT {how}) AS n_win, count(*) FILTER ({how}) AS n_draw, count(*) AS n, '{how}' AS how FROM claims LEFT JOIN prs ON a = t_txt AND b = v_txt WHERE kind = 'categorical' GROUP BY 1" for how in ("exact", "jaccard", "edit", "cosine")),
+    "x05_quantities": QUANTITIES + " SELECT * FROM qt",
+    "c05_unit_duels": study() + "," + QUANTITIES.removeprefix("WITH ") + """, z AS (SELECT n.target_id, n.item_id, a.value AS t_num, coalesce(a.unit, '') AS t_unit, b.value AS v_num, coalesce(b.unit, '') AS v_unit FROM net n JOIN qt a ON a.item_id = n.target_id JOIN qt b ON b.item_id = n.item_id)
+SELECT *, CASE WHEN t_unit = v_unit THEN CAST(sign(t_num - v_num) AS INTEGER) END AS s FROM z""",
+    "c09_score_matrix": study(1) + " SELECT target_id, item_id, " + ", ".join(f"max(s) FILTER (axis = '{a}') AS {a}" for a in ("lang", "n_chars", "n_words", "source")) + " FROM duels GROUP BY 1, 2",
+    "x03_parsed_answers": "SELECT event_id, nullif(json_extract_string(props, '$.k'), '') AS k, nullif(json_extract_string(props, '$.absent'), '') AS absent FROM events",
+    "x10_model_answers": "SELECT doc_id AS item_id, CAST(length(text) + length('Give values for: n_chars, n_lines') + 1 AS BIGINT) AS n_chars, CAST(len(string_split(text, chr(10))) AS BIGINT) AS n_lines FROM documents",
+    "x07_curated_axes": study() + f",{counts('true', 'c0', '(SELECT * FROM duels WHERE axis NOT IN (' + chr(39) + 'n_words' + chr(39) + ', ' + chr(39) + 'opening' + chr(39) + '))')},{omega('c0', name='s0')}, d2 AS (SELECT target_id, axis, CASE WHEN axis = 'n_chars' THEN -s ELSE s END AS s FROM duels WHERE axis NOT IN ('n_lines', 'opening')),{counts(name='c1_', source='d2')},{omega('c1_', name='s1')}, fw AS (SELECT target_id, p1 * CASE WHEN axis = 'diversity' THEN 2 ELSE 1 END AS raw, sc FROM s1_p) SELECT s0.target_id, s0.omega AS omega_before, round(CASE WHEN sum(raw) > 0 THEN sum(raw * sc) / sum(raw) ELSE avg(sc) END, 6) AS omega_after, count(*) AS n_axes_after FROM fw JOIN s0 USING (target_id) GROUP BY 1, 2",
+    "o07_given_weights": study() + f",{counts()},{omega('counts')} SELECT target_id, round(sum(sc * CASE axis WHEN 'n_chars' THEN 0.5::DOUBLE WHEN 'source' THEN 0.3::DOUBLE WHEN 'diversity' THEN 0.2::DOUBLE ELSE 0 END), 6) AS omega, count(*) AS n_axes FROM scores_p GROUP BY 1",
+    "o10_item_contributions": study() + f", left_out AS (SELECT z.out_id, d.target_id, d.axis, CASE WHEN d.item_id = z.out_id THEN NULL ELSE d.s END AS s FROM (SELECT DISTINCT target_id, item_id AS out_id FROM duels) z JOIN duels d USING (target_id)), lc AS (SELECT target_id, out_id, axis, count(*) FILTER (s = 1) AS n1, count(*) FILTER (s = 0) AS n0, count(*) FILTER (s = -1) AS nm FROM left_out GROUP BY 1, 2, 3),{omega('lc', 'target_id, out_id')} SELECT target_id, out_id AS item_id, omega AS omega_without FROM scores",
+    "t15_annotated": f"WITH {EVENTS}, st AS (SELECT *, max(value) OVER (PARTITION BY series ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS state FROM ev), vd AS (SELECT *, CAST(CASE WHEN state IS NULL OR value > state THEN 1 WHEN value = state THEN 0 ELSE -1 END AS INTEGER) AS s FROM st) SELECT series, pos, s, state, CAST(CAST(value AS DECIMAL(20,6)) AS VARCHAR) || ' after ' || coalesce(CAST(CAST(state AS DECIMAL(20,6)) AS VARCHAR), 'nothing') || ': ' || CASE s WHEN 1 THEN 'advance' WHEN 0 THEN 'level' ELSE 'behind' END AS note FROM vd",
+    "t17_continued_state": f"WITH {EVENTS}, st AS (SELECT *, max(value) OVER (PARTITION BY series ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS b FROM ev), vd AS (SELECT *, CAST(CASE WHEN b IS NULL OR value > b THEN 1 WHEN value = b THEN 0 ELSE -1 END AS INTEGER) AS s FROM st) SELECT * FROM (SELECT series, pos, s, count(*) FILTER (s = 1) OVER (PARTITION BY series ORDER BY pos) AS nu FROM vd) WHERE pos > 1000",
+    "p05_trends": study() + f",{TIMELINE},{PACE} SELECT i.source, round(regr_slope(d_nu_bar, CAST(year(i.pub_date) AS DOUBLE)), 6) AS slope, count(*) AS n FROM paced p JOIN items i USING (item_id) GROUP BY 1",
+    "b10_intransitive_triples": study() + f""", w AS (SELECT target_id AS id, {", ".join(f"max(t_num) FILTER (axis = '{a}') AS {a}" for a in DOCUMENT_NUMERIC)} FROM axes GROUP BY 1),
+ld AS (SELECT x.id AS a, y.id AS b, unnest([{", ".join(f"{{'axis': '{a}', 'l': coalesce((x.{a} - y.{a}) * {d} / nullif(greatest(abs(x.{a}), abs(y.{a})), 0), 0)}}" for a, d in DOCUMENT_NUMERIC.items())}], recursive := true) FROM w x JOIN w y ON x.id < y.id),
+own AS (SELECT a, b, l, 'a pair''s own axis' AS rule FROM (SELECT *, row_number() OVER (PARTITION BY a, b ORDER BY abs(l) DESC, axis) AS k FROM ld) WHERE k = 1 UNION ALL SELECT a, b, l, 'one axis' FROM ld WHERE axis = 'n_chars'),
+wins AS MATERIALIZED (SELECT rule, CASE WHEN l > 0 THEN a ELSE b END AS w, CASE WHEN l > 0 THEN b ELSE a END AS l FROM own WHERE l <> 0)
+SELECT rule, (SELECT count(*) FROM wins p JOIN wins q ON q.rule = p.rule AND q.w = p.l JOIN wins r ON r.rule = p.rule AND r.w = q.l AND r.l = p.w WHERE p.rule = z.rule AND p.w < q.w AND p.w < r.w) AS n_cycles, count(*) AS n_decided FROM wins z GROUP BY 1""",
     "g06_lexical_overlap": axis() + ", q AS (SELECT x.pos, x.tokens AS p, y.tokens AS q FROM nodes x JOIN nodes y ON y.pos = x.pos + 1) SELECT pos, round(len(list_intersect(p, q)) / len(list_distinct(list_concat(p, q))), 6) AS jaccard, round(len(list_intersect(p, q)) / least(len(p), len(q)), 6) AS overlap, round(len(list_intersect(p, q)) / ((len(p) + len(q)) / 2), 6) AS dice FROM q",
 }

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable
 from dataclasses import dataclass
 from functools import cached_property
@@ -11,9 +10,10 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .. import sources
-from ..functions import embed_text, normalise_value, overlap, tokens
+from ..functions import EQUIVALENCES, edit_similarity, embed_text, normalise_value, overlap, parse_quantity, tokens
 from ..operators import applications, baselines, compare, evolution, extract, measures, network, overall, temporal
-from ..session import cut_lineage, ship
+from ..operators.scan import numbered, ranks
+from ..session import cut_lineage, fresh_folder, remove_folder, ship
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -100,8 +100,10 @@ class Study:
         return rows.select("target_id", "field", F.coalesce("cites", F.lit(0)).alias("cites"), F.coalesce("network_size", F.lit(0)).alias("network_size"), "n_axes", "omega", F.when(F.col("n_refs") > 0, F.col("refs")).alias("omega_refs"))
 
 
-def documents(spark: SparkSession, sf_dir: str, **options) -> Study:
+def documents(spark: SparkSession, sf_dir: str, shuffled: bool = False, **options) -> Study:
     docs = sources.load(spark, sf_dir, "documents")
+    if shuffled:
+        docs = docs.repartition(F.xxhash64("doc_id", F.lit(5)))
 
     def features(ids: DataFrame | None) -> DataFrame:
         return sources.document_features(docs if ids is None else docs.join(ids, docs["doc_id"] == ids["item_id"], "left_semi"))
@@ -193,11 +195,7 @@ def w07_records_by_supplier(spark, sf_dir):
 def w07_two_phase_scan(spark, sf_dir):
     """One long series over all order lines, by the two-phase scan."""
     rows = sources.load(spark, sf_dir, "lineitem").select(F.struct("l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice").alias("o"), (F.col("l_extendedprice") / F.col("l_quantity")).alias("price"))
-    ranged = cut_lineage(rows.repartitionByRange("o").withColumn("p", F.spark_partition_id()))
-    sizes = ranged.groupBy("p").agg(F.count("*").alias("n"))
-    before = sizes.select("p", F.coalesce(F.sum("n").over(Window.orderBy("p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("offset"))
-    numbered = ranged.join(F.broadcast(before), "p").select("price", (F.col("offset") + F.row_number().over(Window.partitionBy("p").orderBy("o"))).alias("pos"))
-    return temporal.best_so_far_scan(numbered, "price").where("s = 1").select("pos", "price")
+    return temporal.best_so_far_scan(numbered(rows, "o").drop("o"), "price", 10_000).where("s = 1").select("pos", "price")
 
 
 @query
@@ -244,7 +242,7 @@ class Axis:
         first = sources.load(self.spark, self.sf_dir, "lineitem").groupBy("l_partkey").agg(F.min(F.to_date("l_shipdate")).alias("pub_date"))
         parts_ = sources.load(self.spark, self.sf_dir, "part").join(first, F.col("p_partkey") == F.col("l_partkey")).select(F.col("p_partkey").alias("item_id"), "pub_date", F.lower(F.concat_ws(" ", "p_type", "p_name")).alias("value"))
         won = parts_.groupBy("value").agg(F.min(F.struct("pub_date", "item_id")).alias("x")).select("value", "x.pub_date", "x.item_id")
-        placed = won.withColumn("pos", F.row_number().over(Window.orderBy("pub_date", "item_id")).cast("bigint"))
+        placed = numbered(won, "pub_date", "item_id")
         return cut_lineage(placed.select("pos", "item_id", "pub_date", F.year("pub_date").alias("year"), (F.year("pub_date") * 12 + F.month("pub_date")).alias("period"), "value", tokens(F.col("value")).alias("tokens")))
 
     @cached_property
@@ -259,11 +257,66 @@ class Axis:
     def clusters(self) -> DataFrame:
         return cut_lineage(evolution.dbscan(self.nodes, self.pairs, self.min_pts))
 
-    def graph(self, prune: bool = False) -> DataFrame:
+    def graph(self, prune: bool = True) -> DataFrame:
         return evolution.confidence_graph(self.nodes, self.clusters, self.pairs, self.related, prune)
 
-    def forest(self, gamma: float = 1.0, delta: float = 1.0, engine: str = "filter", prune: bool = True) -> DataFrame:
-        return evolution.temporal_forest(evolution.scored_edges(self.graph(prune), gamma, delta), engine)
+    def forest(self, gamma: float = 1.0, delta: float = 1.0, engine: str = "auto") -> DataFrame:
+        return evolution.temporal_forest(evolution.scored_edges(self.graph(), gamma, delta), engine)
+
+
+@dataclass
+class Chain:
+    """The advances of every target on every axis, each axis clustered and linked on its own, all in one plan.
+
+    A winner's `node` numbers winners by target, axis and position, so nodes of one axis are in order of time and the operators of
+    one axis serve all of them at once.
+    """
+
+    study: Study
+    similar: float = 0.5
+    min_pts: int = 2
+    candidate_at: float = 0.2
+    overlap_at: float = 0.5
+    relater: evolution.Relater = evolution.judged_pairs(lambda a, b: F.round(edit_similarity(a, b), 6) >= 0.5, key="node")
+
+    @cached_property
+    def winners(self) -> DataFrame:
+        study = self.study
+        advances = temporal.target_advances(study.timeline, study.claims, study.axes, values_too=True)
+        return cut_lineage(numbered(temporal.winners(advances, study.items), "target_id", "axis", "pos", name="node").withColumn("axis_key", F.struct("target_id", "axis")))
+
+    @cached_property
+    def near(self) -> DataFrame:
+        """Pairs of one axis by embedding: those that may be clustered or related."""
+        vectors = self.winners.select("node", "axis_key", embed_text(F.col("value"), unit=False).alias("vec"))
+        return cut_lineage(evolution.vector_pairs(cut_lineage(vectors), self.candidate_at, "node", within="axis_key"))
+
+    @cached_property
+    def clusters(self) -> DataFrame:
+        return cut_lineage(evolution.dbscan(self.winners, self.near.where(F.col("sim") >= self.similar), self.min_pts, "node"))
+
+    @cached_property
+    def related(self) -> DataFrame:
+        return cut_lineage(self.relater(self.winners, self.near))
+
+    @cached_property
+    def overlapping(self) -> DataFrame:
+        """Pairs of one axis with many tokens in common: tokens carry their axis, so no other pair meets."""
+        marked = self.winners.select("node", F.transform(tokens(normalise_value(F.col("value"))), lambda t: F.concat_ws(" ", F.col("target_id").cast("string"), "axis", t)).alias("tokens"))
+        return cut_lineage(evolution.jaccard_pairs(marked, self.overlap_at, "node"))
+
+    @cached_property
+    def nodes(self) -> DataFrame:
+        return self.winners.select(F.col("node").alias("pos"), F.col("year").alias("period"))
+
+    @cached_property
+    def forest(self) -> DataFrame:
+        graph = evolution.confidence_graph(self.nodes, self.clusters, self.overlapping, self.related, prune=True)
+        return cut_lineage(evolution.temporal_forest(evolution.scored_edges(graph)))
+
+    def placed(self, rows: DataFrame, node: str, pos: str) -> DataFrame:
+        """Replace node numbers by positions in the target's timeline."""
+        return rows.join(self.winners.select(F.col("node").alias(node), F.col("pos").alias(pos)), node).drop(node)
 
 
 @query
@@ -291,9 +344,17 @@ def w11_vector_clusters(spark, sf_dir):
 
 @query
 def w12_confidence_graph(spark, sf_dir):
+    """Edges of the confidence graph; of those inside a cluster with low overlap the ones between neighbours in time, which stand for all."""
     return Axis(spark, sf_dir).graph()
 
 
+@query
+def w12_level_counts(spark, sf_dir):
+    """Edges of the full confidence graph by level, counted without its pairs."""
+    axis = Axis(spark, sf_dir)
+    return evolution.level_counts(axis.nodes, axis.clusters, axis.pairs, axis.related)
+
+
 @query
 def w13_forest(spark, sf_dir):
     return Axis(spark, sf_dir).forest().select("src", "dst", "conf", "gap", "sigma")
@@ -330,13 +391,12 @@ def w14_lineage(spark, sf_dir):
 
 @query
 def w15_sigma_sweep(spark, sf_dir):
-    axis, out = Axis(spark, sf_dir), None
-    graph = cut_lineage(axis.graph())
-    for gamma, delta in ((1.0, 1.0), (0.0, 1.0), (1.0, 0.0), (2.0, 1.0), (0.0, 0.0)):
-        forest = evolution.temporal_forest(evolution.scored_edges(graph, gamma, delta), "kruskal")
-        one = forest.agg(F.count("*").alias("n_edges"), F.round(F.sum(F.col("sigma").cast("decimal(18,6)")).cast("double"), 6).alias("total_sigma")).select(F.lit(gamma).alias("gamma"), F.lit(delta).alias("delta"), "n_edges", "total_sigma")
-        out = one if out is None else out.unionByName(one)
-    return out
+    """Forests for five pairs of exponents, all in one plan."""
+    cases = F.explode(F.array(*(F.struct(F.lit(g).alias("gamma"), F.lit(d).alias("delta")) for g, d in ((1.0, 1.0), (0.0, 1.0), (1.0, 0.0), (2.0, 1.0), (0.0, 0.0)))))
+    spread = Axis(spark, sf_dir).graph().select("src", "dst", "conf", "gap", cases.alias("x")).select("src", "dst", "conf", "gap", "x.*")
+    scored = spread.withColumn("sigma", F.round(F.pow(F.col("conf").cast("double"), "gamma") / F.pow((F.col("gap") + 1).cast("double"), "delta"), 6))
+    forest = evolution.temporal_forest(scored, "filter", ["gamma", "delta"])
+    return forest.groupBy("gamma", "delta").agg(F.count("*").alias("n_edges"), F.round(F.sum(F.col("sigma").cast("decimal(18,6)")).cast("double"), 6).alias("total_sigma"))
 
 
 @query
@@ -345,18 +405,31 @@ def w16_references_only(spark, sf_dir):
     return rows.select("target_id", "omega", "omega_refs", F.round(F.col("omega") - F.col("omega_refs"), 6).alias("diff"))
 
 
+def _bodies(spark, sf_dir):
+    return sources.load(spark, sf_dir, "documents").select(F.col("doc_id").alias("item_id"), F.col("text").alias("body"))
+
+
 @query
 def w17_extractors(spark, sf_dir):
-    """Extraction engines against the built-in one: the share of identical cells."""
-    items = sources.load(spark, sf_dir, "documents").select(F.col("doc_id").alias("item_id"), F.col("text").alias("body"))
-    engines = baselines.extraction_engines()
-    base, out = engines["built_in"](items), None
+    """Extraction engines: what each has read in all, and its share of cells equal to the built-in one's."""
+    engines, out = baselines.extraction_engines(), None
+    base = cut_lineage(engines["built_in"](_bodies(spark, sf_dir)))
     for name, run in engines.items():
-        one = measures.stability(base, run(items), ["item_id"], ["n_words", "n_lines"]).select(F.lit(name).alias("engine"), "cells", "agree_share")
+        mine = cut_lineage(run(_bodies(spark, sf_dir)))
+        total = mine.agg(F.sum("n_words").alias("n_words"), F.sum("n_lines").alias("n_lines"))
+        one = measures.stability(base, mine, ["item_id"], ["n_words", "n_lines"]).crossJoin(total).select(F.lit(name).alias("engine"), "cells", "agree_share", "n_words", "n_lines")
         out = one if out is None else out.unionByName(one)
     return out
 
 
+@query
+def w17_extraction_times(spark, sf_dir):
+    """(engine, bodies, seconds, seconds_a_body) as measured: no SQL can say them."""
+    bodies = cut_lineage(_bodies(spark, sf_dir))
+    n, times = bodies.count(), measures.time_extractors(bodies, baselines.extraction_engines())
+    return spark.createDataFrame([(k, n, v * n, v) for k, v in times.items()], "engine string, bodies bigint, seconds double, seconds_a_body double")
+
+
 @query
 def w18_stage_calls(spark, sf_dir):
     study = documents(spark, sf_dir)
@@ -364,12 +437,39 @@ def w18_stage_calls(spark, sf_dir):
     return measures.call_model(sizes.withColumn("pairs", F.expr("n * (n - 1) div 2")))
 
 
+@query
+def w18_stage_times(spark, sf_dir):
+    """(stage, calls, rows, seconds) of one two-layer network, as measured; `calls` are the verdicts that were worked out."""
+    return stage_times(documents(spark, sf_dir, n_targets=1)).log(spark)
+
+
+def stage_times(study: Study) -> measures.StageTimer:
+    """Run the five stages of the published time table one after the other, each on what the stage before has left."""
+    network_, axis_source = study.network, study.near_features  # reading the corpus is no stage
+    timer, n = measures.StageTimer(), network_.count()
+    axes = timer.run("axes", extract.extract_axes(axis_source, study.targets), calls=lambda rows: 1)
+    claims = timer.run("values", extract.fill_claims(network_, axis_source, axes), calls=lambda rows: n)
+    verdicts = timer.run("overall", compare.duels(claims, explain=True), calls=lambda rows: rows)
+    overall.overall_score(overall.axis_counts(verdicts)).count()
+    study.__dict__.update(axes=axes, claims=claims)
+    timer.run("temporal", study.advances, calls=lambda rows: rows)
+    chain = Chain(study)
+    timer.run("graph", lambda: chain.forest, calls=lambda rows: chain.near.count())
+    return timer
+
+
 @query
 def w19_radar(spark, sf_dir):
     study = documents(spark, sf_dir, n_targets=1)
     return study.duels.select("axis", "item_id", "s")
 
 
+@query
+def w19_profile_classes(spark, sf_dir):
+    """Related items of each target with the same verdicts on every axis."""
+    return applications.profile_classes(documents(spark, sf_dir).duels).drop("bits")
+
+
 @query
 def w19_similar_profiles(spark, sf_dir):
     return applications.similar_profiles(documents(spark, sf_dir).duels)
@@ -387,13 +487,26 @@ def w20_associations_documents(spark, sf_dir):
     return applications.associated_values(graph, "licence", "source").unionByName(applications.associated_values(graph, "source", "licence"))
 
 
-@query
-def w21_bridges(spark, sf_dir):
-    """Documents that share a benchmark passage or a licence, but no link."""
+def _shared_values(spark, sf_dir):
+    """Benchmark passages and licences of documents: (item_id, value)."""
     docs = sources.load(spark, sf_dir, "documents")
     passages = sources.contained_passages(docs, sources.load(spark, sf_dir, "benchmark")).select("item_id", F.concat(F.lit("passage "), F.col("passage_id").cast("string")).alias("value"))
     licences = sources.document_features(docs).where("axis = 'licence'").select("item_id", F.col("v_txt").alias("value"))
-    return applications.bridges(passages.unionByName(licences), sources.document_links(docs))
+    return cut_lineage(passages.unionByName(licences)), cut_lineage(sources.document_links(docs))
+
+
+@query
+def w21_bridges(spark, sf_dir):
+    """For each document and benchmark passage or licence: how many documents share it, with and without a link."""
+    return applications.bridges(*_shared_values(spark, sf_dir))
+
+
+@query
+def w21_bridge_partners(spark, sf_dir):
+    """Documents that share a passage or a licence with one of the 20 documents that hold most of them, but no link."""
+    values, links = _shared_values(spark, sf_dir)
+    asked = values.groupBy("item_id").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "item_id").limit(TARGETS)
+    return applications.bridge_partners(values, links, asked)
 
 
 @query
@@ -405,10 +518,10 @@ def w22_stalled_ideas(spark, sf_dir):
 @query
 def w23_novelty_and_citations(spark, sf_dir):
     study = documents(spark, sf_dir)
-    gains = study.pace.groupBy("item_id").agg(F.max("d_nu_bar").alias("gain"))
+    gains = applications.influence_by_novelty(study.pace)
     cites = study.links.groupBy(F.col("dst").alias("item_id")).agg(F.count("*").alias("cites"))
-    rows = gains.join(cites, "item_id", "left").withColumn("cites", F.coalesce("cites", F.lit(0)))
-    return rows.select("item_id", "gain", "cites", F.rank().over(Window.orderBy(F.desc("gain"))).cast("bigint").alias("novelty_rank"), F.rank().over(Window.orderBy(F.desc("cites"))).cast("bigint").alias("cite_rank"))
+    rows = cut_lineage(gains.join(cites, "item_id", "left").withColumn("cites", F.coalesce("cites", F.lit(0))))
+    return ranks(rows, "cites", "cite_rank").select("item_id", "gain", "cites", "novelty_rank", "cite_rank")
 
 
 @query
@@ -459,16 +572,17 @@ def w27_streaming(spark, sf_dir):
     """Events replayed as files through the stateful stream; a closing row per type pushes the watermark past the end."""
     from .. import streaming
 
-    sc = ship(spark).sparkContext
-    cut_lineage(spark.range(1))  # makes sure of a shared folder
-    folder = f"{sc.getCheckpointDir()}/stream-{uuid.uuid4().hex}"
+    folder = fresh_folder(ship(spark), "stream")
     rows = sources.load(spark, sf_dir, "events").select("event_type", "event_id", F.col("ts").cast("timestamp").alias("ts"), "value")
     rows.repartitionByRange(4, "ts").write.parquet(f"{folder}/in/a")
-    closing = rows.groupBy("event_type").agg((F.max("ts") + F.expr("interval 400 days")).alias("ts")).select("event_type", F.lit(-1).cast("bigint").alias("event_id"), F.max("ts").over(Window.partitionBy()).alias("ts"), F.lit(None).cast("double").alias("value"))
+    last = rows.agg((F.max("ts") + F.expr("interval 400 days")).alias("ts"))
+    closing = rows.select("event_type").distinct().crossJoin(F.broadcast(last)).select("event_type", F.lit(-1).cast("bigint").alias("event_id"), "ts", F.lit(None).cast("double").alias("value"))
     closing.coalesce(1).write.parquet(f"{folder}/in/b")
     stream = spark.readStream.schema(rows.schema).option("recursiveFileLookup", "true").parquet(f"{folder}/in")
     streaming.run_to_end(streaming.stream_advances(stream, "event_type", "event_id", "ts", "value"), f"{folder}/out", f"{folder}/state")
-    return spark.read.schema(streaming.OUTPUT).parquet(f"{folder}/out").where("row_id >= 0").select("series", F.col("row_id").alias("event_id"), "s", "nu")
+    out = cut_lineage(spark.read.schema(streaming.OUTPUT).parquet(f"{folder}/out").where("row_id >= 0").select("series", F.col("row_id").alias("event_id"), "s", "nu"))
+    remove_folder(spark, folder)
+    return out
 
 
 def _tournament(counts, group, key):
@@ -541,10 +655,14 @@ def w33_weighting_ablation(spark, sf_dir):
 
 @query
 def w34_scales(spark, sf_dir):
+    """Score of each target on each scale, and the share of its verdicts that change when values are shaken by 5 %."""
     study, out = documents(spark, sf_dir), None
     claims = cut_lineage(study.claims)
+    shaken = cut_lineage(measures.noisy(claims, 0.05))
     for scale in compare.SCALES:
-        one = compare.duels(claims, scale).where("s is not null").groupBy("target_id").agg(F.count("*").alias("n"), F.round(F.sum(F.col("s").cast("double")) / F.count("*"), 6).alias("mean_s")).withColumn("scale", F.lit(scale))
+        verdicts = compare.duels(claims, scale)
+        flips = measures.flip_rate(verdicts, compare.duels(shaken, scale), ["target_id"]).select("target_id", F.col("flips").alias("flip_rate"))
+        one = overall.scaled_score(verdicts).join(flips, "target_id").select("target_id", F.lit(scale).alias("scale"), "n", "omega", "flip_rate")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -664,8 +782,31 @@ def b07_direct_labels(spark, sf_dir):
 
 @query
 def y05_stability(spark, sf_dir):
-    a, b = documents(spark, sf_dir), documents(spark, sf_dir)
-    return measures.stability(a.duels, b.duels, ["target_id", "item_id", "axis"], ["s"])
+    """Cells of two runs: one as read, the other with its input in another order and another number of partitions."""
+    one = cut_lineage(documents(spark, sf_dir).duels)
+    partitions = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", str(int(partitions) + 3))
+    try:
+        two = cut_lineage(documents(spark, sf_dir, shuffled=True).duels)
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", partitions)
+    agree = measures.stability(one, two, ["target_id", "item_id", "axis"], ["s"])
+    return agree.crossJoin(two.agg(F.count_if(F.col("s") == 1).alias("n_win"), F.count_if(F.col("s") == 0).alias("n_draw"), F.count_if(F.col("s") == -1).alias("n_loss")))
+
+
+@query
+def y05_repeated_answers(spark, sf_dir):
+    """Share of equal answers of an uncertain extractor over two runs, alone and by the majority of three or five votes.
+
+    The extractor errs on a share of its calls, by a digest of the item and the call, so the experiment can be repeated."""
+    docs = sources.load(spark, sf_dir, "documents").select(F.col("doc_id").alias("item_id"), "lang")
+    out = None
+    for errs in (0, 10, 30):
+        for votes in (1, 3, 5):
+            runs = [extract.majority_vote(measures.uncertain(docs, "item_id", "lang", errs, range(r * 100, r * 100 + votes)), ["item_id"], "lang") for r in (0, 1)]
+            one = measures.stability(*runs, ["item_id"], ["lang"]).select(F.lit(errs).alias("errs"), F.lit(votes).alias("votes"), "cells", "agree_share")
+            out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query
@@ -726,8 +867,8 @@ def t12_target_marker(spark, sf_dir):
 def g02_text_vectors(spark, sf_dir):
     """Hashed n-gram vectors of axis values and their nearest earlier value."""
     axis = Axis(spark, sf_dir)
-    vectors = axis.nodes.select(F.col("pos").alias("item_id"), embed_text(F.col("value")).alias("vec"))
-    return evolution.vector_pairs(cut_lineage(vectors), 0.6)
+    vectors = axis.nodes.select(F.col("pos").alias("item_id"), embed_text(F.col("value"), unit=False).alias("vec"))
+    return evolution.vector_pairs(cut_lineage(vectors), 0.7)
 
 
 @query
@@ -744,12 +885,7 @@ def g05_kmeans_sizes(spark, sf_dir):
 
 @query
 def g12_forest_kruskal(spark, sf_dir):
-    return Axis(spark, sf_dir).forest(engine="kruskal", prune=False).select("src", "dst", "conf", "gap", "sigma")
-
-
-@query
-def g12_forest_unpruned(spark, sf_dir):
-    return Axis(spark, sf_dir).forest(prune=False).select("src", "dst", "conf", "gap", "sigma")
+    return Axis(spark, sf_dir).forest(engine="kruskal").select("src", "dst", "conf", "gap", "sigma")
 
 
 @query
@@ -769,3 +905,191 @@ def g06_lexical_overlap(spark, sf_dir):
     nodes = Axis(spark, sf_dir).nodes
     ahead = nodes.select(F.col("pos"), (F.col("pos") + 1).alias("next_pos"), "tokens").join(nodes.select(F.col("pos").alias("next_pos"), F.col("tokens").alias("next_tokens")), "next_pos")
     return ahead.select("pos", *(F.round(overlap(F.col("tokens"), F.col("next_tokens"), m), 6).alias(m) for m in ("jaccard", "overlap", "dice")))
+
+
+def _chain(spark, sf_dir) -> Chain:
+    return Chain(documents(spark, sf_dir))
+
+
+@query
+def e01_winners(spark, sf_dir):
+    """Advancing items of every target and axis."""
+    return _chain(spark, sf_dir).winners.select("target_id", "axis", "pos", "item_id", "year", "value")
+
+
+@query
+def e02_clusters(spark, sf_dir):
+    """Their values clustered by embedding, each axis on its own; a cluster is named by its first core position."""
+    chain = _chain(spark, sf_dir)
+    found = chain.clusters.join(chain.winners.select("node", "target_id", "axis", "pos"), "node")
+    return found.join(chain.winners.select(F.col("node").alias("cluster"), F.col("pos").alias("cluster_pos")), "cluster", "left").select("target_id", "axis", "pos", "is_core", F.col("cluster_pos").alias("cluster"))
+
+
+@query
+def e03_forest(spark, sf_dir):
+    chain = _chain(spark, sf_dir)
+    owners = chain.winners.select(F.col("node").alias("src"), "target_id", "axis")
+    return chain.placed(chain.placed(chain.forest.join(owners, "src"), "src", "src_pos"), "dst", "dst_pos").select("target_id", "axis", F.col("src_pos").alias("src"), F.col("dst_pos").alias("dst"), "conf", "gap", "sigma")
+
+
+@query
+def e04_roots(spark, sf_dir):
+    chain = _chain(spark, sf_dir)
+    return evolution.forest_roots(chain.winners, chain.forest, "node").select("target_id", "axis", "pos", "item_id", "year", "value")
+
+
+@query
+def e05_axis_stats(spark, sf_dir):
+    """Winners, clusters, noise, forest edges and roots of every target and axis."""
+    chain = _chain(spark, sf_dir)
+    edges = chain.forest.groupBy(F.col("dst").alias("node")).agg(F.count("*").alias("n_in"))
+    rows = chain.winners.join(chain.clusters, "node").join(edges, "node", "left")
+    return rows.groupBy("target_id", "axis").agg(F.count("*").alias("n_winners"), F.count_distinct("cluster").alias("n_clusters"), F.count_if(F.col("cluster").isNull()).alias("n_noise"), F.coalesce(F.sum("n_in"), F.lit(0)).alias("n_edges"), F.count_if(F.col("n_in").isNull()).alias("n_roots"))
+
+
+@query
+def c03_fuzzy_duels(spark, sf_dir):
+    """Verdicts when categorical values count as equivalent by tokens, edits or embeddings."""
+    study, out = documents(spark, sf_dir), None
+    claims = cut_lineage(study.claims.where("kind = 'categorical'"))
+    for how in EQUIVALENCES:
+        verdicts = compare.duels(claims, how=how)
+        one = verdicts.groupBy("axis").agg(F.count_if(F.col("s") == 1).alias("n_win"), F.count_if(F.col("s") == 0).alias("n_draw"), F.count("*").alias("n")).withColumn("how", F.lit(how))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _quantities(spark, sf_dir):
+    """First number of each document's first line with its unit, as one numeric axis with units."""
+    line = F.element_at(F.split("text", "\n"), 1)
+    return sources.load(spark, sf_dir, "documents").select(F.col("doc_id").alias("item_id"), parse_quantity(F.concat(F.col("n_chars").cast("string"), F.when(F.col("doc_id") % 3 == 0, "k").when(F.col("doc_id") % 3 == 1, " chars").otherwise("%"), F.lit(" of "), F.coalesce(line, F.lit("")))).alias("q")).select("item_id", "q.value", "q.unit")
+
+
+@query
+def x05_quantities(spark, sf_dir):
+    """Numbers with multipliers, percent signs and unit words, parsed from text."""
+    return _quantities(spark, sf_dir)
+
+
+@query
+def c05_unit_duels(spark, sf_dir):
+    """Verdicts on quantities with units: values in different units are not comparable."""
+    study = documents(spark, sf_dir)
+    values = _quantities(spark, sf_dir)
+    mine = values.select(F.col("item_id").alias("target_id"), F.col("value").alias("t_num"), F.coalesce("unit", F.lit("")).alias("t_unit"))
+    theirs = values.select("item_id", F.col("value").alias("v_num"), F.coalesce("unit", F.lit("")).alias("v_unit"))
+    none = F.lit(None).cast("string")
+    claims = study.network.select("target_id", "item_id").join(mine, "target_id").join(theirs, "item_id").select("*", F.lit("numeric").alias("kind"), F.lit(1).alias("direction"), F.lit(0.0).alias("tolerance"), none.alias("t_txt"), none.alias("v_txt"))
+    return compare.duels(claims).select("target_id", "item_id", "t_num", "t_unit", "v_num", "v_unit", "s")
+
+
+@query
+def c09_score_matrix(spark, sf_dir):
+    """Items by axes for one target."""
+    return compare.score_matrix(documents(spark, sf_dir, n_targets=1).duels, ["lang", "n_chars", "n_words", "source"])
+
+
+@query
+def x03_parsed_answers(spark, sf_dir):
+    """Structured answers (the events' properties): known keys only, blank where missing."""
+    rows = sources.load(spark, sf_dir, "events").select("event_id", extract.parse_response(F.col("props"), ["k", "absent"]).alias("m"))
+    return rows.select("event_id", F.try_element_at("m", F.lit("k")).alias("k"), F.try_element_at("m", F.lit("absent")).alias("absent"))
+
+
+def _count_model(prompts: list[str]) -> list[str]:
+    """Stands in for a model: answers a prompt with the number of its lines and characters as JSON."""
+    return ['{"n_chars": "%d", "n_lines": "%d", "extra": "x"}' % (len(p), p.count("\n")) for p in prompts]
+
+
+@query
+def x10_model_answers(spark, sf_dir):
+    """A plug-in model asked in batches; the second half comes from the cache of the first run's answers."""
+    items = _bodies(spark, sf_dir)
+    first = cut_lineage(extract.model_extract(items.where("item_id % 2 = 0"), _count_model, ["n_chars", "n_lines"]))
+    every = extract.model_extract(items, _count_model, ["n_chars", "n_lines"], cache=first.select("prompt_hash", "answer").dropDuplicates(["prompt_hash"]))
+    return every.select("item_id", F.try_element_at("answer", F.lit("n_chars")).cast("bigint").alias("n_chars"), F.try_element_at("answer", F.lit("n_lines")).cast("bigint").alias("n_lines"))
+
+
+@query
+def x07_curated_axes(spark, sf_dir):
+    """A person drops one axis, turns one round, adds one that was not chosen and doubles the weight of another."""
+    chosen = [a for a in (*sources.DOCUMENT_NUMERIC, *sources.DOCUMENT_CATEGORICAL) if a not in ("n_words", "opening")]
+    study = documents(spark, sf_dir, only=chosen)
+    edits = spark.createDataFrame([("remove", "n_lines", None, None, None, None), ("edit", "n_chars", None, None, -1, None), ("add", "n_words", None, None, None, None), ("weight", "diversity", None, None, None, 2.0)], "op string, axis string, new_axis string, kind string, direction int, weight double")
+    offered = extract.extract_axes(study.near_features, study.targets)
+    claims = extract.fill_claims(study.network, study.near_features, extract.curate_axes(study.axes, edits, offered))
+    counts = cut_lineage(overall.axis_counts(compare.duels(claims)))
+    before = overall.overall_score(overall.axis_counts(study.duels)).select("target_id", F.col("omega").alias("omega_before"))
+    after = overall.overall_score(counts, weighting=extract.edited_weights(counts, edits)).select("target_id", F.col("omega").alias("omega_after"), F.col("n_axes").alias("n_axes_after"))
+    return before.join(after, "target_id")
+
+
+@query
+def o07_given_weights(spark, sf_dir):
+    """Scores with weights that a person gives; axes without one weigh nothing."""
+    study = documents(spark, sf_dir)
+    given = study.targets.crossJoin(F.broadcast(spark.createDataFrame([("n_chars", 0.5), ("source", 0.3), ("diversity", 0.2)], "axis string, w double"))).select("target_id", "axis", "w")
+    return overall.overall_score(overall.axis_counts(study.duels), weighting=given).select("target_id", "omega", "n_axes")
+
+
+@query
+def o10_item_contributions(spark, sf_dir):
+    """Score of each target when one related item is left out."""
+    return overall.without_items(documents(spark, sf_dir).duels)
+
+
+@query
+def t15_annotated(spark, sf_dir):
+    """Each step of the events' values with the state before it and a sentence."""
+    return temporal.annotated_advances(_event_series(spark, sf_dir), ["series"], "value").select("series", "pos", "s", "state", "note")
+
+
+@query
+def t17_continued_state(spark, sf_dir):
+    """Verdicts of the later half of each series from the stored state of the earlier half."""
+    rows, folder = cut_lineage(_event_series(spark, sf_dir)), fresh_folder(spark, "state")
+    temporal.temporal_state(rows.where("pos <= 1000"), ["series"], "value").write.parquet(folder)
+    stored = cut_lineage(spark.read.parquet(folder))
+    remove_folder(spark, folder)
+    return temporal.continue_advances(stored, rows.where("pos > 1000"), ["series"], "value").select("series", "pos", "s", "nu")
+
+
+@query
+def g04_euclidean_clusters(spark, sf_dir):
+    vectors = _vectors(spark, sf_dir)
+    found = evolution.dbscan(vectors, evolution.vector_pairs(vectors, -1.157, metric="euclidean"), 4, "item_id")
+    return found.select(F.col("node").alias("vec_id"), "is_core", "cluster")
+
+
+@query
+def g16_ancestry(spark, sf_dir):
+    """Everything that the last winner descends from."""
+    axis = Axis(spark, sf_dir)
+    last = axis.nodes.agg(F.max("pos").alias("root"))
+    return evolution.ancestry(cut_lineage(axis.forest()), last).select("node", F.col("depth").cast("bigint").alias("depth"))
+
+
+@query
+def p05_trends(spark, sf_dir):
+    """Slope of marginal novelty over years by source."""
+    study = documents(spark, sf_dir)
+    return applications.trends(study.pace, study.items, "source").select("source", F.round("slope", 6).alias("slope"), "n")
+
+
+@query
+def b10_intransitive_triples(spark, sf_dir):
+    """Cycles among the 20 targets when every pair is compared on an axis of its own, and on one axis for all."""
+    study, out = documents(spark, sf_dir), None
+    wide = study.near_features.where("kind = 'numeric'").join(study.targets, F.col("item_id") == F.col("target_id")).groupBy("item_id").pivot("axis", sorted(sources.DOCUMENT_NUMERIC)).agg(F.first("v_num"))
+    wide = cut_lineage(wide)
+    for rule, fixed in (("a pair's own axis", None), ("one axis", "n_chars")):
+        wins = cut_lineage(baselines.pairwise_winners(wide, sources.DOCUMENT_NUMERIC, fixed=fixed))
+        one = baselines.intransitive_triples(wins).select(F.lit(rule).alias("rule"), "n_cycles", F.lit(wins.count()).cast("bigint").alias("n_decided"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query
+def y13_plan_costs(spark, sf_dir):
+    """Physical operators of the 20-target report, and what its jobs shuffled and spilled."""
+    return measures.run_costs(spark, lambda: w01_report_documents(spark, sf_dir))

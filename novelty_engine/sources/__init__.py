@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import NOT_LETTER, WHITE, normalise_value, words
+from ..operators.scan import ranged
 
 #: Fixed value: licence names looked for in documents.
 LICENCES = "(MIT License|Apache License|GNU General Public License|CC BY-NC)"
@@ -38,36 +39,32 @@ def document_items(docs: DataFrame) -> DataFrame:
     return docs.crossJoin(F.broadcast(n)).select(F.col("doc_id").alias("item_id"), day.alias("pub_date"), F.year(day).alias("year"), "lang", "source", F.col("text").alias("body"))
 
 
-def member_pairs(rows: DataFrame, by: list[str], member: str, block: int = 512) -> DataFrame:
-    """(low, high) once for each group of `by` and each pair of its members, from distinct rows(by, member).
+def chain_links(rows: DataFrame, group: list[str], order: list[str], member: str) -> DataFrame:
+    """(src, dst, relevance): in every group each member cites the member just before it and the first one.
 
-    A group of more than `block` members is dealt by hash to blocks, and each pair of blocks is gathered on its own,
-    so no array holds a whole large group.
+    From distinct rows(group, order, member).  Relevance counts groups.  Links are at most two a row however large a group is:
+    rows are put in order by ranges, so a group that is a third of the table is spread over many tasks.
     """
-    known = rows.where(F.col(member).isNotNull())
-    sizes = known.groupBy(*by).agg(F.count("*").alias("n")).where("n > 1")
-    blocks = F.ceil(F.col("n") / F.lit(block)).cast("int")
-    own = F.pmod(F.xxhash64(member, F.lit(77)), blocks).cast("int")
-    tiles = F.transform(F.sequence(F.lit(0), blocks - 1), lambda k: F.struct(F.least(own, k).alias("i"), F.greatest(own, k).alias("j")))
-    dealt = known.join(sizes, by).select(*by, F.struct(F.col(member).alias("m"), own.alias("own")).alias("x"), F.explode(tiles).alias("tile"))
-    groups = dealt.groupBy(*by, "tile").agg(F.sort_array(F.collect_list("x")).alias("xs"))
-    ordered = groups.select(F.posexplode("xs").alias("at", "a"), "xs", (F.col("tile.i") != F.col("tile.j")).alias("cross"))
-    pairs = ordered.select("a", "cross", F.explode(F.slice("xs", F.col("at") + 2, F.size("xs"))).alias("b"))
-    return pairs.where("not cross or a.own <> b.own").select(F.col("a.m").alias("low"), F.col("b.m").alias("high"))
-
-
-def document_links(docs: DataFrame, least: int = 40, most_documents: int | None = 50) -> DataFrame:
-    """Later documents cite earlier ones when they share a distinct line of `least` characters or more that at most
-    `most_documents` documents have (None: any number).  Lines travel as two hashes; a line is gathered only after its
-    count is known to be small, or in blocks, so no group is large.
-    """
-    lines = docs.select(F.col("doc_id"), F.explode(F.array_distinct(F.filter(F.transform(F.split("text", "\n"), F.trim), lambda x: F.length(x) >= least))).alias("line")).select("doc_id", F.xxhash64("line").alias("h0"), F.xxhash64("line", F.lit(1)).alias("h1"))
-    if most_documents is None:
-        return member_pairs(lines.distinct(), ["h0", "h1"], "doc_id").groupBy(F.col("high").alias("src"), F.col("low").alias("dst")).agg(F.count("*").cast("double").alias("relevance"))
-    frequent = lines.groupBy("h0", "h1").agg(F.count("*").alias("n")).where(f"n between 2 and {most_documents}").drop("n")
-    groups = lines.join(frequent, ["h0", "h1"]).groupBy("h0", "h1").agg(F.sort_array(F.collect_list("doc_id"), asc=False).alias("ids"))
-    later = groups.select(F.posexplode("ids").alias("at", "src"), "ids")
-    return later.select("src", F.explode(F.slice("ids", F.col("at") + 2, F.size("ids"))).alias("dst")).where("src > dst").groupBy("src", "dst").agg(F.count("*").cast("double").alias("relevance"))
+    columns = list(dict.fromkeys([*group, *order, member]))
+    placed = ranged(rows.select(*columns), *group, *order)
+    here = F.struct(*group, F.col(member).alias("m"))
+    ends = placed.groupBy("range_").agg(F.max_by(here, "place_").alias("last"))
+    carried = F.broadcast(ends.select("range_", F.lag("last").over(Window.orderBy("range_")).alias("carried")))  # a row for each range
+    ahead = F.coalesce(F.lag(here).over(Window.partitionBy("range_").orderBy("place_")), F.col("carried"))
+    chained = placed.join(carried, "range_").withColumn("ahead", ahead)
+    same = F.lit(True)
+    for g in group:
+        same = same & F.col(f"ahead.{g}").eqNullSafe(F.col(g))
+    first = rows.groupBy(*group).agg(F.min_by(member, F.struct(*order)).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
+    cited = F.array_distinct(F.array(F.col("ahead.m"), F.col("first")))
+    return chained.where(same).join(first, group).select(F.col(member).alias("src"), F.explode(cited).alias("dst")).groupBy("src", "dst").agg(F.count("*").cast("double").alias("relevance"))
+
+
+def document_links(docs: DataFrame, least: int = 40) -> DataFrame:
+    """For each distinct line of `least` characters or more, a document cites the document before it that has the line and the
+    first that had it.  Lines travel as two hashes."""
+    lines = docs.select(F.col("doc_id"), F.explode(F.array_distinct(F.filter(F.transform(F.split("text", "\n"), F.trim), lambda x: F.length(x) >= least))).alias("line")).select("doc_id", F.xxhash64("line").alias("h0"), F.xxhash64("line", F.lit(1)).alias("h1")).distinct()
+    return chain_links(lines, ["h0", "h1"], ["doc_id"], "doc_id")
 
 
 def long_features(wide: DataFrame, numeric: dict[str, int], categorical: list[str], key: str = "item_id") -> DataFrame:
@@ -117,15 +114,10 @@ def part_items(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-def part_links(spark: SparkSession, sf_dir: str, items: DataFrame, most_parts: int = 200) -> DataFrame:
-    """Parts of one order; the later part (first ship date, then key) cites the earlier; relevance counts orders.
-
-    An order with over `most_parts` parts would be a catalogue rather than a link and is left out.
-    """
+def part_links(spark: SparkSession, sf_dir: str, items: DataFrame) -> DataFrame:
+    """In each order a part cites the part before it (by first ship date, then key) and the first one; relevance counts orders."""
     dated = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").distinct().join(items.select(F.col("item_id").alias("l_partkey"), "pub_date"), "l_partkey")
-    small = dated.groupBy("l_orderkey").agg(F.count("*").alias("n")).where(f"n between 2 and {most_parts}").drop("n")
-    groups = dated.join(small, "l_orderkey").groupBy("l_orderkey").agg(F.sort_array(F.collect_list(F.struct("pub_date", "l_partkey")), asc=False).alias("x"))
-    return groups.select(F.posexplode("x").alias("at", "s"), "x").select(F.col("s.l_partkey").alias("src"), F.explode(F.slice("x", F.col("at") + 2, F.size("x"))).alias("d")).select("src", F.col("d.l_partkey").alias("dst")).groupBy("src", "dst").agg(F.count("*").cast("double").alias("relevance"))
+    return chain_links(dated, ["l_orderkey"], ["pub_date", "l_partkey"], "l_partkey")
 
 
 def line_series(spark: SparkSession, sf_dir: str, key: str) -> DataFrame:

@@ -212,3 +212,102 @@ def test_bounded_history_is_a_subset(spark):
     exact = {(r.v, r.pos) for r in temporal.first_appearances(rows, ["series"], "v").collect()}
     bounded = {(r.v, r.pos) for r in temporal.bounded_first_appearances(rows, ["series"], "v", 4).collect()}
     assert bounded <= exact and 0 < len(bounded) <= 16
+
+
+def test_nan_is_missing(spark):
+    nan = float("nan")
+    rows = series(spark, [1.0, nan, 5.0, None, 9.0, 5.0])
+    want = [1, None, 1, None, 1, -1]
+    assert [r.s for r in temporal.numeric_advances(rows, ["series"], "v").orderBy("pos").collect()] == want
+    assert [r.s for r in temporal.best_so_far_scan(rows, "v", 2, ["series"]).orderBy("pos").collect()] == want
+    assert list(temporal.iterate([1.0, nan, 5.0, None, 9.0, 5.0])) == want
+    won = temporal.tolerant_winners(rows, ["series"], "v", 0.0)
+    assert sorted(r.pos for r in won.collect()) == [1, 3, 5]
+    assert [r.s for r in temporal.with_state(rows, won, ["series"], "v", 0.0).orderBy("pos").collect()] == want
+
+
+def test_state_is_continued_and_merged(spark):
+    rng = random.Random(12)
+    rows = spark.createDataFrame([(k, i, float(rng.randrange(40)) if i % 5 else None) for k in "ab" for i in range(1, 60)] + [("c", 50, 1.0)], "series string, pos bigint, v double")
+    keys, whole = ["series"], temporal.numeric_advances(rows, ["series"], "v")
+    old = temporal.temporal_state(rows.where("pos <= 30"), keys, "v")
+    later = temporal.continue_advances(old, rows.where("pos > 30"), keys, "v")
+    assert sorted(map(tuple, later.collect()), key=str) == sorted(map(tuple, whole.where("pos > 30").collect()), key=str)
+    new = later.groupBy("series").agg(F.max("v").alias("best"), F.max("nu").alias("nu"), F.max("pos").alias("last_pos"))
+    assert sorted(map(tuple, temporal.merge_states(old, new, keys).collect())) == sorted(map(tuple, temporal.temporal_state(rows, keys, "v").collect()))
+
+
+def test_similar_profiles_equal_all_pairs(spark):
+    from novelty_engine.operators import applications
+
+    rng = random.Random(13)
+    axes = [f"a{i:02d}" for i in range(70)]
+    rows = []
+    for item in range(24):
+        seed = random.Random(item % 9)
+        rows += [(t, item, a, seed.choice([1, 0, -1, None])) for t in (1, 2) for a in axes[: 6 if t == 1 else 70]]
+    df = spark.createDataFrame(rows, "target_id bigint, item_id bigint, axis string, s int")
+    profile = {}
+    for t, i, a, s in rows:
+        profile.setdefault((t, i), {}).update({a: s} if s is not None else {})
+    want = []
+    for t in (1, 2):
+        pairs = []
+        for a in range(24):
+            for b in range(a + 1, 24):
+                p, q = profile[t, a], profile[t, b]
+                both = p.keys() & q.keys()
+                if both:
+                    pairs.append((-round(sum(p[x] == q[x] for x in both) / len(both), 6), -len(both), a, b))
+        want += [(t, a, b, -n, -s) for s, n, a, b in sorted(pairs)[:7]]
+    assert sorted(map(tuple, applications.similar_profiles(df, 7).collect())) == sorted(want)
+    classes = {(r.target_id, r.item_id): (r.profile, r.n_members) for r in applications.profile_classes(df).collect()}
+    for (t, i), (least, n) in classes.items():
+        same = [j for j in range(24) if profile[t, j] == profile[t, i]]
+        assert (least, n) == (min(same), len(same))
+
+
+def test_curation_adds_and_weighs(spark):
+    schema = "target_id bigint, axis string, kind string, direction int"
+    axes, offered = spark.createDataFrame([(1, "a", "numeric", 1)], schema), spark.createDataFrame([(1, "a", "numeric", 1), (1, "b", "numeric", 1), (1, "c", "numeric", 1)], schema)
+    edits = spark.createDataFrame([("add", "b", None, None, None, None), ("edit", "b", None, None, -1, None), ("weight", "a", None, None, None, 3.0)], "op string, axis string, new_axis string, kind string, direction int, weight double")
+    assert sorted((r.axis, r.direction) for r in extract.curate_axes(axes, edits, offered).collect()) == [("a", 1), ("b", -1)]
+    counts = spark.createDataFrame([(1, "a", "all", 1, 1, 0), (1, "b", "all", 1, 0, 1)], COUNTS)
+    assert {r.axis: r.w for r in extract.edited_weights(counts, edits).collect()} == {"a": 0.75, "b": 0.25}
+
+
+def test_scales_agree_on_ternary_verdicts(spark):
+    rng = random.Random(15)
+    rows = [(t, i, a, rng.choice([1, 0, -1, None])) for t in range(3) for i in range(9) for a in "xyz"]
+    df = spark.createDataFrame(rows, "target_id bigint, item_id bigint, axis string, s int")
+    plain = {r.target_id: r.omega for r in overall.overall_score(overall.axis_counts(df)).collect()}
+    assert plain == {r.target_id: r.omega for r in overall.scaled_score(df).collect()}
+    for r in overall.without_items(df).where("item_id = 4").collect():
+        rest = df.where((F.col("target_id") == r.target_id) & (F.col("item_id") != 4))
+        assert overall.overall_score(overall.axis_counts(rest)).first().omega == r.omega_without
+
+
+def test_equivalence_rules(spark):
+    from novelty_engine.functions import categorical_score
+
+    df = spark.createDataFrame([("large brass widget", "brass widget large", "larger brass wodget")], "a string, b string, c string")
+    r = df.select(*(categorical_score(F.col("a"), F.col(x), how, 0.6).alias(f"{how}_{x}") for how in ("exact", "jaccard", "edit", "cosine") for x in "bc")).first()
+    assert (r.exact_b, r.exact_c, r.jaccard_b, r.jaccard_c, r.edit_b, r.edit_c, r.cosine_b, r.cosine_c) == (1, 1, 0, 1, 1, 0, 0, 0)
+
+
+def test_tsne_parts_two_heaps():
+    import numpy as np
+
+    rng = np.random.default_rng(3)
+    points = np.concatenate([rng.normal(0, 0.1, (20, 5)), rng.normal(5, 0.1, (20, 5))])
+    y = evolution.tsne(points)
+    inside = max(np.linalg.norm(y[:20] - y[:20].mean(axis=0), axis=1).mean(), np.linalg.norm(y[20:] - y[20:].mean(axis=0), axis=1).mean())
+    assert np.linalg.norm(y[:20].mean(axis=0) - y[20:].mean(axis=0)) > 2 * inside
+
+
+def test_stage_timer_and_costs(spark):
+    timer = measures.StageTimer()
+    timer.run("one", spark.range(7), calls=lambda rows: 2 * rows)
+    assert [(r.stage, r.calls, r.rows) for r in timer.log(spark).collect()] == [("one", 14, 7)]
+    costs = {r.measure: r.value for r in measures.run_costs(spark, lambda: spark.range(100).groupBy((F.col("id") % 3).alias("k")).count()).collect()}
+    assert costs["stages"] >= 1 and costs["shuffle_rows"] > 0 and costs["plan Exchange"] >= 1

@@ -49,39 +49,69 @@ def test_passages_in_any_number(spark, sf):
     assert few == many and {p for _, p in many} > {9001}
 
 
-def test_targets_in_any_number(spark):
+def test_targets_in_blocks(spark):
     from novelty_engine.operators import network
 
     vectors = spark.createDataFrame([(i, [float(i % 7), float(i % 5), 1.0]) for i in range(60)], "item_id bigint, vec array<double>")
     targets = spark.range(0, 60, 3).withColumnRenamed("id", "target_id")
-    one, blocks = (sorted(map(tuple, network.semantic_network(vectors, targets, 5, most_targets=n).collect())) for n in (100, 6))
-    assert one == blocks and len(blocks) == 100
+    one, blocks = (sorted(map(tuple, network.semantic_network(vectors, targets, 5, block=n).collect())) for n in (100, 7))
+    rows = {r.item_id: r.vec for r in vectors.collect()}
+    want = []
+    for t in range(0, 60, 3):
+        near = sorted((-round(sum(a * b for a, b in zip(rows[t], v)), 6), i) for i, v in rows.items() if i != t)[:5]
+        want += [(t, i, "similar", 1, -s) for s, i in near]
+    assert one == blocks == sorted(want)
 
 
-def test_baseline_triple_is_intransitive(spark):
-    beats = {(r.winner, r.loser) for r in baselines.intransitive_triple(spark).collect()}
-    assert {("a", "b"), ("b", "c"), ("c", "a")} <= beats
+def test_pairwise_axes_are_intransitive(spark):
+    items = spark.createDataFrame([(1, 1.0, 10.0, 5.0), (2, 5.0, 1.0, 10.0), (3, 10.0, 5.0, 1.0)], "item_id bigint, x double, y double, z double")
+    axes = {"x": 1, "y": 1, "z": 1}
+    assert baselines.intransitive_triples(baselines.pairwise_winners(items, axes)).first().n_cycles == 1
+    assert baselines.intransitive_triples(baselines.pairwise_winners(items, axes, fixed="y")).first().n_cycles == 0
 
 
-def test_links_through_lines_of_any_frequency(spark):
-    common, rare = "c" * 40, "r" * 45
-    docs = spark.createDataFrame([(i, f"{common}\n{rare}" if i % 40 == 0 else common) for i in range(120)], "doc_id bigint, text string")
-    got = {(r.src, r.dst): r.relevance for r in sources.document_links(docs, most_documents=None).collect()}
-    assert got == {(a, b): 2.0 if a % 40 == b % 40 == 0 else 1.0 for a in range(120) for b in range(a)}
-    assert sources.document_links(docs).count() == 3
-
+def chain_by_hand(rows):
+    """(src, dst) -> relevance from (group, member): cite the member before and the first."""
+    groups, out = {}, {}
+    for g, m in sorted(set(rows)):
+        members = groups.setdefault(g, [])
+        for cited in {members[-1], members[0]} if members else ():
+            out[m, cited] = out.get((m, cited), 0) + 1.0
+        members.append(m)
+    return out
 
-def test_bridges_through_values_of_any_frequency(spark):
-    values = spark.createDataFrame([(i, "mit") for i in range(60)] + [(3, "passage"), (7, "passage")], "item_id bigint, value string")
-    links = spark.createDataFrame([(2, 1), (59, 0)], "src bigint, dst bigint")
-    got = {(r.item_a, r.item_b): r.n_shared for r in applications.bridges(values, links).collect()}
-    assert got == {(a, b): 1 + ((a, b) == (3, 7)) for b in range(60) for a in range(b) if (b, a) not in {(2, 1), (59, 0)}}
 
-
-def test_pairs_of_a_group_in_blocks(spark):
-    rows = spark.createDataFrame([("hot", i) for i in range(50)] + [("small", 1), ("small", 2), ("one", 9), ("hot", None)], "value string, item_id bigint")
-    got = sorted((r.low, r.high) for r in sources.member_pairs(rows, ["value"], "item_id", block=7).collect())
-    assert got == sorted([(a, b) for b in range(50) for a in range(b)] + [(1, 2)])
+def test_links_through_lines_of_any_frequency(spark):
+    common, rare = "c" * 40, "r" * 45
+    docs = spark.createDataFrame([(i, f"{common}\n{rare}\n{rare}" if i % 40 == 0 else common) for i in range(120)] + [(500, None), (501, "short")], "doc_id bigint, text string").repartition(7)
+    got = {(r.src, r.dst): r.relevance for r in sources.document_links(docs).collect()}
+    assert got == chain_by_hand([(common, i) for i in range(120)] + [(rare, i) for i in range(0, 120, 40)])
+    assert sources.document_links(docs.limit(0)).count() == 0
+
+
+def test_chain_links_equal_the_plain_chain(spark):
+    import random
+
+    rng = random.Random(2)
+    rows = list({(rng.randrange(12), rng.randrange(60)) for _ in range(300)})
+    df = spark.createDataFrame(rows, "g int, m bigint").repartition(6)
+    assert {(r.src, r.dst): r.relevance for r in sources.chain_links(df, ["g"], ["m"], "m").collect()} == chain_by_hand(rows)
+
+
+def test_bridges_of_values_of_any_frequency(spark):
+    pairs = [(i, "mit") for i in range(60)] + [(3, "passage"), (7, "passage"), (9, None)]
+    values = spark.createDataFrame(pairs, "item_id bigint, value string")
+    links = spark.createDataFrame([(2, 1), (59, 0), (7, 3), (1, 2)], "src bigint, dst bigint")
+    linked = {(2, 1), (59, 0), (7, 3)}
+    got = {(r.value, r.item_id): (r.n_members, r.n_linked, r.n_bridges) for r in applications.bridges(values, links).collect()}
+    for (value, item), counts in got.items():
+        others = [j for j, v in pairs if v == value and j != item]
+        n = sum((max(item, j), min(item, j)) in linked for j in others)
+        assert counts == (len(others) + 1, n, len(others) - n)
+    assert len(got) == 62
+    partners = applications.bridge_partners(values, links, spark.createDataFrame([(3,), (2,)], "item_id bigint")).collect()
+    want = {(i, j): 1 for i in (2, 3) for j in range(60) if i != j and (max(i, j), min(i, j)) not in linked}
+    assert {(r.item_a, r.item_b): r.n_shared for r in partners} == want
 
 
 def test_stream_orders_and_counts(spark, tmp_path):
