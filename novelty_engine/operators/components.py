@@ -11,31 +11,21 @@ from ..session import cut_lineage
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Connected components of `edges(a, b)` as (node, label): the least node reachable from each.
 
-    In each round every node hooks to its least neighbour, hooks are followed to their ends by doubling, and the
-    edges are contracted to edges between labels: inner ones vanish and parallel ones fall together, so
-    the edge table at least halves its nodes each round.  All of it stays distributed; the driver sees one test a step.
+    Every node points to a smaller node of its component or to itself.  In each round a node and the node it points to
+    take the least node that its neighbours' pointers point to, and pointers are followed one step.  Pointers only fall; when
+    none has moved they are equal across every edge, so they are the least nodes.  Rounds grow with the logarithm of a
+    component's width.  All of it stays distributed; a round is one job and the driver sees one test.
     """
     given = edges.select("a", "b").where("a is not null and b is not null")
-    live = cut_lineage(given.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
-    labels = live.select(F.col("a").alias("node")).union(live.select("b")).distinct().select("node", F.col("node").alias("label"))
-    live = live.where("a <> b")
+    both = cut_lineage(given.union(given.select("b", "a")).distinct())
+    points = cut_lineage(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("node")).alias("label")))
     for _ in range(max_rounds):
-        if not live.limit(1).count():
-            return labels
-        both = live.union(live.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        hooks = cut_lineage(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("to")))
-        jumped = _roots(hooks, max_rounds)
-        labels = cut_lineage(labels.join(jumped, labels["label"] == jumped["a"], "left").select("node", F.coalesce("to", "label").alias("label")))
-        ends = live.join(jumped.select("a", F.col("to").alias("la")), "a").join(jumped.select(F.col("a").alias("b"), F.col("to").alias("lb")), "b")
-        live = cut_lineage(ends.select(F.least("la", "lb").alias("a"), F.greatest("la", "lb").alias("b")).where("a <> b").distinct())
+        further = points.join(points.select(F.col("node").alias("label"), F.col("label").alias("far")), "label").select("node", "label", "far")
+        near = both.join(further.select(F.col("node").alias("b"), "far"), "b").groupBy(F.col("a").alias("node")).agg(F.min("far").alias("near"))
+        offers = further.join(near, "node").select("node", "label", F.least("far", "near").alias("low"))
+        taken = offers.select("node", "low", F.col("label").alias("old")).union(offers.select("label", "low", F.lit(None).cast(points.schema["label"].dataType)))
+        points = cut_lineage(taken.groupBy("node").agg(F.min("low").alias("label"), F.max("old").alias("old")))
+        if not points.where("label < old").limit(1).count():
+            return points.select("node", "label")
+        points = points.select("node", "label")
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")
-
-
-def _roots(hooks: DataFrame, max_rounds: int) -> DataFrame:
-    """(a, to) with each hook followed to its end; hooks only lead to smaller nodes, so they form trees."""
-    for _ in range(max_rounds):
-        step = cut_lineage(hooks.join(hooks.select(F.col("a").alias("to"), F.col("to").alias("further")), "to").select("a", F.col("further").alias("to"), (F.col("further") != F.col("to")).alias("moved")))
-        hooks = step.select("a", "to")
-        if not step.where("moved").limit(1).count():
-            return hooks
-    raise RuntimeError(f"hooks did not settle in {max_rounds} steps")

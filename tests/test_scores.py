@@ -104,6 +104,23 @@ def test_components(spark):
     assert all(got[i] == 0 for i in range(41)) and got[103] == 100 and components(edges.limit(0)).count() == 0
 
 
+def test_components_of_random_graphs(spark):
+    rng = random.Random(31)
+    rows = [(g * 1000 + rng.randrange(80), g * 1000 + rng.randrange(80)) for g in range(6) for _ in range(20 + 12 * g)] + [(9000 + i, 9000 + i) for i in range(2)] + [(None, 3)]
+    root = {}
+
+    def find(x):
+        while root.setdefault(x, x) != x:
+            x = root[x]
+        return x
+
+    for a, b in rows[:-1]:
+        low, high = sorted((find(a), find(b)))
+        root[high] = low
+    got = {r.node: r.label for r in components(spark.createDataFrame(rows, "a bigint, b bigint")).collect()}
+    assert got == {x: find(x) for x in root}
+
+
 EDGES = "src bigint, dst bigint, sigma double"
 
 
