@@ -5,7 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..session import cut_lineage
+from ..session import cut_lineage, release
+
+#: Rows of edges or pointers in one partition, for tables that each round reads again.
+PARTITION_ROWS = 1_000_000
 
 
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -18,14 +21,17 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """
     given = edges.select("a", "b").where("a is not null and b is not null")
     both = cut_lineage(given.union(given.select("b", "a")).distinct())
-    points = cut_lineage(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("node")).alias("label")))
+    parts = 8 + both.count() // PARTITION_ROWS
+    both = both.coalesce(parts)
+    points = cut_lineage(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("node")).alias("label")).coalesce(parts))
     for _ in range(max_rounds):
         further = points.join(points.select(F.col("node").alias("label"), F.col("label").alias("far")), "label").select("node", "label", "far")
         near = both.join(further.select(F.col("node").alias("b"), "far"), "b").groupBy(F.col("a").alias("node")).agg(F.min("far").alias("near"))
         offers = further.join(near, "node").select("node", "label", F.least("far", "near").alias("low"))
         taken = offers.select("node", "low", F.col("label").alias("old")).union(offers.select("label", "low", F.lit(None).cast(points.schema["label"].dataType)))
-        points = cut_lineage(taken.groupBy("node").agg(F.min("low").alias("label"), F.max("old").alias("old")))
+        points = cut_lineage(taken.groupBy("node").agg(F.min("low").alias("label"), F.max("old").alias("old")).coalesce(parts))
         if not points.where("label < old").limit(1).count():
             return points.select("node", "label")
         points = points.select("node", "label")
+        release(edges.sparkSession)
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")
