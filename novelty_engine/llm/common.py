@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 from .. import session
 from ..operators.components import components  # noqa: F401  used by the operators
-from ..session import cut_lineage, fresh_folder  # noqa: F401
+from ..session import cut_lineage, fresh_folder, release  # noqa: F401
 
 #: Rows in one Arrow batch; texts are long, and a batch is held on both sides of the process border.
 BATCH_ROWS = 2000

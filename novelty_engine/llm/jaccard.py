@@ -40,7 +40,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Words, binary, bit_filter, components, cut_lineage, gram_hashes, ship, slices, table, whole_groups
+from .common import Words, binary, bit_filter, components, cut_lineage, gram_hashes, release, ship, slices, table, whole_groups
 
 COORDINATES = 64
 #: Buckets up to this many sets are compared directly; larger ones split, at most DEPTH times.
@@ -194,6 +194,7 @@ def candidate_edges(sets: DataFrame, threshold: float, recall: float) -> DataFra
         split = kept.where((F.col("n") > SMALL) & ~stuck)
         if depth + 1 == DEPTH or not split.limit(1).count():
             break
+        release(sets.sparkSession)
         level = split.join(sets, "cid").select("cid", F.explode(F.array_distinct(sampled(F.col("path"), depth + 1, 2))).alias("new"), F.col("n").alias("parent_n")).select("cid", F.col("new").alias("path"), "parent_n").dropDuplicates(["cid", "path"])
     return _bucket_edges(compared.join(sets, "cid").select("path", "cid", "sig"), least).distinct()
 
@@ -314,6 +315,7 @@ def _near(df: DataFrame, key: str | None, text: str, words: int, threshold: floa
     members = sets.join(active, "cid").select("cid", "copies", "values", "label", F.explode(_tiles(F.col("blocks"), F.col("cid"))).alias("x")).select(F.xxhash64("label", "x.i", "x.j").alias("tile"), "x.i", "x.j", "x.block", "cid", "copies", "values")
     verified = cut_lineage(_verify(members, threshold))
     links = verified.where("links > 0").groupBy("cid").agg(F.sum("links").alias("links"))
+    release(df.sparkSession)
     joined = components(verified.where("other is not null").select(F.col("cid").alias("a"), F.col("other").alias("b")))
     named = joined.withColumnRenamed("node", "cid").join(classes.select("cid", "least"), "cid")
     ids = named.join(named.groupBy("label").agg(F.min("least").alias("class_id")), "label").select("cid", "class_id", "label")
