@@ -391,3 +391,16 @@ def test_pipeline_by_stages(spark, sf):
             assert {r.doc_id for r in out.collect()} == set(before)
         kept = out
     assert corpus_pipeline.run(spark, sf).count() == kept.count()
+
+
+def test_near_duplicates_stage_keeps_one_row_of_each_class(spark, corpus):
+    import corpus_pipeline
+
+    base, near = corpus[46][1], corpus[50][1]
+    rows = [(5, base), (5, base), (5, near), (None, base), (None, "only words without an id here"), (7, None), (7, ""), (9, "alone in its class of words")]
+    docs = table(spark, rows).select(*corpus_pipeline.COLUMNS)
+    got = sorted(((r.doc_id, r.text) for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()), key=str)
+    kept = [x for x in got if x[1] in (base, near)]
+    assert len(kept) == 1 and kept[0][0] == 5
+    assert sorted((x for x in got if x not in kept), key=str) == sorted([(None, rows[4][1]), (7, None), (7, ""), (9, rows[7][1])], key=str)
+    assert corpus_pipeline.near_duplicates(spark, docs.limit(0), "").count() == 0
