@@ -287,7 +287,7 @@ SIGNS = "CASE WHEN kind = 'numeric' THEN sign((t_num - v_num) * direction) WHEN
 def scaled(verdict: str, source: str, name: str) -> str:
     """Score on any scale: won, lost and level parts of each axis, weighted by what is won."""
     return f"""
-{name}_a AS (SELECT target_id, sum(greatest(f, 0)) / count(f) AS w, (sum(greatest(f, 0)) + 0.5 * count(*) FILTER (f = 0) - sum(greatest(-f, 0))) / count(f) AS sc, count(f) AS n FROM (SELECT target_id, axis, CAST({verdict} AS DOUBLE) AS f FROM {source}) GROUP BY target_id, axis),
+{name}_a AS (SELECT target_id, sum(greatest(f, 0)) / nullif(count(f), 0) AS w, (sum(greatest(f, 0)) + 0.5 * count(*) FILTER (f = 0) - sum(greatest(-f, 0))) / nullif(count(f), 0) AS sc, count(f) AS n FROM (SELECT target_id, axis, CAST({verdict} AS DOUBLE) AS f FROM {source}) GROUP BY target_id, axis),
 {name} AS (SELECT target_id, round(CASE WHEN sum(w) > 0 THEN sum(coalesce(w, 0) * coalesce(sc, 0)) / sum(w) ELSE sum(coalesce(sc, 0)) / count(*) END, 6) AS omega, CAST(sum(n) AS BIGINT) AS n FROM {name}_a GROUP BY 1)"""
 
 
