@@ -14,8 +14,9 @@ Two things keep this whole and even at scale, and neither depends on the size of
   A full bitmap only lets more through.
 * a minimiser with more than HOT_RUNS runs (a second bitmap) is dealt out by digest instead.  Equal
   packed strings become one row with their least and greatest doc_id, so a group of copies counts
-  once; of what is left, windows are aggregated by 128-bit digest with partial sums before the
-  shuffle, and joined back.  No task then holds more than HOT_RUNS runs of one minimiser.
+  once; of what is left, the windows that two strings hold (a third bitmap) are aggregated by 128-bit
+  digest with partial sums before the shuffle, and joined back.  No task then holds more than
+  HOT_RUNS runs of one minimiser, and a frequent phrase in ever new surroundings opens no windows.
 
 Null or empty text has no words.  Rows with a null doc_id, or rows that repeat a doc_id, are
 answered each; a null doc_id neither removes nor loses words, and equal doc_ids do not remove
@@ -33,11 +34,13 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BitFilter, Words, binary, bit_filter, cut_lineage, gram_hashes, slices, table, whole_groups
+from .common import FILTER_BITS, BitFilter, Words, binary, bit_filter, cut_lineage, gram_hashes, slices, table, whole_groups
 
 GRAM = 4
 RUN_WINDOWS = 64
 HOT_RUNS = 256
+#: Slots of the bitmap of windows that travel as one row.
+PART_BITS = 17
 
 
 def sliding_least(values: np.ndarray, width: int) -> np.ndarray:
@@ -192,26 +195,87 @@ def _bucket_spans(packed: DataFrame, width: int) -> DataFrame:
     return packed.select("mini", "doc", "row_key", "start", "packed").repartition("mini").sortWithinPartitions("mini").mapInArrow(run, _SPANS)
 
 
+def _named_windows(packed: list[bytes], width: int) -> tuple[np.ndarray, np.ndarray]:
+    """(string, 128-bit digest) of every window."""
+    row, begin, end = _windows(packed, width)
+    views = [memoryview(text) for text in packed]
+    digests = b"".join([xxhash.xxh3_128_digest(views[r][a:b]) for r, a, b in zip(row.tolist(), begin.tolist(), end.tolist())])
+    return row, np.frombuffer(digests, "<i8").reshape(-1, 2)
+
+
+def _folded(codes: np.ndarray) -> np.ndarray:
+    """One code (twice the slot, plus a mark) for each slot, in order; it has the mark if one of its codes had it or there were two."""
+    codes = np.sort(codes)
+    tails = np.flatnonzero(np.r_[codes[1:] >> 1 != codes[:-1] >> 1, True][: len(codes)])
+    return codes[tails] | (np.diff(np.r_[-1, tails]) > 1).astype(codes.dtype)
+
+
+def _windows_of_two(strings: DataFrame, width: int) -> BitFilter:
+    """Bitmap of the windows that two of the distinct strings hold.
+
+    Every task folds its windows to one code a slot and sends a part of the bitmap as one row; at most 2**FILTER_BITS bits reach the driver.
+    """
+
+    def seen(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size, most = [], 0, 1 << 20
+        for batch in slices(batches, "packed", 1 << 20):
+            row, names = _named_windows(batch.column("packed").to_pylist(), width)
+            slot = names[:, 0] & ((1 << FILTER_BITS) - 1)
+            once = np.unique(row << FILTER_BITS | slot) & ((1 << FILTER_BITS) - 1)  # a string counts once
+            held.append(_folded(once.astype(np.uint32) << np.uint32(1)))
+            size += len(held[-1])
+            if size > most:
+                held = [_folded(np.concatenate(held))]
+                size, most = len(held[0]), max(most, 2 * len(held[0]))
+        if held:
+            codes = _folded(np.concatenate(held))
+            part = codes >> np.uint32(PART_BITS + 1)
+            heads = np.flatnonzero(np.r_[True, part[1:] != part[:-1]])
+            yield pa.RecordBatch.from_arrays([pa.array(part[heads].astype(np.int32)), pa.array([x.tobytes() for x in np.split(codes, heads[1:])], pa.binary())], ["part", "codes"])
+
+    def united(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, once, twice = None, np.zeros(1 << PART_BITS, bool), np.zeros(1 << PART_BITS, bool)
+        bits = lambda: pa.RecordBatch.from_arrays([pa.array([at], pa.int32()), pa.array([np.packbits(twice, bitorder="little").tobytes()], pa.binary())], ["part", "bits"])
+        for batch in batches:
+            for part, packed in zip(batch.column("part").to_pylist(), batch.column("codes").to_pylist()):
+                if part != at:
+                    if at is not None:
+                        yield bits()
+                    at = part
+                    once[:] = twice[:] = False
+                codes = np.frombuffer(packed, np.uint32)
+                slot = codes >> np.uint32(1) & np.uint32((1 << PART_BITS) - 1)
+                twice[slot[(codes & np.uint32(1) > 0) | once[slot]]] = True
+                once[slot] = True
+        if at is not None:
+            yield bits()
+
+    parts = strings.select("packed").mapInArrow(seen, "part int, codes binary").repartition("part").sortWithinPartitions("part").mapInArrow(united, "part int, bits binary")
+    words = np.zeros((1 << (FILTER_BITS - PART_BITS), 1 << (PART_BITS - 6)), np.uint64)
+    for batch in parts.toArrow().to_batches():
+        for part, packed in zip(batch.column("part").to_pylist(), batch.column("bits").to_pylist()):
+            words[part] = np.frombuffer(packed, np.uint64)
+    return BitFilter(words.reshape(-1), FILTER_BITS)
+
+
 def _hot_spans(runs: DataFrame, width: int) -> DataFrame:
     """Spans under hot minimisers, from the distinct strings.
 
     A run whose string an earlier document has loses all its words.  The first document of a string loses the
-    windows that an earlier document has in another string.
+    windows that an earlier document has in another string; a window that only one string holds needs no look.
     """
     name = ["h0", "h1"]
     runs = cut_lineage(runs)
     strings = cut_lineage(runs.groupBy(*name).agg(F.min("doc").alias("least"), F.max("doc").alias("most"), F.max("packed").alias("packed")))
+    sent = strings.sparkSession.sparkContext.broadcast(_windows_of_two(strings, width))
 
     def opened(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "packed", 1 << 20):
-            texts = batch.column("packed").to_pylist()
-            row, begin, end = _windows(texts, width)
-            views = [memoryview(text) for text in texts]
-            digests = b"".join([xxhash.xxh3_128_digest(views[r][a:b]) for r, a, b in zip(row.tolist(), begin.tolist(), end.tolist())])
-            halves = np.frombuffer(digests, "<i8").reshape(-1, 2)
-            counts = np.bincount(row, minlength=len(texts))
+            row, halves = _named_windows(batch.column("packed").to_pylist(), width)
+            counts = np.bincount(row, minlength=batch.num_rows)
             place = np.arange(len(row)) - np.repeat(np.cumsum(counts) - counts, counts)
-            at = pa.array(row)
+            kept = np.flatnonzero(sent.value.hits(halves[:, 0].view(np.uint64)))
+            halves, place, at = halves[kept], place[kept], pa.array(row[kept])
             yield pa.RecordBatch.from_arrays([pa.array(halves[:, 0].copy()), pa.array(halves[:, 1].copy()), *(batch.column(c).take(at) for c in (*name, "least")), pa.array(place.astype(np.int32))], ["w0", "w1", *name, "least", "place"])
 
     windows = strings.select(*name, "least", "packed").mapInArrow(opened, "w0 bigint, w1 bigint, h0 bigint, h1 bigint, least bigint, place int")

@@ -82,6 +82,41 @@ def test_substring_hot_minimisers_give_the_same(spark, corpus, monkeypatch):
     assert got == sorted(brute.kept_words(corpus))
 
 
+def rows_made(spark, node, column):
+    """Rows that the last execution's operators of a kind with a column in their output made."""
+    spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
+    store = spark._jsparkSession.sharedState().statusStore()
+    at = store.executionsList().last().executionId()
+    values, nodes = store.executionMetrics(at), store.planGraph(at).allNodes()
+    found = [n for n in (nodes.apply(i) for i in range(nodes.size())) if n.name() == node and f"{column}#" in n.desc()]
+    metrics = [m for n in found for m in (n.metrics().apply(i) for i in range(n.metrics().size())) if m.name() == "number of output rows"]
+    return [int(values.get(m.accumulatorId()).get().replace(",", "")) for m in metrics if values.get(m.accumulatorId()).isDefined()]
+
+
+def test_substring_opens_only_windows_of_two_strings(spark, monkeypatch):
+    """A frequent phrase in ever new surroundings opens no windows; the windows of a frequent passage are opened in each."""
+    monkeypatch.setattr(substring, "HOT_RUNS", 2)
+    rng = random.Random(3)
+    phrase, passage = words(rng, 12, 10**6), words(rng, 52, 10**6)
+    rows = [(i, " ".join((words(rng, 80, 10**6), phrase, words(rng, 80, 10**6)))) for i in range(60)]
+    rows += [(100 + i, " ".join((words(rng, 60, 10**6), passage, words(rng, 60, 10**6)))) for i in range(9)] + [(200, "same " * 90), (201, "same " * 70)]
+    spans = substring.repeated_spans(table(spark, rows))
+    assert spans.count()
+    spans.collect()
+    made = rows_made(spark, "MapInArrow", "w0")
+    assert made and max(made) <= 9 * 3 + 41 + 21
+    got = sorted((r.doc_id, r.n_words, r.n_removed, r.kept_sha256) for r in substring.removal_digests(table(spark, rows)).collect())
+    assert got == sorted(brute.kept_words(rows))
+
+
+def test_window_codes_fold():
+    """One code a slot, marked when two came or one was marked."""
+    import numpy as np
+
+    folded = lambda *x: substring._folded(np.array(x, np.uint32)).tolist()
+    assert folded() == [] and folded(8, 2, 8) == [2, 9] and folded(9, 4, 8, 4, 6, 3) == [3, 5, 6, 9]
+
+
 def test_remove_repeats_keeps_other_texts(spark, corpus):
     out = {r.doc_id: r for r in substring.remove_repeats(table(spark, corpus), keep=("lang", "source")).collect()}
     counts = {d: gone for d, _, gone, _ in brute.kept_words(corpus)}
