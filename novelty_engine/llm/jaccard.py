@@ -48,6 +48,8 @@ SMALL, DEPTH, STUCK = 256, 5, 0.7
 #: Sets in a block of a large bucket or cluster, and shingles in a block of a cluster.
 BLOCK, BLOCK_SHINGLES = 2048, 2 << 20
 RECALL = 1 - 1e-6
+#: Sets (about 300 bytes) and paths (24) in one partition of a table that is read again.
+PART_SETS, PART_PATHS = 100_000, 1_000_000
 
 
 def shingles(texts: list[bytes], words: int) -> list[np.ndarray]:
@@ -182,11 +184,12 @@ def candidate_edges(sets: DataFrame, threshold: float, recall: float) -> DataFra
     if runs > COORDINATES:
         raise ValueError("the target recall needs more runs than there are coordinates")
     first = F.array(*(F.xxhash64(F.lit(r), F.element_at("sig", r + 1)) for r in range(runs)))  # another coordinate for each run
+    parts = 8 + sets.count() * runs // PART_PATHS
     level = sets.select("cid", F.explode(F.array_distinct(first)).alias("path"), F.lit(0).cast("bigint").alias("parent_n"))
     compared = None
     for depth in range(DEPTH):
         sizes = level.groupBy("path").agg(F.count("*").alias("n")).where("n > 1")
-        kept = cut_lineage(level.join(sizes, "path"))
+        kept = cut_lineage(level.join(sizes, "path").coalesce(parts))
         stuck = (F.col("n") > SMALL) & ((F.col("n") > STUCK * F.col("parent_n")) & (F.col("parent_n") > 0) if depth + 1 < DEPTH else F.lit(True))
         small = kept.where(F.col("n") <= SMALL).select("path", "cid")
         blocks = kept.where(stuck).select("path", "cid", F.explode(_tiles(F.ceil(F.col("n") / F.lit(BLOCK)).cast("int"), F.col("cid"))).alias("x")).select(F.xxhash64("path", "x.i", "x.j").alias("path"), "cid")
@@ -298,10 +301,12 @@ def _near(df: DataFrame, key: str | None, text: str, words: int, threshold: floa
     sketches = cut_lineage(_sketches(docs, words))
     full = sketches.where("cid <> 0")
     classes = cut_lineage(full.groupBy("cid").agg(F.min("doc").alias("least"), F.count("*").alias("copies"), F.first("size").alias("size"), F.min("text_key").alias("text_key"), F.first("sig").alias("sig")))
+    parts = 8 + classes.count() // PART_SETS
+    classes = classes.coalesce(parts)
     clusters = components(candidate_edges(classes.select("cid", "sig"), threshold, recall)).withColumnRenamed("node", "cid")
     labelled = clusters.join(classes.select("cid", "copies", "size", "text_key"), "cid")
     blocks = F.greatest(F.ceil(F.count("*") / F.lit(BLOCK)), F.ceil(F.sum("size") / F.lit(BLOCK_SHINGLES))).cast("int")
-    active = cut_lineage(labelled.join(labelled.groupBy("label").agg(blocks.alias("blocks")), "label"))
+    active = cut_lineage(labelled.join(labelled.groupBy("label").agg(blocks.alias("blocks")), "label").coalesce(parts))
     wanted = ship(df.sparkSession).sparkContext.broadcast(bit_filter(active, "text_key"))  # one text stands for each set
 
     def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

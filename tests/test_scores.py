@@ -121,6 +121,38 @@ def test_components_of_random_graphs(spark):
     assert got == {x: find(x) for x in root}
 
 
+@pytest.mark.parametrize("most", [0, 1 << 20])
+def test_components_in_one_task_or_in_rounds(spark, monkeypatch, most):
+    monkeypatch.setattr("novelty_engine.operators.components.ONE_TASK_EDGES", most)
+    rng = random.Random(5)
+    low = -(1 << 62)
+    rows = [(low + i, low + i + 1) for i in range(300)] + [(rng.randrange(1000), rng.randrange(1000)) for _ in range(700)] + [(5000, 5000 + i) for i in range(50)] + [(7, None)]
+    label = {x: x for pair in rows[:-1] for x in pair}
+    moved = True
+    while moved:
+        moved = False
+        for a, b in rows[:-1]:
+            least = min(label[a], label[b])
+            moved |= label[a] != least or label[b] != least
+            label[a] = label[b] = least
+    assert {r.node: r.label for r in components(spark.createDataFrame(rows, "a bigint, b bigint")).collect()} == label
+
+
+def test_components_of_few_edges_take_few_tasks(spark):
+    """However many shuffle partitions the session has."""
+    spark.conf.set("spark.sql.shuffle.partitions", "50")
+    spark.sparkContext.setJobGroup("few-edges", "")
+    try:
+        got = components(spark.range(0, 200, 1, 4).selectExpr("id as a", "id + 1 as b")).collect()
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", "4")
+        spark.sparkContext.setJobGroup(None, None)
+    assert len(got) == 201 and {r.label for r in got} == {0}
+    status = spark.sparkContext.statusTracker()
+    stages = {s for job in status.getJobIdsForGroup("few-edges") for s in status.getJobInfo(job).stageIds}
+    assert stages and sum(info.numCompletedTasks for s in stages if (info := status.getStageInfo(s))) < 50
+
+
 EDGES = "src bigint, dst bigint, sigma double"
 
 
